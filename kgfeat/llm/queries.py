@@ -7,7 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgfeat.llm import decontam, mixing, quality, sharding, simhash
+from kgfeat.llm import chat, decontam, mixing, pii, quality, sharding, simhash, toxicity, urlfilter, warc
+
+
+#: stands in for a key from a secret store
+PII_KEY = "public demonstration key"
 
 
 def _read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -23,11 +27,35 @@ def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.leaks(spark, _read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark")).withColumnRenamed("id", "doc_id")
 
 
+def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _read(spark, sf_dir, "documents")
+    model = toxicity.learn(spark, docs, _read(spark, sf_dir, "labels"))
+    return toxicity.score_documents(spark, docs, model).withColumnRenamed("id", "doc_id")
+
+
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = sharding.assign(spark, _read(spark, sf_dir, "documents"), 16)
     return out.select(F.col("id").alias("doc_id"), "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op5_chat_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = chat.rotate(spark, _read(spark, sf_dir, "conversations"))
+    return out.withColumn("segment_crc32", F.crc32("segment"))
+
+
+def op6_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = pii.pseudonymise(_read(spark, sf_dir, "documents"), PII_KEY, count_col="n_replaced")
+    return out.select("doc_id", "text", "n_replaced")
+
+
+def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(spark, _read(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urlfilter.judge(spark, _read(spark, sf_dir, "pages")).withColumnRenamed("id", "page_id")
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = simhash.near_duplicates(spark, _read(spark, sf_dir, "documents"))
     return out.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -38,5 +66,5 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_rules, op2_decontamination, op4_sharding, op9_simhash, op10_mixing)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_rules, op2_decontamination, op3_toxicity, op4_sharding, op5_chat_rotation, op6_pii_pseudonyms, op7_warc, op8_url_filter, op9_simhash, op10_mixing)}
 ORACLES: dict[str, str] = {}
