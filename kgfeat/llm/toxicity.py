@@ -1,21 +1,23 @@
 """Toxicity: a Levenshtein automaton run over a lexicon trie catches misspelled terms, the window
 around each hit tells quotation from abuse, a logistic model turns the hits into a score.
 
-The lexicon is learned from labelled training rows: a word whose documents are mostly toxic (Wilson
-lower bound of the share) and that stands in several different contexts there, so that a text copied
-many times does not make its words suspect.
+The lexicon is learned from labelled training rows. Its entries are words, and stems that take many
+endings. What counts for a beginning of words is the number of different contexts (neighbouring
+words) in toxic rows, so that a text copied many times does not make its words suspect, against its
+occurrences in clean rows: the Wilson lower bound of the toxic share must reach ``share``.
 """
 
 from __future__ import annotations
 
 import math
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from kgfeat.plans.state import Workspace
@@ -28,8 +30,14 @@ PAIRS = {"“": "”", "«": "»", "„": "“", "‘": "’"}
 FIT_ROWS = 20_000
 
 
+STEM = "*"  # ends an entry that stands for all words that begin with it
+SHORTEST, LONGEST = 3, 20  # beginnings of words that are looked at
+
+
 def edit_budget(term: str) -> int:
-    """Misspellings allowed: none in terms of under 5 characters, 1 up to 8, then 2."""
+    """Misspellings allowed: none in words of under 5 characters, 1 up to 8, then 2; 1 in stems from 7."""
+    if term.endswith(STEM):
+        return int(len(term) > 7)
     return 0 if len(term) < 5 else 1 if len(term) < 9 else 2
 
 
@@ -44,7 +52,7 @@ class LexiconAutomaton:
         self.states = states
         for t in sorted(set(terms)):
             at = 0
-            for ch in t:
+            for ch in t.removesuffix(STEM):
                 self.slack[at] = max(self.slack[at], budget(t))
                 nxt = self.children[at].get(ch)
                 if nxt is None:
@@ -60,7 +68,7 @@ class LexiconAutomaton:
         self._reset()
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k not in ("number", "sets", "step", "accept")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("number", "sets", "step", "accept", "begun")}
 
     def __setstate__(self, state):
         self.__dict__.update(state)
@@ -71,6 +79,7 @@ class LexiconAutomaton:
         self.sets: list[tuple] = []
         self.step: list[dict[str, int]] = []
         self.accept: list[tuple[str, int] | None] = []
+        self.begun: list[tuple[str, int] | None] = []  # a stem ends here, whatever follows
         self._state({0: 0})
 
     def _state(self, nodes: dict[int, int]) -> int:
@@ -90,13 +99,15 @@ class LexiconAutomaton:
             self.step.append({})
             ends = [(e, self.term[n]) for n, e in key if self.term[n] is not None and e <= self.budget[self.term[n]]]
             self.accept.append(min(ends)[::-1] if ends else None)
+            stems = [x for x in ends if x[1].endswith(STEM)]
+            self.begun.append(min(stems)[::-1] if stems else None)
         return got
 
     def find(self, word: str) -> tuple[str, int] | None:
         """(term, edits) of the nearest term within its budget, the first by code point on ties."""
         if len(self.sets) > self.states:
             self._reset()
-        at = 0
+        at, best = 0, None
         for ch in word:
             ch = self.alphabet.get(ch, "")  # all characters outside the lexicon act alike
             nxt = self.step[at].get(ch)
@@ -111,9 +122,14 @@ class LexiconAutomaton:
                         nodes[n] = e + 1
                 nxt = self.step[at][ch] = self._state(nodes) if nodes else -1
             if nxt < 0:
-                return None
+                return best
             at = nxt
-        return self.accept[at]
+            if (stem := self.begun[at]) and (best is None or stem[1] < best[1]):
+                best = stem
+                if not stem[1]:
+                    return best
+        end = self.accept[at]
+        return end if end and (best is None or end[1] <= best[1]) else best
 
 
 def context_weight(text: str, start: int, before: list[str]) -> float:
@@ -129,6 +145,7 @@ class Model:
     automaton: LexiconAutomaton
     harmless: frozenset[str] = frozenset()  # misspelling-like words that clean training rows use
     weights: np.ndarray = field(default_factory=lambda: PRIOR.copy())
+    trust: dict[str, float] = field(default_factory=dict)  # toxic share of an entry
     known: dict[str, tuple[str, int] | None] = field(default_factory=dict)
 
     def look(self, word: str) -> tuple[str, int] | None:
@@ -161,25 +178,26 @@ class Model:
         return out
 
     def features(self, text: str | None) -> np.ndarray:
-        """Constant, exact and misspelled hits weighed by context, the discount that context made."""
-        return self._features(self.hits(text))
+        return self._features(self.hits(text), text)
 
-    @staticmethod
-    def _features(hits: list[tuple[str, str, int, float]]) -> np.ndarray:
-        exact = sum(h[3] for h in hits if not h[2])
+    def _features(self, hits: list[tuple[str, str, int, float]], text: str | None) -> np.ndarray:
+        """Constant; exact hits, misspelled hits, exact hits in a hundred words, all weighed by context
+        and trust; the discount that context made."""
+        exact = sum(h[3] * self.trust.get(h[1], 1.0) for h in hits if not h[2])
         near = sum(h[3] for h in hits if h[2])
         cut = sum(1 - h[3] for h in hits)
-        return np.array([1.0, math.log1p(exact), math.log1p(near), math.log1p(cut)])
+        dense = 100 * exact / max(20, text.count(" ")) if exact else 0.0
+        return np.array([1.0, math.log1p(exact), math.log1p(near), math.log1p(dense), math.log1p(cut)])
 
     def judge(self, text: str | None) -> tuple[float, int]:
         """Score from 0 to 1, and the number of hits."""
         hits = self.hits(text)
-        z = float(np.clip(self.weights @ self._features(hits), -30, 30))
+        z = float(np.clip(self.weights @ self._features(hits, text), -30, 30))
         return 1 / (1 + math.exp(-z)), len(hits)
 
 
 #: weights before any label is seen, and how firmly they are held (in units of inverse variance)
-PRIOR, HOLD = np.array([-2.5, 5.0, 3.0, 0.3]), np.array([0.02, 0.05, 0.3, 1.0])
+PRIOR, HOLD = np.array([-2.5, 4.0, 2.0, 1.0, 0.3]), np.array([0.02, 0.05, 0.3, 0.3, 1.0])
 
 
 def fit_logistic(x: np.ndarray, y: np.ndarray, rounds: int = 40) -> np.ndarray:
@@ -195,17 +213,47 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, rounds: int = 40) -> np.ndarray:
     return w
 
 
-def _wilson_low(k: int, n: int, z: float = 2.6) -> float:
+def wilson_low(k: Column, n: Column, z: float = 2.6) -> Column:
+    """Lower bound of a share of k in n."""
     p = k / n
-    return (p + z * z / (2 * n) - z * math.sqrt(p * (1 - p) / n + z * z / (4 * n * n))) / (1 + z * z / n)
-
-
-def held_out(ident: F.Column, folds: int = 5) -> F.Column:
+    return (p + z * z / (2 * n) - z * F.sqrt(p * (1 - p) / n + z * z / (4 * n * n))) / (1 + z * z / n)
+
+
+def beginnings(w: str) -> Column:
+    """All beginnings of a word, the whole word with a closing mark among them."""
+    some = F.transform(F.sequence(F.lit(SHORTEST), F.least(F.length(w), F.lit(LONGEST))), lambda k: F.substring(F.col(w), F.lit(1), k))
+    return F.when(F.length(w) >= SHORTEST, F.array_append(some, F.concat(w, F.lit("$")))).otherwise(F.array())
+
+
+def choose_entries(stats: dict[str, tuple[int, int]]) -> list[str]:
+    """Lexicon entries from suspect beginnings {beginning: (toxic contexts, clean occurrences)}.
+
+    From the shortest suspect beginning down: where its suspect continuations hold nearly all of its
+    toxic contexts, and are few or leave out most of its clean ones, they stand in its place.
+    """
+    kids: dict[str, list[str]] = {}
+    for p in stats:
+        if p[:-1] in stats:
+            kids.setdefault(p[:-1], []).append(p)
+    out, todo = [], [p for p in stats if p[:-1] not in stats]
+    while todo:
+        p = todo.pop()
+        bad, clean = stats[p]
+        below = kids.get(p, [])
+        held, left = sum(stats[k][0] for k in below), sum(stats[k][1] for k in below)
+        if below and held >= 0.95 * bad and (len(below) <= 3 or 2 * left < clean):
+            todo += below
+        else:
+            out.append(p[:-1] if p.endswith("$") else p + STEM)
+    return sorted(out)
+
+
+def held_out(ident: Column, folds: int = 5) -> Column:
     """Remainder 0 of the CRC-32 of the id as text; a null id counts as empty text."""
     return F.crc32(F.coalesce(ident.cast("string"), F.lit(""))) % folds == 0
 
 
-def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", contexts: int = 5, share: float = 0.6, fit_rows: int = FIT_ROWS, ws: Workspace | None = None) -> Model:
+def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", contexts: int = 10, share: float = 0.6, fit_rows: int = FIT_ROWS, ws: Workspace | None = None) -> Model:
     """Lexicon from all labelled training rows, weights from ``fit_rows`` of them at most (least hashes)."""
     ws = ws or Workspace(spark, "toxicity")
     train = labels.filter("toxic is not null").filter(~held_out(F.col(id_col))).select(F.col(id_col).alias("i"), (F.col("toxic") > 0).cast("int").alias("y")).groupBy("i").agg(F.max("y").alias("y"))
@@ -213,25 +261,35 @@ def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str =
 
     def in_context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
+            w, c = [], []
             for t in b.column(0):
-                w = WORD.findall(t.as_py().lower())
-                seen = {(x, f"{w[k - 1] if k else ''} {w[k + 1] if k + 1 < len(w) else ''}") for k, x in enumerate(w)}
-                first = {}
-                for x, c in seen:
-                    first.setdefault(x, c)
-                yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in seen], pa.string()), pa.array([c for _, c in seen], pa.string()), pa.array([int(first[x] == c) for x, c in seen], pa.int64())], names=["w", "c", "d"])
-
-    bad = rows.filter("y = 1").select("t").mapInArrow(in_context, "w string, c string, d long")
-    cand = ws.save(bad.groupBy("w", "c").agg(F.sum("d").alias("d")).groupBy("w").agg(F.count("*").alias("n_ctx"), F.sum("d").alias("bad")).filter((F.col("n_ctx") >= contexts) & (F.col("bad") >= contexts)), "candidates")
-    words = rows.filter("y = 0").select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("t"), F.lit(r"[\p{L}\p{N}]+"), F.lit(0)))).alias("w"))
-    clean = words.join(cand.select("w"), "w", "left_semi").groupBy("w").agg(F.count("*").alias("clean"))
-    n = {r["y"]: r["n"] for r in rows.groupBy("y").agg(F.count("*").alias("n")).collect()}
-    base = n.get(1, 0) / max(1, sum(n.values()))
-    scored = cand.join(clean, "w", "left").select("w", "bad", F.coalesce("clean", F.lit(0)).alias("clean")).filter(F.col("bad") > F.col("clean") * max(base, 0.05)).collect()
-    terms = [r["w"] for r in scored if len(r["w"]) > 2 and _wilson_low(r["bad"], r["bad"] + r["clean"]) >= share]
+                x = WORD.findall(t.as_py().lower())
+                for a, y, z in {(a, y, z) for a, y, z in zip(x, ["", *x[:-1]], [*x[1:], ""], strict=True)}:
+                    w.append(a)
+                    c.append(f"{y} {z}")
+            yield pa.RecordBatch.from_arrays([pa.array(w, pa.string()), pa.array(c, pa.string())], names=["w", "c"])
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n = Counter()
+            for t in b.column(0):
+                n.update(WORD.findall(t.as_py().lower()))
+            yield pa.RecordBatch.from_arrays([pa.array(list(n), pa.string()), pa.array(list(n.values()), pa.int64())], names=["w", "n"])
+
+    bad = rows.filter("y = 1").select("t").mapInArrow(in_context, "w string, c string").groupBy("w", F.xxhash64("c")).agg(F.lit(1)).groupBy("w").agg(F.count("*").alias("n"))
+    cand = bad.select("n", F.explode(beginnings("w")).alias("p")).groupBy("p").agg(F.sum("n").alias("bad")).filter(F.col("bad") >= contexts)
+    cand = ws.save(cand, "candidates")
+    clean = rows.filter("y = 0").select("t").mapInArrow(counted, "w string, n long").groupBy("w").agg(F.sum("n").alias("n"))
+    clean = clean.select("n", F.explode(beginnings("w")).alias("p")).groupBy("p").agg(F.sum("n").alias("clean"))
+    share_of = wilson_low(F.col("bad"), F.col("bad") + F.col("clean"))
+    got = cand.join(clean, "p", "left").withColumn("clean", F.coalesce("clean", F.lit(0))).filter(share_of >= share).collect()
+    stats = {r["p"]: (r["bad"], r["clean"]) for r in got}
+    terms = choose_entries(stats)
     if not terms:
         return Model(LexiconAutomaton([]))
-    model = Model(LexiconAutomaton(terms))
+    n = {r["y"]: r["n"] for r in rows.groupBy("y").agg(F.count("*").alias("n")).collect()}
+    of = {t: stats[t.removesuffix(STEM) if t.endswith(STEM) else t + "$"] for t in terms}
+    model = Model(LexiconAutomaton(terms), trust={t: b / (b + c) for t, (b, c) in of.items()})
     sample = rows.orderBy(F.xxhash64("i"), "i").limit(fit_rows) if sum(n.values()) > fit_rows else rows
     sent = spark.sparkContext.broadcast(model)
 
