@@ -46,6 +46,13 @@ class Workspace:
         out._kgfeat_path = path
         return out
 
+    def save_bucketed(self, df: DataFrame, name: str, buckets: int, key: str) -> DataFrame:
+        """Save as a catalog table bucketed and sorted by key: later joins on key move only the other side."""
+        self._n += 1
+        table = f"kgfeat_{name}_{uuid.uuid4().hex[:12]}"
+        df.write.bucketBy(buckets, key).sortBy(key).option("path", self.path(f"{self._n:03d}-{name}")).saveAsTable(table)
+        return self.spark.table(table)
+
     def drop(self, df: DataFrame) -> None:
         """Delete a saved table that nothing refers to any more."""
         path = getattr(df, "_kgfeat_path", None)
