@@ -1,6 +1,253 @@
-"""Driver queries of the mining methods."""
+"""Driver queries of the mining methods: workloads on the given tables, each with its DuckDB twin."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from collections.abc import Callable
+from dataclasses import replace
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from kgfeat import extensions
+from kgfeat.api import MiningResult, mine
+from kgfeat.operators import canon, degree, dictionary, domain, supports
+from kgfeat.params import TYPE, MiningParams
+from kgfeat.plans import baselines, metrics
+from kgfeat.plans.context import Context, prepare, search
+from kgfeat.plans.state import Workspace
+from kgfeat.queries import oracle
+from kgfeat.sources import kgview
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLES: dict[str, str] = {}
+
+PART = MiningParams(k=3, t=3, d=500, l_min=5)
+CUST = MiningParams(k=2, t=2, d=500, l_min=5)
+DOC = MiningParams(k=1, t=1, d=500, l_min=5)
+PAGE = MiningParams(k=2, t=2, d=500, l_min=5)
+CONV = MiningParams(k=4, t=2, d=500, l_min=1)
+
+#: kinds of the star's things, in place of the paper's biomedical ones
+ATOMS = {
+    "p": domain.Atom(individuals=("supplier:*",), classes=("cls:Sup*",)),
+    "g": domain.Atom(individuals=("nation:*",), classes=("cls:Region",)),
+    "m": domain.Atom(classes=("cls:NationOf/*",)),
+}
+
+
+def _result(spark: SparkSession, sf_dir: str, view: str, seed: str, p: MiningParams) -> MiningResult:
+    return mine(spark, kgview.triples(spark, sf_dir, view), kgview.seeds(spark, sf_dir, seed), p)
+
+
+def _context(spark: SparkSession, sf_dir: str, view: str, seed: str, p: MiningParams, found: bool = True) -> Context:
+    ctx = prepare(spark, kgview.triples(spark, sf_dir, view), kgview.seeds(spark, sf_dir, seed), p)
+    return search(ctx) if found else ctx
+
+
+def add(name: str, run: Query, sql: str | None) -> None:
+    QUERIES[name] = run
+    if sql is not None:
+        ORACLES[name] = sql
+
+
+def _features(view: str, seed: str, p: MiningParams) -> Query:
+    return lambda spark, d: _result(spark, d, view, seed, p).features().select("feature", "kind", "len", F.col("n").alias("support"))
+
+
+def _neighbours(view: str, seed: str, p: MiningParams) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        ctx = _context(spark, d, view, seed, replace(p, t=0))
+        near = supports.counts(ctx.reach).filter(supports.within(F.col("n"), p.l_min, p.l_max))
+        return near.join(ctx.vertex(), "v").select(F.col("uri").alias("vertex"), F.col("n").alias("support"))
+
+    return run
+
+
+def _types(view: str, seed: str, p: MiningParams) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        ctx = _context(spark, d, view, seed, p)
+        got = ctx.type_support.join(ctx.usable_types, "class", "left_semi")
+        return got.join(ctx.vertex(), got["class"] == ctx.vertex()["v"]).select(F.col("uri").alias("class"), F.col("n").alias("support"))
+
+    return run
+
+
+
+
+# graph, canonicalisation, degrees -------------------------------------------------------------------
+
+def kg_triples_summary(spark: SparkSession, d: str) -> DataFrame:
+    return kgview.triples(spark, d, "star").union(kgview.triples(spark, d, "page")).groupBy("p").agg(F.count("*").alias("n"))
+
+
+add("kg_triples_summary", kg_triples_summary, f"SELECT p, count(*) AS n FROM (SELECT DISTINCT * FROM ({kgview.duck_triples('star')}) UNION ALL SELECT DISTINCT * FROM ({kgview.duck_triples('page')})) GROUP BY p")
+
+
+def _canon(part: str, method: str) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        return canon.canonical_map(spark, kgview.triples(spark, d, (part,)), "s", "o", method)
+
+    return run
+
+
+for _name, _part, _method in (("canon_parts", "same_part", "star"), ("canon_parts_minlabel", "same_part", "minlabel"), ("canon_docs", "same_doc", "star"), ("canon_users", "same_user", "star")):
+    add(_name, _canon(_part, _method), f"SELECT DISTINCT v, c FROM ({oracle.CANON[_part]}) WHERE v <> c")
+
+
+def _degrees(u: bool) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        ctx = _context(spark, d, "star", "part", replace(PART, d=None, u=False), found=False)
+        v = ctx.vertex()
+        return degree.degrees(ctx.arc, u).join(v, "v").select(F.col("uri").alias("v"), "n")
+
+    return run
+
+
+for _u in (False, True):
+    add(f"degree_{'all' if _u else 'out'}", _degrees(_u), oracle.with_(oracle.base("star", "part", replace(PART, u=_u))[:8], "SELECT v, n FROM deg"))
+
+
+def degree_pairs(spark: SparkSession, d: str) -> DataFrame:
+    t = kgview.triples(spark, d, kgview.STAR)
+    return degree.drop_frequent_pairs(t, 8, 60).groupBy("p").agg(F.count("*").alias("n"))
+
+
+add("degree_pairs", degree_pairs, f"""WITH t AS MATERIALIZED (SELECT DISTINCT s, p, o FROM ({kgview.duck_triples(kgview.STAR)})), a AS (SELECT s, p FROM t GROUP BY ALL HAVING count(*) > 8), b AS (SELECT p, o FROM t GROUP BY ALL HAVING count(*) > 60)
+SELECT p, count(*) AS n FROM t WHERE NOT EXISTS (SELECT 1 FROM a WHERE a.s = t.s AND a.p = t.p) AND NOT EXISTS (SELECT 1 FROM b WHERE b.p = t.p AND b.o = t.o) GROUP BY p""")
+
+
+def dense_dictionary(spark: SparkSession, d: str) -> DataFrame:
+    t = kgview.triples(spark, d, "part")
+    return dictionary.dense_ids(spark, t.select("s").union(t.select("o")))
+
+
+add("dense_dictionary", dense_dictionary, f"SELECT uri, row_number() OVER (ORDER BY uri) - 1 AS id FROM (SELECT s AS uri FROM ({kgview.duck_triples('part')}) UNION SELECT o FROM ({kgview.duck_triples('part')}))")
+
+# neighbours and classes -----------------------------------------------------------------------------
+
+for _k in (1, 2, 3, 4):
+    _p = replace(CUST, k=_k)
+    add(f"cust_neighbours_k{_k}", _neighbours("customer", "customer", _p), oracle.neighbours("customer", "customer", replace(_p, t=0)))
+for _t in (0, 1, 2, 3):
+    _p = replace(CUST, t=_t)
+    add(f"cust_types_t{_t}", _types("customer", "customer", _p), oracle.class_supports("customer", "customer", _p))
+add("doc_neighbours", _neighbours("doc", "doc", replace(DOC, k=2)), oracle.neighbours("doc", "doc", replace(DOC, k=2, t=0)))
+add("page_neighbours", _neighbours("page", "page", PAGE), oracle.neighbours("page", "page", replace(PAGE, t=0)))
+add("cross_set_neighbours", _neighbours("customer", "customer", replace(CUST, k=1, l_min=1)), oracle.neighbours("customer", "customer", replace(CUST, k=1, l_min=1, t=0)))
+for _d in (50, 100, 500, None):
+    _p = replace(PART, k=2, u=True, d=_d)
+    add(f"hub_stop_d{_d or 'inf'}", _neighbours("part", "part", _p), oracle.neighbours("part", "part", replace(_p, t=0)))
+
+
+def neighbours_with_distance(spark: SparkSession, d: str) -> DataFrame:
+    ctx = _context(spark, d, "part", "part", replace(PART, t=0))
+    v = ctx.vertex()
+    return ctx.reach.join(v.withColumnRenamed("uri", "vertex"), "v").join(v.select(F.col("v").alias("seed"), F.col("uri").alias("root")), "seed").select(F.col("root").alias("seed"), "vertex", "dist")
+
+
+add("neighbours_with_distance", neighbours_with_distance, oracle.with_(oracle.base("part", "part", replace(PART, t=0)), "SELECT seed, v AS vertex, dist FROM reach"))
+
+# path features --------------------------------------------------------------------------------------
+
+FEATURE_RUNS = {
+    "part_features_k1": ("part", "part", replace(PART, k=1)),
+    "part_features_k2": ("part", "part", replace(PART, k=2)),
+    "part_features_k3": ("part", "part", PART),
+    "part_features_k3_t0": ("part", "part", replace(PART, t=0)),
+    "part_features_k3_t1": ("part", "part", replace(PART, t=1)),
+    "part_features_same": ("part_same", "part", PART),
+    "cust_features_k2": ("customer", "customer", CUST),
+    "doc_features": ("doc", "doc", DOC),
+    "page_features": ("page", "page", PAGE),
+    "blacklist_pred": ("part_prov", "part", replace(PART, b_predicates=("rdf:*", "rdfs:*", "prov:*"))),
+    "blacklist_exp": ("part", "part", replace(PART, b_exp_types=("cls:SupDebt",))),
+    "blacklist_gen": ("part", "part", replace(PART, b_gen_types=("cls:Agent", "cls:NationOf/*"))),
+    "features_l_max": ("part", "part", replace(PART, l_max=100)),
+}
+for _name, (_view, _seed, _p) in FEATURE_RUNS.items():
+    add(_name, _features(_view, _seed, _p), oracle.features(_view, _seed, _p))
+
+#: modes whose results SQL gives as well; the same features are asked of all that must agree
+for _mode in baselines.MODES:
+    if _mode not in ("method", "no_support_limits", "no_canonical_graph"):
+        _p = replace(PART, k=2, **baselines.MODES[_mode])
+        add(f"mode_{_mode}", _features("part", "part", _p), oracle.features("part", "part", _p))
+_p = replace(PART, k=2, canonicalise=False, b_predicates=(*PART.b_predicates, PART.identity))
+add("mode_no_canonical_graph", _features("part_same", "part", _p), oracle.features("part_same", "part", _p))
+_p = replace(PART, k=2, l_min=0, kinds=frozenset(("neighbour",)))
+add("mode_no_support_limits", _features("part", "part", _p), oracle.features("part", "part", _p))
+
+
+def part_matrix(spark: SparkSession, d: str) -> DataFrame:
+    return _result(spark, d, "part", "part", PART).named_matrix()
+
+
+add("part_matrix_k3", part_matrix, oracle.with_(oracle.base("part", "part", PART) + oracle.mining(PART), f"SELECT seed, v AS feature FROM reach SEMI JOIN near USING (v) UNION ALL SELECT unnest(ul) AS seed, fid AS feature FROM (" + " UNION ALL ".join(f"SELECT fid, ul FROM c{h}" for h in (1, 2, 3)) + ") WHERE fid IN (SELECT feature FROM found)"))
+
+for _m in ("none", "p", "g", "m", "pg", "pgm"):
+
+    def _filtered(spark: SparkSession, d: str, m: str = _m) -> DataFrame:
+        r = _result(spark, d, "part", "part", PART)
+        return r.filtered(domain.DomainFilter.parse(m, ATOMS)).select("feature", "kind", F.col("n").alias("support"))
+
+    _like = {"p": "(e LIKE 'supplier:%' OR e LIKE 'cls:Sup%')", "g": "(e LIKE 'nation:%' OR e = 'cls:Region')", "m": "(e LIKE 'cls:NationOf/%')"}
+    _test = " OR ".join(_like[c] for c in _m) if _m != "none" else "true"
+    _elems = "SELECT fid, unnest(es) AS e FROM (" + " UNION ALL ".join(f"SELECT fid, es FROM c{h}" for h in (1, 2, 3)) + ")"
+    add(f"filter_{_m}", _filtered, oracle.with_(oracle.base("part", "part", PART) + oracle.mining(PART), f"SELECT v AS feature, 'neighbour' AS kind, n AS support FROM (SELECT *, v AS e FROM near) WHERE {_test} UNION ALL SELECT feature, kind, n FROM found WHERE feature IN (SELECT fid FROM ({_elems}) WHERE {_test})"))
+
+# measures -------------------------------------------------------------------------------------------
+
+for _name, _view, _seed, _p in (("ladder_part", "part", "part", PART), ("ladder_cust", "customer", "customer", replace(CUST, k=1)), ("ladder_doc", "doc", "doc", DOC)):
+    _p = replace(_p, engine="faithful")
+    add(_name, lambda spark, d, view=_view, seed=_seed, p=_p: metrics.ladder(_result(spark, d, view, seed, p)), oracle.ladder(_view, _seed, _p))
+
+for _name, _view, _d in (("full_neighbourhood_d500", "star", 500), ("full_neighbourhood_dinf", "star", None), ("full_neighbourhood_chain", "conversation", 500)):
+    _seed = "conversation" if _view == "conversation" else "customer"
+    _p = replace(CUST, d=_d, t=None)
+    add(
+        _name,
+        lambda spark, d, view=_view, seed=_seed, p=_p: baselines.full_neighbourhood(spark, kgview.triples(spark, d, view), kgview.seeds(spark, d, seed), p, p.d),
+        oracle.with_(oracle.base(_view, _seed, _p, full=True), "SELECT 'neighbours' AS what, count(*) AS n FROM rv UNION ALL SELECT 'classes', count(DISTINCT cls) FROM lev UNION ALL SELECT 'k', max(d) FROM (SELECT min(dist) AS d FROM reach GROUP BY v) UNION ALL SELECT 't', max(l) FROM (SELECT min(level) AS l FROM lev GROUP BY cls)"),
+    )
+
+
+def seed_composition(spark: SparkSession, d: str) -> DataFrame:
+    sql = "SELECT CASE WHEN l.quality = 0 THEN '+' ELSE '-' END AS label, d.source AS origin FROM {labels} l JOIN {documents} d ON l.doc_id = d.doc_id"
+    return metrics.seed_composition(kgview.select(spark, d, sql))
+
+
+add("seed_composition", seed_composition, "SELECT label, origin, count(*) AS n FROM (SELECT CASE WHEN l.quality = 0 THEN '+' ELSE '-' END AS label, d.source AS origin FROM labels l JOIN documents d ON l.doc_id = d.doc_id) GROUP BY ROLLUP (label, origin)")
+
+
+def feature_counts(spark: SparkSession, d: str) -> DataFrame:
+    ctx = _context(spark, d, "part", "part", replace(PART, k=2, t=1))
+    return extensions.counted_features(ctx)
+
+
+_p = replace(PART, k=2, t=1)
+add(
+    "feature_counts",
+    feature_counts,
+    oracle.with_(
+        oracle.base("part", "part", _p),
+        "SELECT seed, feature, count(*) AS n FROM (SELECT a.src AS seed, '-['||a.pred||']-> '||e.e AS feature FROM seeds JOIN arc_ok a ON a.src = seed JOIN reach r ON r.seed = a.src AND r.v = a.dst AND r.dist = 1 JOIN (SELECT v, v AS e FROM rv UNION ALL SELECT v, cls FROM lev SEMI JOIN tf USING (cls)) e ON e.v = a.dst) GROUP BY ALL",
+    ),
+)
+
+
+def generalisation_counts(spark: SparkSession, d: str) -> DataFrame:
+    """S12 on paths of two arcs: how many patterns generalise each."""
+    ctx = _context(spark, d, "part", "part", replace(PART, k=2, t=2))
+    return extensions.generalisation_counts(ctx)
+
+
+_p = replace(PART, k=2, t=2)
+add(
+    "generalisation_counts",
+    generalisation_counts,
+    oracle.with_(
+        oracle.base("part", "part", _p),
+        "SELECT DISTINCT '-['||a.pred||']-> '||a.dst||' -['||b.pred||']-> '||b.dst AS path, (1 + x.g) * (1 + y.g) - 1 AS n FROM arc_ok a JOIN seeds ON a.src = seed JOIN arc_ok b ON b.src = a.dst JOIN (SELECT v, count(*) AS g FROM lev GROUP BY v) x ON x.v = a.dst JOIN (SELECT v, count(*) AS g FROM lev GROUP BY v) y ON y.v = b.dst JOIN reach r ON r.seed = a.src AND r.v = b.dst AND r.dist = 2",
+    ),
+)
