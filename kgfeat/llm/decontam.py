@@ -2,8 +2,10 @@
 Smith-Waterman alignment of the words scores them.
 
 Words are runs of letters and digits, lower-cased. Every n-gram of every item is counted by the
-documents that hold it (all documents). An item's seeds are the rarer half of its distinct n-grams,
-at least ``least_seeds`` of them, so an item that leaks often keeps seeds. Around the hits of an
+documents that hold it (all documents). An item's seeds are its n-grams whose count is at most
+``TIMES`` the median over the item's n-grams found, plus ``SLACK``: phrases far commoner than the
+rest of the item are left out, while those that its own copies share, edited ones too, stay seeds
+however often the item has leaked. Around the hits of an
 item's seeds a window of the document is aligned with the item; the score is the share of the
 best possible score. Items are taken in blocks of bounded size against all documents, so what is
 sent to executors never exceeds ``block_words`` words of items.
@@ -24,7 +26,7 @@ from kgfeat.plans.state import Workspace
 
 WORD = re.compile(r"[^\W_]+")
 MATCH, MISMATCH, GAP = 2, -1, -1
-N, SCORE, LEAST_SEEDS, BLOCK_WORDS = 4, 0.5, 6, 2_000_000
+N, SCORE, TIMES, SLACK, BLOCK_WORDS = 4, 0.5, 4, 16, 2_000_000
 
 
 def norm_words(text: str | None) -> list[str]:
@@ -85,17 +87,18 @@ class Items:
             ok &= self.keys[at, j] == cols[j]
         return pos[ok], self.gram[at[ok]]
 
-    def seeds(self, df_of: dict[int, int], least: int = LEAST_SEEDS) -> set[tuple[int, int]]:
-        """(item, gram): the rarer half of an item's grams, and all as rare as the last of them."""
+    def seeds(self, df_of: dict[int, int], times: int = TIMES, slack: int = SLACK) -> set[tuple[int, int]]:
+        """(item, gram): an item's grams found in documents, but for those far commoner than its median."""
         by = defaultdict(set)
         for g, places in enumerate(self.where):
             for k, _ in places:
-                by[k].add(g)
+                if g in df_of:
+                    by[k].add(g)
         out = set()
         for k, gs in by.items():
-            ranked = sorted(df_of.get(g, 0) for g in gs)
-            bound = ranked[min(len(ranked), max(least, (len(ranked) + 1) // 2)) - 1]
-            out |= {(k, g) for g in gs if df_of.get(g, 0) <= bound}
+            ranked = sorted(df_of[g] for g in gs)
+            bound = times * ranked[(len(ranked) - 1) // 2] + slack
+            out |= {(k, g) for g in gs if df_of[g] <= bound}
         return out
 
 
