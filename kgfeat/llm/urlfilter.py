@@ -74,15 +74,18 @@ def log_ratios(ws: Workspace, train: DataFrame, wanted: DataFrame, order: int =
 
 def calibrate(scored: DataFrame) -> int:
     """The cutoff on micro-nats per character with the least sum of both error rates, from held-out
-    URLs (y true or false, s); ties: nearest to zero. Histogram by whole hundredths of a nat."""
+    URLs (y true or false, s); of cutoffs that part them alike the nearest to zero. Histogram by whole
+    hundredths of a nat."""
     bins = scored.groupBy(F.floor(F.col("s") / 10_000).alias("b")).agg(F.sum(F.col("y").cast("long")).alias("g"), F.sum((~F.col("y")).cast("long")).alias("x")).collect()
     good, bad = sum(r["g"] for r in bins), sum(r["x"] for r in bins)
     if not good or not bad:
         return 0
     bins.sort(key=lambda r: r["b"])
-    best, below_g, below_b = (2.0, 0, 0), 0, 0
+    best, below_g, below_b, low = (2.0, 0, 0), 0, 0, None
     for r in [*bins, None]:
-        cut = (r["b"] if r else bins[-1]["b"] + 1) * 10_000
+        high = r["b"] if r else None  # any cutoff in low .. high parts the URLs in the same way
+        cut = 10_000 * (min(max(0, low), high) if low is not None and high is not None else min(0, high) if high is not None else max(0, low))
+        low = high + 1 if r else None
         err = below_g / good + (bad - below_b) / bad
         best = min(best, (round(err, 9), abs(cut), cut))
         if r:
