@@ -28,6 +28,7 @@ SPAN = 6  # words of context on either side
 REPORTING = frozenset("said says quote quoted quotes wrote called reported according dijo dit sagte zitat cita citation".split())
 PAIRS = {"“": "”", "«": "»", "„": "“", "‘": "’"}
 FIT_ROWS = 20_000
+BROADCAST_ROWS = 2_000_000  # of an id and a label each
 
 
 STEM = "*"  # ends an entry that stands for all words that begin with it
@@ -257,7 +258,10 @@ def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str =
     """Lexicon from all labelled training rows, weights from ``fit_rows`` of them at most (least hashes)."""
     ws = ws or Workspace(spark, "toxicity")
     train = labels.filter("toxic is not null").filter(~held_out(F.col(id_col))).select(F.col(id_col).alias("i"), (F.col("toxic") > 0).cast("int").alias("y")).groupBy("i").agg(F.max("y").alias("y"))
-    rows = ws.save(docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).filter("t is not null").join(train, "i"), "train")
+    train = ws.save(train, "train")
+    texts = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).filter("t is not null")
+    # ids and labels alone are sent to the texts while they are few; beyond that both sides are shuffled, once
+    rows = texts.join(F.broadcast(train), "i") if train.count() <= BROADCAST_ROWS else ws.save(texts.join(train, "i"), "labelled")
 
     def in_context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -287,10 +291,10 @@ def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str =
     terms = choose_entries(stats)
     if not terms:
         return Model(LexiconAutomaton([]))
-    n = {r["y"]: r["n"] for r in rows.groupBy("y").agg(F.count("*").alias("n")).collect()}
     of = {t: stats[t.removesuffix(STEM) if t.endswith(STEM) else t + "$"] for t in terms}
     model = Model(LexiconAutomaton(terms), trust={t: b / (b + c) for t, (b, c) in of.items()})
-    sample = rows.orderBy(F.xxhash64("i"), "i").limit(fit_rows) if sum(n.values()) > fit_rows else rows
+    picked = ws.save(train.orderBy(F.xxhash64("i"), "i").limit(fit_rows), "sample")  # ids, not texts
+    sample = texts.join(F.broadcast(picked), "i")
     sent = spark.sparkContext.broadcast(model)
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
