@@ -88,12 +88,13 @@ def text_counts(text: str | None) -> tuple[int, ...]:
 def with_counts(docs: DataFrame, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
     """The columns of ``keep`` (all of docs by default) and the COUNTS of the text, prefixed ``q_``."""
     keep = docs.columns if keep is None else keep
-    src = docs.select(*keep, *([F.col(text_col).alias("q_text")]))
+    at = keep.index(text_col) if text_col in keep else len(keep)
+    src = docs.select(*keep) if text_col in keep else docs.select(*keep, F.col(text_col).alias("q_text"))
     schema = T.StructType([*docs.select(*keep).schema.fields, *(T.StructField(f"q_{c}", T.LongType()) for c in COUNTS)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = np.array([text_counts(t.as_py()) for t in b.column(len(keep))], np.int64).reshape(b.num_rows, len(COUNTS))
+            rows = np.array([text_counts(t.as_py()) for t in b.column(at)], np.int64).reshape(b.num_rows, len(COUNTS))
             yield pa.RecordBatch.from_arrays([*b.columns[: len(keep)], *(pa.array(rows[:, k]) for k in range(len(COUNTS)))], names=[*keep, *(f"q_{c}" for c in COUNTS)])
 
     return src.mapInArrow(run, schema)
@@ -184,10 +185,9 @@ def judge(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str =
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum: str = "lang", alpha: float = ALPHA, delta: float = DELTA, ws: Workspace | None = None) -> DataFrame:
-    """The rows of docs that are kept, all columns. The labelled rows are counted first, to fit; the
-    texts themselves are never shuffled: a second pass counts and decides where it reads."""
+    """The rows of docs that are kept, all columns. A first pass keeps counts alone, to fit; the texts
+    themselves are never shuffled: a second pass counts again and decides where it reads."""
     ws = ws or Workspace(spark, "quality")
-    ids = labels.select(id_col).distinct()
-    some = ws.save(with_counts(docs.join(ids, id_col, "left_semi"), text_col, list(dict.fromkeys([id_col, stratum]))), "counts")
-    th = fit(some, labels, stratum, id_col, alpha, delta)
+    counted = ws.save(with_counts(docs, text_col, list(dict.fromkeys([id_col, stratum]))), "counts")
+    th = fit(counted, labels, stratum, id_col, alpha, delta)
     return with_counts(docs, text_col).filter(verdict(th, stratum)).select(*docs.columns)
