@@ -184,7 +184,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     near = links(ws, classes.select("fp"), classes.count(), max_bits, **how)
     comp = components(spark, near, ws=ws)
     named = classes.join(comp.withColumnRenamed("v", "fp"), "fp", "left").select("fp", "least", F.coalesce("c", "fp").alias("c"))
-    least = named.groupBy("c").agg(F.min("least").alias("component_id"))
+    # a table of its own, so that the join may split a large component
+    least = ws.save(named.groupBy("c").agg(F.min("least").alias("component_id")), "least")
     table = ws.save(named.join(least, "c").select("fp", "component_id"), "components")
     return fps.join(table, "fp", "left").select("id", "fp", "component_id")
 
