@@ -34,8 +34,7 @@ def mixing_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All columns with shard and slot; sixteen shards of near equal bytes."""
-    carry = tuple(c for c in docs.columns if c not in ("doc_id", "size", "text_crc32", "shard", "slot"))
-    return sharding.assign(spark, docs, 16, carry=carry).withColumnRenamed("id", "doc_id").withColumn("law", F.lit("bytes"))
+    return sharding.shard_documents(spark, docs, 16).withColumn("law", F.lit("bytes"))
 
 
 STAGES = [
