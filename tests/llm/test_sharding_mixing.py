@@ -27,8 +27,10 @@ def _rows(seed=1, n=600):
 
 def test_shards(spark):
     rows = _rows()
-    got = sharding.assign(spark, _docs(spark, rows), 16, carry=("text", "source")).collect()
-    assert Counter((r["id"], r["text"]) for r in got) == Counter((r[0], r[1]) for r in rows)
+    full = sharding.shard_documents(spark, _docs(spark, rows), 16)
+    assert full.columns == ["doc_id", "text", "source", "k", "size", "text_crc32", "shard", "slot"]
+    got = full.collect()
+    assert Counter((r["doc_id"], r["text"]) for r in got) == Counter((r[0], r[1]) for r in rows)
     size, slots, groups = Counter(), defaultdict(list), defaultdict(set)
     for r in got:
         raw = (r["text"] or "").encode()
@@ -43,7 +45,7 @@ def test_shards(spark):
     same = sorted(groups["the same text " * 9])
     assert same == list(range(same[0], same[-1] + 1))  # contiguous
     again = sharding.assign(spark, _docs(spark, rows), 16).collect()
-    assert Counter((r["id"], r["shard"], r["slot"]) for r in again if r["id"] != 5003) == Counter((r["id"], r["shard"], r["slot"]) for r in got if r["id"] != 5003)
+    assert Counter((r["id"], r["shard"], r["slot"]) for r in again if r["id"] != 5003) == Counter((r["doc_id"], r["shard"], r["slot"]) for r in got if r["doc_id"] != 5003)
 
 
 @pytest.mark.parametrize("n", [0, 1, 5])
@@ -54,7 +56,7 @@ def test_few_documents(spark, n):
 
 
 def test_written_shards(spark, tmp_path):
-    df = sharding.assign(spark, _docs(spark, _rows()), 4, carry=("text",))
+    df = sharding.shard_documents(spark, _docs(spark, _rows()), 4)
     sharding.write_shards(df, f"{tmp_path}/out")
     back = spark.read.parquet(f"{tmp_path}/out")
     assert back.count() == len(_rows()) and back.select("shard").distinct().count() == 4
