@@ -32,9 +32,10 @@ def generalise_predicates(ws: Workspace, triples: DataFrame, t: int | None = 1)
 
 
 def literal_vertices(literals: DataFrame, width: float) -> DataFrame:
-    """Numeric literals (s, p, value) as arcs to shared bucket vertices: one form for 1, 1.0 and '1'."""
-    v = F.expr("try_cast(value AS double)")
-    return literals.select("s", "p", F.concat(F.lit("num:"), F.col("p"), F.lit("/"), F.format_string("%.6g", F.floor(v / width) * width)).alias("o")).filter("o is not null")
+    """Numeric literals (s, p, value) as arcs to shared vertices, one a bucket of the given width:
+    one form for 1, 1.0 and '1'. What is no number is left out."""
+    bucket = F.floor(F.expr("try_cast(value AS double)") / width).cast("long")
+    return literals.select("s", "p", F.concat(F.lit("num:"), F.col("p"), F.lit("/"), bucket.cast("string")).alias("o")).filter("o is not null")
 
 
 def transitive(ws: Workspace, triples: DataFrame, predicate: str) -> DataFrame:

@@ -17,17 +17,17 @@ def _both_ways(e: DataFrame) -> DataFrame:
     return e.select("a", "b").union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
 
 
-def _large_star(ws: Workspace, e: DataFrame) -> DataFrame:
+def _large_star(ws: Workspace, e: DataFrame, n: int) -> DataFrame:
     """Tie each vertex's larger neighbours to the least vertex around it (itself included)."""
     nb = _both_ways(e)
-    low = ws.save(nb.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m")), "low")
+    low = ws.save(nb.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m")), "low", 2 * n)
     return nb.filter("b > a").join(low, "a").select(F.col("m").alias("a"), "b").filter("a <> b").distinct()
 
 
-def _small_star(ws: Workspace, e: DataFrame) -> DataFrame:
+def _small_star(ws: Workspace, e: DataFrame, n: int) -> DataFrame:
     """Tie each vertex and its smaller neighbours to the least of them."""
     down = e.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-    low = ws.save(down.groupBy("a").agg(F.min("b").alias("m")), "low")
+    low = ws.save(down.groupBy("a").agg(F.min("b").alias("m")), "low", n)
     return down.join(low, "a").select(F.col("m").alias("a"), "b").filter("a <> b").union(low.select(F.col("m").alias("a"), F.col("a").alias("b"))).distinct()
 
 
@@ -43,14 +43,14 @@ def components(spark: SparkSession, edges: DataFrame, a: str = "a", b: str = "b"
         return _min_label(ws, e)
     if method != "star":
         raise ValueError(f"unknown method {method!r}")
-    last = None
+    last, n = None, e.count()
     while True:
-        e = ws.save(_small_star(ws, _large_star(ws, e)), "star")
+        e = ws.save(_small_star(ws, _large_star(ws, e, n), n), "star", n)  # no round adds edges
         # the total of (parent, child) pairs stands still only when every edge ends at a root
         now = e.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if now == last:
             break
-        last = now
+        last, n = now, max(n, now[0])
     return e.select(F.col("b").alias("v"), F.col("a").alias("c")).union(e.select(F.col("a").alias("v"), F.col("a").alias("c"))).distinct()
 
 

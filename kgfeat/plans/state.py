@@ -26,6 +26,9 @@ def shared_root(spark: SparkSession) -> str:
     return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_kgfeat_state"
 
 
+ROWS_A_FILE = 100_000
+
+
 class Workspace:
     """A private folder below the shared one; every save is a committed Parquet table."""
 
@@ -37,9 +40,12 @@ class Workspace:
     def path(self, name: str) -> str:
         return f"{self.base}/{name}"
 
-    def save(self, df: DataFrame, name: str) -> DataFrame:
-        """Write df, read it back with a fresh lineage."""
+    def save(self, df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
+        """Write df, read it back with a fresh lineage. rows, a bound of its rows if one is known, keeps
+        small tables in few files."""
         self._n += 1
+        if rows is not None:
+            df = df.coalesce(max(1, -(-rows // ROWS_A_FILE)))
         path = self.path(f"{self._n:03d}-{name}")
         df.write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
