@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgfeat.llm import chat, decontam, mixing, pii, quality, sharding, simhash, toxicity, urlfilter, warc
+from kgfeat.llm import chat, decontam, mixing, oracles, pii, quality, sharding, simhash, toxicity, urlfilter, warc
 
 
 #: stands in for a key from a secret store
@@ -39,8 +39,7 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_chat_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = chat.rotate(spark, _read(spark, sf_dir, "conversations"))
-    return out.withColumn("segment_crc32", F.crc32("segment"))
+    return chat.rotate(spark, _read(spark, sf_dir, "conversations"))
 
 
 def op6_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -67,4 +66,5 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_rules, op2_decontamination, op3_toxicity, op4_sharding, op5_chat_rotation, op6_pii_pseudonyms, op7_warc, op8_url_filter, op9_simhash, op10_mixing)}
-ORACLES: dict[str, str] = {}
+#: the others rest on XXH64, CRC-32, SHA-256 networks, alignments, or fitted models: tests hold them against brute force
+ORACLES: dict[str, str] = {"op1_quality_rules": oracles.quality_rules(), "op5_chat_rotation": oracles.chat_rotation(), "op7_warc": oracles.warc_records(), "op10_mixing": oracles.mixing_sources()}
