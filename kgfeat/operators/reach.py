@@ -16,7 +16,7 @@ def bfs(ws: Workspace, arc: DataFrame, seeds: DataFrame, k: int | None) -> tuple
     k None: on to the fixpoint. A seed is never its own neighbour, but may be another seed's.
     Each round joins the frontier with arcs, removes seen pairs, and is committed.
     """
-    seen = ws.save(seeds.select("seed", F.col("seed").alias("v"), F.lit(0).alias("dist")), "seeds")
+    seen = seeds.select("seed", F.col("seed").alias("v"), F.lit(0).alias("dist"))
     levels, front, h = [], seen, 0
     while k is None or h < k:
         found = front.select("seed", F.col("v").alias("src")).join(arc.select("src", "dst"), "src").select("seed", F.col("dst").alias("v")).distinct()

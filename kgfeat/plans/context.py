@@ -61,17 +61,15 @@ def prepare(spark: SparkSession, triples: DataFrame, seeds: DataFrame, params: M
     ws = ws or Workspace(spark, "mine")
     t = triples.select("s", "p", "o").na.drop().distinct()
     s = seeds.select("seed").na.drop().distinct()
+    t = ws.save(t, "triples")
     if params.canonicalise:
-        same = t.filter(F.col("p") == params.identity)
-        t = ws.save(t, "triples")
         same = t.filter(F.col("p") == params.identity)
         pred_canon = canon.canonical_map(spark, pred_same, ws=ws) if pred_same is not None else None
         if not same.isEmpty():
             merged = ws.save(canon.canonical_map(spark, same, "s", "o", method, ws), "canon")
-            t, s = canon.contract(t, merged, params.identity, pred_canon), canon.contract_seeds(s, merged)
+            t, s = ws.save(canon.contract(t, merged, params.identity, pred_canon), "canonical"), canon.contract_seeds(s, merged)
         elif pred_canon is not None:
-            t = canon.contract(t, spark.createDataFrame([], "v string, c string"), params.identity, pred_canon)
-    t = ws.save(t, "canonical")
+            t = ws.save(canon.contract(t, spark.createDataFrame([], "v string, c string"), params.identity, pred_canon), "canonical")
     s = ws.save(s.select(dictionary.code(F.col("seed")).alias("seed")), "seeds")
     inst = ws.save(t.filter(F.col("p") == TYPE).select(dictionary.code(F.col("s")).alias("v"), dictionary.code(F.col("o")).alias("class")), "instances")
     sub_s = t.filter(F.col("p") == SUBCLASS)

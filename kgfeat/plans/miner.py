@@ -55,7 +55,7 @@ def mine_path_features(ctx: Context) -> Mined:
     first = ctx.arc.join(ctx.seeds.select(F.col("seed").alias("src")), "src", "left_semi").join(near.withColumnRenamed("v", "dst"), "dst", "left_semi")
     grown = first.groupBy("pred", F.col("dst").alias("v")).agg(F.array_sort(F.collect_set("src")).alias("seeds"))
     grown = ws.save(grown.withColumns({"sset": supports.sset_id(F.col("seeds")), "size": F.size("seeds").cast("long"), "fid": F.lit(0).cast("long"), "n": F.lit(1).cast("long")}), "paths-1")
-    sset = ws.save(grown.select("sset", "seeds", "size").dropDuplicates(["sset"]), "sset-1")
+    sset = grown.select("sset", "seeds", "size").dropDuplicates(["sset"])
     ext = grown.select("fid", "pred", "v", "sset", "size", "n")
     root = ctx.spark.createDataFrame([(0, [], [], [], [], False, None, None, None)], "fid long, preds array<bigint>, elems array<bigint>, classes array<boolean>, ancs array<array<bigint>>, is_pattern boolean, sel long, sel_sset string, sel_class boolean")
     feats, deps = root, None
@@ -110,6 +110,8 @@ def mine_path_features(ctx: Context) -> Mined:
         gone = chosen.filter("clash").select(F.col("sel").alias("fid")).distinct()
         added.append(chosen)
         removed.append(gone)
+        if h == p.k:
+            break
 
         live = paths if faithful or not p.prune else paths.filter(F.col("size") >= p.l_min)
         live = live.unionByName(pats)

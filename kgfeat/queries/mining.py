@@ -251,3 +251,33 @@ add(
         "SELECT DISTINCT '-['||a.pred||']-> '||a.dst||' -['||b.pred||']-> '||b.dst AS path, (1 + x.g) * (1 + y.g) - 1 AS n FROM arc_ok a JOIN seeds ON a.src = seed JOIN arc_ok b ON b.src = a.dst JOIN (SELECT v, count(*) AS g FROM lev GROUP BY v) x ON x.v = a.dst JOIN (SELECT v, count(*) AS g FROM lev GROUP BY v) y ON y.v = b.dst JOIN reach r ON r.seed = a.src AND r.v = b.dst AND r.dist = 2",
     ),
 )
+
+
+def recall_of_pruning(spark: SparkSession, d: str) -> DataFrame:
+    """How many of the features that the exhaustive run would select are found."""
+    p = replace(PART, k=2)
+    found = _result(spark, d, "part", "part", p).path_features()
+    every = _result(spark, d, "part", "part", replace(p, engine="faithful", type_filter=False, specificity="off", prune=False, drop_single=False)).path_features()
+    return metrics.recall(found, every)
+
+
+_p = replace(PART, k=2)
+_q = replace(_p, type_filter=False, specificity="off", prune=False, drop_single=False)
+add("recall_of_pruning", recall_of_pruning, f"SELECT count(b.feature) AS both, count(*) AS wanted FROM ({oracle.features('part', 'part', _q, near=False)}) a LEFT JOIN ({oracle.features('part', 'part', _p, near=False)}) b USING (feature)")
+
+
+def storage_footprint(spark: SparkSession, d: str) -> DataFrame:
+    """Bytes of features repeated in every cell, and kept once under an integer."""
+    return dictionary.footprint(_result(spark, d, "part", "part", replace(PART, k=2)).mined.features)
+
+
+add("storage_footprint", storage_footprint, f"SELECT count(*) AS features, sum(support)::BIGINT AS cells, sum(16 * len * support)::BIGINT AS bytes_lists, sum(16 * len + 8 * support)::BIGINT AS bytes_ids FROM ({oracle.features('part', 'part', _p, near=False)})")
+
+
+def parameter_guidance(spark: SparkSession, d: str) -> DataFrame:
+    ctx = _context(spark, d, "star", "part", replace(PART, d=None), found=False)
+    return metrics.guidance(spark, ctx).filter("what in ('degree_max', 'k_full', 't_full')")
+
+
+_p = replace(PART, d=None, t=None)
+add("parameter_guidance", parameter_guidance, oracle.with_(oracle.base("star", "part", _p, full=True), "SELECT 'degree_max' AS what, max(n) AS n FROM deg UNION ALL SELECT 'k_full', max(d) FROM (SELECT min(dist) AS d FROM reach GROUP BY v) UNION ALL SELECT 't_full', max(l) FROM (SELECT min(level) AS l FROM lev GROUP BY cls)"))

@@ -18,6 +18,7 @@ def spark():
         .config("spark.ui.showConsoleProgress", "false")
         .config("spark.sql.session.timeZone", "UTC")
         .config("spark.driver.memory", "4g")
+        .config("spark.sql.codegen.wholeStage", "false")  # tests are many small plans: compiling them takes longer than running them
         .getOrCreate()
     )
     s.sparkContext.setLogLevel("ERROR")

@@ -17,8 +17,7 @@ def found(r):
     return {x["feature"] for x in r.path_features().collect()}
 
 
-@pytest.mark.parametrize("engine", ["factorised", "faithful"])
-@pytest.mark.parametrize("specificity", ["join", "trie", "hierarchy"])
+@pytest.mark.parametrize(("engine", "specificity"), [("factorised", "join"), ("faithful", "trie"), ("factorised", "hierarchy")])
 def test_gold_features(spark, engine, specificity):
     r = run(spark, engine=engine, specificity=specificity)
     assert found(r) == GOLD
@@ -49,8 +48,7 @@ CASES = [
 ]
 
 
-@pytest.mark.parametrize("engine", ["factorised", "faithful"])
-@pytest.mark.parametrize(("changes", "want"), CASES)
+@pytest.mark.parametrize(("engine", "changes", "want"), [*(("factorised", *c) for c in CASES), ("faithful", *CASES[1]), ("faithful", *CASES[3])])
 def test_variations(spark, engine, changes, want):
     assert found(run(spark, engine=engine, **changes)) == want
 
