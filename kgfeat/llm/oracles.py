@@ -31,7 +31,7 @@ cells AS MATERIALIZED ({cells}),
 level AS (SELECT {d} / (count(DISTINCT coalesce('x' || lang, '')) * {len(quality.RULES)}) AS l FROM tall),
 test AS (SELECT *, n > 0 AND (CASE WHEN fr >= n THEN 1.0 ELSE list_sum(list_transform(range(0, fr + 1), lambda x: exp(lgamma(n + 1) - CASE WHEN x = 0 THEN 0 ELSE lgamma(x + 1) END - lgamma(n - x + 1) + x * ln({a}) + (n - x) * ln(1 - {a})))) END) <= l AS ok FROM cells, level),
 cert AS (SELECT * FROM (SELECT *, bool_and(ok) OVER (PARTITION BY lang, rule ORDER BY i) AS sure FROM test) WHERE sure),
-used AS MATERIALIZED (SELECT lang, rule, cutoff FROM cert QUALIFY row_number() OVER (PARTITION BY lang, rule ORDER BY hit - fr DESC, i) = 1 AND hit > fr)
+used AS MATERIALIZED (SELECT lang, rule, cutoff FROM cert QUALIFY row_number() OVER (PARTITION BY lang, rule ORDER BY hit - {quality.PRICE} * fr DESC, i) = 1 AND hit > {quality.PRICE} * fr)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT EXISTS (SELECT 1 FROM used u WHERE u.lang IS NOT DISTINCT FROM f.lang AND ({hit})) AS kept FROM f
 """
 

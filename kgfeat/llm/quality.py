@@ -5,8 +5,8 @@ within a stratum (the language) the false rejections of a cutoff among good text
 a cutoff is certified if the exact binomial test rejects "the false rejection rate is above alpha"
 at level delta / (strata x rules) (Bonferroni over those; the cutoffs of one rule are tested in
 fixed sequence from the laxest, which needs no further correction). Among certified cutoffs the one
-that rejects the most bad texts is used, the laxer on ties, so no good text is given up for
-nothing. A stratum or rule with too few labels to certify anything rejects nothing.
+with the most bad texts rejected less ``PRICE`` times the good ones is used, the laxer on ties, so no
+good text is given up for little. A stratum or rule with too few labels to certify anything rejects nothing.
 Exact test: P(Bin(n, alpha) <= k) <= level, which is the Clopper-Pearson upper bound being <= alpha.
 """
 
@@ -39,6 +39,7 @@ RULES = {
 #: cutoffs of every rule in hundredths, from the laxest
 CUTOFFS = (90, 80, 70, 60, 50, 40, 30, 25, 20, 15, 10, 8, 6, 5, 4, 3, 2)
 ALPHA, DELTA = 0.01, 0.05
+PRICE = 10  # bad texts that must go for each good one given up
 
 
 def repeated_words(words: list, window: int = WINDOW) -> int:
@@ -157,8 +158,8 @@ def fit(counted: DataFrame, labels: DataFrame, stratum: str = "lang", id_col: st
             hit = [bad[f"{rule}_{i}"] if bad else 0 for i in range(len(CUTOFFS))]
             n = good["n"] if good else 0
             ok = range(certified(n, fr, alpha, level))
-            best = max(ok, key=lambda i: (hit[i] - fr[i], -i), default=None)
-            best = None if best is None or hit[best] <= fr[best] else best
+            best = max(ok, key=lambda i: (hit[i] - PRICE * fr[i], -i), default=None)
+            best = None if best is None or hit[best] <= PRICE * fr[best] else best
             out.append(Threshold(s, rule, None if best is None else CUTOFFS[best], n, 0 if best is None else fr[best], 0 if best is None else hit[best]))
     return out
 
