@@ -62,7 +62,12 @@ def log_ratios(ws: Workspace, train: DataFrame, wanted: DataFrame, order: int =
         grams = train.groupBy(F.right("w", F.lit(k + 1)).alias("g")).agg(F.sum("good").alias("ng"), F.sum("bad").alias("nb"))
         ctx = grams.groupBy(F.substring("g", 1, k).alias("c")).agg(F.sum("ng").alias("tg"), F.sum("nb").alias("tb"), F.sum((F.col("ng") > 0).cast("long")).alias("dg"), F.sum((F.col("nb") > 0).cast("long")).alias("db"))
         own = p.withColumn("g", F.right("w", F.lit(k + 1))).withColumn("c", F.substring("g", 1, k))
-        own = own.join(grams, "g", "left").join(ctx, "c", "left") if k else own.join(grams, "g", "left").crossJoin(F.broadcast(ctx.drop("c")))
+        own = own.join(grams, "g", "left")
+        if k:
+            own = own.join(ctx, "c", "left")
+        else:  # the empty context: one row of totals, if there is any
+            total = ctx.drop("c").first()
+            own = own.withColumns({n: F.lit(total[n] if total else 0) for n in ("tg", "tb", "dg", "db")})
 
         def mixed(q: str, n: str, t: str, d: str) -> Column:
             total = F.coalesce(F.col(t), F.lit(0)) + F.coalesce(F.col(d), F.lit(0))
