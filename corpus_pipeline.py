@@ -18,7 +18,7 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the least id of each group stays; rows that share that id stay with it."""
+    """The document with the least id of each group stays."""
     return simhash.one_of_each(spark, docs)
 
 

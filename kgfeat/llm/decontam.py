@@ -22,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, types as T
 from pyspark.sql import functions as F
 
+from kgfeat.llm.text import with_row_key
 from kgfeat.plans.state import Workspace
 
 WORD = re.compile(r"[^\W_]+")
@@ -223,6 +224,7 @@ def leaks(spark: SparkSession, docs: DataFrame, items: DataFrame, id_col: str =
 
 
 def clean_documents(spark: SparkSession, docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", ws: Workspace | None = None, **how: object) -> DataFrame:
-    """The rows of docs whose id has no match (a null id equals a null id)."""
-    bad = leaks(spark, docs, items, id_col, text_col, ws=ws, **how).select("id").distinct()
-    return docs.join(bad, docs[id_col].eqNullSafe(bad["id"]), "left_anti")
+    """The rows of docs that have no match; of rows that share an id only those with a match go."""
+    keyed, key = with_row_key(docs, id_col, text_col)
+    bad = leaks(spark, keyed, items, key, text_col, ws=ws, **how).select("id").distinct()
+    return keyed.join(bad, keyed[key] == bad["id"], "left_anti").drop(key)

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgfeat.llm.text import words_of
+from kgfeat.llm.text import with_row_key, words_of
 from kgfeat.operators.canon import components
 from kgfeat.plans.state import Workspace
 
@@ -192,10 +192,11 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
 
 def one_of_each(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ws: Workspace | None = None, **how: object) -> DataFrame:
     """The rows of docs with the least id of their group. Rows that share an id are told apart by their
-    text, and rows alike in both count as one document, of which one stays."""
+    text, the least hash first; rows alike in both count as one document, of which one stays."""
     ws = ws or Workspace(spark, "simhash")
-    groups = near_duplicates(spark, docs, id_col, text_col, ws=ws, **how)
-    gone = ws.save(groups.filter(~F.col("id").eqNullSafe(F.col("component_id"))).select("id").distinct(), "gone")
-    left = docs.join(gone, docs[id_col].eqNullSafe(gone["id"]), "left_anti")
-    ids = groups.agg(F.count("*"), F.countDistinct(F.struct("id"))).first()
-    return left if ids[0] == ids[1] else left.dropDuplicates([id_col])
+    keyed, key = with_row_key(docs, id_col, text_col)
+    groups = near_duplicates(spark, keyed, key, text_col, ws=ws, **how)
+    gone = ws.save(groups.filter(F.col("id") != F.col("component_id")).select("id").distinct(), "gone")
+    left = keyed.join(gone, keyed[key] == gone["id"], "left_anti")
+    rows = groups.agg(F.count("*"), F.countDistinct("id")).first()
+    return (left if rows[0] == rows[1] else left.dropDuplicates([key])).drop(key)

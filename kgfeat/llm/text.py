@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 BLANKS = " \t\n\x0b\x0c\r"
@@ -22,3 +22,12 @@ def words_of(text: str | None) -> list[bytes]:
 def key_of(col: Column) -> Column:
     """A string key in which null is a value of its own, sorted last."""
     return F.when(col.isNull(), F.lit("1")).otherwise(F.concat(F.lit("0"), col.cast("string")))
+
+
+def with_row_key(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, str]:
+    """docs with a key that tells rows of one id apart by their text, ordered by id with null last; its name."""
+    name = "_row"
+    while name in docs.columns:
+        name += "_"
+    c = F.col(id_col)
+    return docs.withColumn(name, F.struct(c.isNull().alias("none"), c.alias("i"), F.xxhash64(text_col).alias("h"))), name

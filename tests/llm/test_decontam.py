@@ -75,3 +75,12 @@ def test_seeds_leave_out_common_phrases_alone():
     assert it.seeds(df) == {(0, g) for g in range(11)}
     assert it.seeds({}) == set()
     assert it.seeds({4: 10**9}) == {(0, 4)}
+
+
+def test_clean_documents_where_ids_repeat(spark):
+    item = "one two three four five six seven eight nine ten eleven"
+    docs = spark.createDataFrame([(1, f"start {item} end", 0), (1, "something else entirely", 1), (1, None, 2), (None, item, 3), (None, "clean words only", 4)], "doc_id long, text string, id int")
+    bench = spark.createDataFrame([(7, item)], "item_id long, text string")
+    left = dc.clean_documents(spark, docs, bench)
+    assert left.columns == docs.columns
+    assert sorted(r["id"] for r in left.collect()) == [1, 2, 4]

@@ -125,3 +125,15 @@ def test_near_duplicates_against_brute_force(spark):
     assert left.columns == df.columns
     assert sorted(r["doc_id"] for r in left.collect()) == sorted({c for *_, c in want})
     assert sh.near_duplicates(spark, df.limit(0)).count() == 0
+
+
+def test_one_of_each_where_ids_repeat(spark):
+    rng = random.Random(3)
+    a, b, c = (" ".join(rng.choice("abcdefghijkl") * rng.randrange(1, 4) for _ in range(200)) for _ in range(3))
+    rows = [(3, a), (5, a), (5, b), (5, b), (5, c), (9, c), (None, b), (None, "alone")]
+    df = spark.createDataFrame([(i, t, k) for k, (i, t) in enumerate(rows)], "doc_id long, text string, _row int")
+    left = sh.one_of_each(spark, df)
+    assert left.columns == df.columns
+    # one row of each group of texts: of a under 3, of b and c under 5, and the text that stands alone
+    assert sorted((str(r["doc_id"]), r["text"]) for r in left.collect()) == sorted([("3", a), ("5", b), ("5", c), ("None", "alone")])
+    assert sh.one_of_each(spark, df.limit(0)).count() == 0
