@@ -37,8 +37,8 @@ def by_kind_and_length(result: MiningResult) -> DataFrame:
 
 def ratios(rows: DataFrame, over: str, under: str) -> DataFrame:
     """(over, under, ratio) of two stages of a ladder."""
-    a, b = rows.filter(F.col("stage") == over).select(F.col("n").alias("over")), rows.filter(F.col("stage") == under).select(F.col("n").alias("under"))
-    return a.join(b).withColumn("ratio", F.when(F.col("under") > 0, F.col("over") / F.col("under")))
+    n_of = lambda stage: F.max(F.when(F.col("stage") == stage, F.col("n")))
+    return rows.agg(n_of(over).alias("over"), n_of(under).alias("under")).withColumn("ratio", F.when(F.col("under") > 0, F.col("over") / F.col("under")))
 
 
 def saturation(ctx: Context) -> DataFrame:
