@@ -1,4 +1,4 @@
-"""Corpus pipeline: quality rules, SimHash near-duplicates, benchmark decontamination, mixing, sharding.
+"""Corpus pipeline: quality rules, near-duplicates, benchmark decontamination, mixing, sharding.
 
 Each stage reads what the one before it wrote. ``run`` applies all to ``documents``.
 """
@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgfeat.llm import decontam, mixing, quality, sharding, simhash
+from kgfeat.llm import decontam, mixing, neardup, quality, sharding
 from kgfeat.plans.state import Workspace
 
 
@@ -18,8 +18,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the least id of each group stays."""
-    return simhash.one_of_each(spark, docs)
+    """The document with the least id of each group stays; links are 5-word Jaccard similarities of 0.8 or more."""
+    return neardup.one_of_each(spark, docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
