@@ -4,10 +4,11 @@ Smith-Waterman alignment of the words scores them.
 Words are runs of letters and digits, lower-cased. Every n-gram of every item is counted by the
 documents that hold it (all documents). An item's seeds are its n-grams whose count is at most
 ``TIMES`` the median over the item's n-grams found, plus ``SLACK``: phrases far commoner than the
-rest of the item are left out, while those that its own copies share, edited ones too, stay seeds
-however often the item has leaked. Around the hits of an
-item's seeds a window of the document is aligned with the item; the score is the share of the
-best possible score. Items are taken in blocks of bounded size against all documents, so what is
+rest of the item are left out, while those that its own copies share stay seeds however often the
+item has leaked. Around the hits of an item's seeds a window of the document is aligned with the
+item; the score is the share of the best possible score. Hits that are no seeds have windows too,
+which are aligned unless the words shared with the item are too few for the score asked, whatever
+their order: copies whose own n-grams were left out as common are found by these. Items are taken in blocks of bounded size against all documents, so what is
 sent to executors never exceeds ``block_words`` words of items.
 """
 
@@ -130,14 +131,21 @@ def align(a: np.ndarray, b: np.ndarray) -> tuple[int, int, int]:
     return best, best_end, best_beg
 
 
+def within_reach(item: np.ndarray, part: np.ndarray, score: float) -> bool:
+    """False if no alignment of the item with these words can have the score: matched words are in both."""
+    return min(np.isin(part, item).sum(), np.isin(item, part).sum()) >= score * len(item)
+
+
 def matches(items: Items, seeds: set[tuple[int, int]], a: np.ndarray, score: float = SCORE) -> list[tuple[int, int, float, int, int]]:
-    """(item, seed hits, score, first word, end word) of every item aligned with the words a."""
+    """(item, seed hits, score, first word, end word) of every item aligned with the words a. An item
+    found with no seed counts all its hits."""
     pos, gram = items.hits(a)
-    spots = defaultdict(list)
+    spots, seeded = defaultdict(list), defaultdict(list)
     for p, g in zip(pos.tolist(), gram.tolist(), strict=True):
         for k, off in items.where[g]:
+            spots[k].append(p - off)
             if (k, g) in seeds:
-                spots[k].append(p - off)
+                seeded[k].append(p - off)
     out = []
     for k, starts in spots.items():
         item, size = items.ids[k], len(items.ids[k])
@@ -155,10 +163,12 @@ def matches(items: Items, seeds: set[tuple[int, int]], a: np.ndarray, score: flo
         spans.append((lo, hi))
         for lo, hi in spans:
             lo, hi = max(lo, 0), min(hi, len(a))
+            if not within_reach(item, a[lo:hi], score):
+                continue
             got, end, beg = align(item, a[lo:hi])
             found = max(found, (got / (MATCH * size), -(lo + beg), lo + end))
         if found[0] >= score:
-            out.append((k, len(starts), found[0], -found[1], found[2]))
+            out.append((k, len(seeded[k] or starts), found[0], -found[1], found[2]))
     return out
 
 

@@ -84,3 +84,23 @@ def test_clean_documents_where_ids_repeat(spark):
     left = dc.clean_documents(spark, docs, bench)
     assert left.columns == docs.columns
     assert sorted(r["id"] for r in left.collect()) == [1, 2, 4]
+
+
+def test_edited_copies_whose_grams_are_commoner_than_the_item(spark):
+    rng = random.Random(6)
+    item = _words(rng, 40)
+    copy = ["other" if at % 8 == 4 else w for at, w in enumerate(item)]
+    rows = [(0, " ".join(item)), *((i, " ".join(copy)) for i in range(1, 31))]
+    # one seed far from the copy does not stand for it
+    rows += [(50, " ".join([*item[2:6], *_words(rng, 300), *copy])), (60, " ".join([*_words(rng, 50), *item[6:10], *_words(rng, 50)]))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = dc.leaks(spark, docs, spark.createDataFrame([(7, " ".join(item))], "item_id long, text string")).collect()
+    assert sorted(r["id"] for r in got) == [*range(31), 50]
+
+
+@pytest.mark.parametrize("seed", range(20))
+def test_windows_out_of_reach_cannot_have_the_score(seed):
+    rng = random.Random(seed)
+    for _ in range(20):
+        item, part = (np.array([rng.randrange(12) for _ in range(rng.randrange(4, 20))]) for _ in range(2))
+        assert dc.within_reach(item, part, 0.5) or brute_align(item, part) < 0.5 * dc.MATCH * len(item)
