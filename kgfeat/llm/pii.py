@@ -69,21 +69,39 @@ def _long(d: Column) -> Column:
     return d.cast("long")
 
 
+def card_parts(m: Column) -> Column:
+    """(before, card, after) of a run of digit groups: the longest part from edge to edge of groups that
+    is a valid card, the first of equals; null if there is none."""
+    groups = F.split(m, "(?<=[ -])", -1)  # each with the separator after it
+    spans = F.flatten(F.transform(F.sequence(F.lit(1), F.size(groups)), lambda i: F.transform(F.sequence(i, F.size(groups)), lambda j: F.struct(i.alias("i"), (j - i + 1).alias("n")))))
+
+    def cut(s: Column) -> Column:
+        before = F.array_join(F.slice(groups, F.lit(1), s["i"] - 1), "")
+        card = F.regexp_replace(F.array_join(F.slice(groups, s["i"], s["n"]), ""), "[ -]$", "")
+        return F.struct(F.length(_digits(card)).alias("n"), (-F.length(before)).alias("at"), before.alias("before"), card.alias("card"), F.substring(m, F.length(before) + F.length(card) + 1, F.length(m)).alias("after"))
+
+    return F.array_max(F.filter(F.transform(spans, cut), lambda c: c["n"].between(13, 19) & (luhn_sum(_digits(c["card"])) % 10 == 0)))
+
+
 def pseudonym(m: Column, key: str) -> Column:
     """The pseudonym of one match, or the match itself where validation fails."""
     d = _digits(m)
 
     # cards: all digits but the check digit are permuted, the check digit is made right again
-    def card(n: int) -> Column:
-        free = n - 1
+    def card(m: Column, n: int) -> Column:
+        d, free = _digits(m), n - 1
         lo = free // 2
         body = F.lpad(feistel(_long(F.substring(d, 1, free)), 10 ** (free - lo), 10**lo, key, f"card{n}").cast("string"), free, "0")
         check = ((10 - luhn_sum(F.concat(body, F.lit("0"))) % 10) % 10).cast("string")
         return _refill(m, F.concat(body, check))
 
-    cards = F.lit(None).cast("string")
-    for n in range(13, 20):
-        cards = F.when((F.length(d) == n) & (luhn_sum(d) % 10 == 0), card(n)).otherwise(cards)
+    def in_place(p: Column) -> Column:
+        new = F.lit(None).cast("string")
+        for n in range(13, 20):
+            new = F.when(p["n"] == n, card(p["card"], n)).otherwise(new)
+        return F.concat(p["before"], new, p["after"])
+
+    cards = F.element_at(F.transform(F.array(card_parts(m)), in_place), 1)
     # telephone: a first digit of 2 to 9 stays in that range
     first = F.substring(d, 1, 1).cast("long")
     ranged = F.lpad((feistel((first - 2) * 10**9 + _long(F.substring(d, 2, 9)), 80_000, 100_000, key, "phone") + 2 * 10**9).cast("string"), 10, "0")

@@ -91,3 +91,14 @@ def test_plan_has_no_python(spark):
     df = pii.pseudonymise(spark.createDataFrame([("x",)], "text string"), KEY)
     plan = df._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan
+
+
+def test_cards_beside_other_digits(spark):
+    card, hidden = "4111 1111 1111 1111", "4111111111111111"
+    texts = [f"{card} 12/27", f"{hidden} 123", f"{hidden}", f"12 {card}", "1234 5678 9012 3456 78", f"{card} 12/27 and {hidden}"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = [r["text"] for r in pii.pseudonymise(df, "k").orderBy("doc_id").collect()]
+    assert all(card not in t and hidden not in t for t in got)
+    new = got[2]
+    spaced = " ".join(new[i : i + 4] for i in range(0, 16, 4))
+    assert got == [f"{spaced} 12/27", f"{new} 123", new, f"12 {spaced}", texts[4], f"{spaced} 12/27 and {new}"]
