@@ -255,7 +255,7 @@ def held_out(ident: Column, folds: int = 5) -> Column:
 
 
 def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", contexts: int = 10, share: float = 0.6, fit_rows: int = FIT_ROWS, ws: Workspace | None = None) -> Model:
-    """Lexicon from all labelled training rows, weights from ``fit_rows`` of them at most (least hashes)."""
+    """Lexicon and harmless look-alikes from all labelled training rows, weights from ``fit_rows`` of them at most (least hashes)."""
     ws = ws or Workspace(spark, "toxicity")
     train = labels.filter("toxic is not null").filter(~held_out(F.col(id_col))).select(F.col(id_col).alias("i"), (F.col("toxic") > 0).cast("int").alias("y")).groupBy("i").agg(F.max("y").alias("y"))
     train = ws.save(train, "train")
@@ -304,12 +304,19 @@ def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str =
             near = [[w for w, _, e, _ in m.hits(t.as_py()) if e] if x[2] else [] for t, x in zip(b.column(1), f, strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x.tolist() for x in f], pa.list_(pa.float64())), pa.array(near, pa.list_(pa.string()))], names=["y", "x", "near"])
 
+    def near_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = sent.value
+        for b in batches:
+            y, w = [], []
+            for label, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                near = [x for x in set(WORD.findall(t.as_py().lower())) if (h := m.look(x)) and h[1]]
+                y += [label] * len(near)
+                w += near
+            yield pa.RecordBatch.from_arrays([pa.array(y, pa.int32()), pa.array(w, pa.string())], names=["y", "w"])
+
+    tally = rows.select("y", "t").mapInArrow(near_words, "y int, w string").groupBy("w").agg(F.sum(1 - F.col("y")).alias("clean"), F.sum("y").alias("bad"))
+    model.harmless = frozenset(r["w"] for r in tally.filter("clean > 0 and clean >= bad").select("w").collect())
     got = sample.select("y", "t").mapInArrow(describe, "y int, x array<double>, near array<string>").collect()
-    count: dict[str, list[int]] = {}
-    for r in got:
-        for w in set(r["near"]):
-            count.setdefault(w, [0, 0])[r["y"]] += 1
-    model.harmless = frozenset(w for w, (c, t) in count.items() if c and c >= t)
     calm = np.array([not any(w in model.harmless for w in r["near"]) for r in got])
     x, y = np.array([r["x"] for r in got]), np.array([r["y"] for r in got], float)
     model.weights = fit_logistic(x[calm], y[calm]) if calm.any() else PRIOR.copy()

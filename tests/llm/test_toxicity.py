@@ -109,3 +109,13 @@ def test_no_labels(spark):
     lab = spark.createDataFrame([], "doc_id long, toxic int")
     m = tx.learn(spark, docs, lab)
     assert tx.score_documents(spark, docs, m).first()["score"] == pytest.approx(m.judge("")[0])
+
+
+def test_harmless_words_come_from_all_training_rows(spark):
+    rows, labels = _corpus()
+    rows = [(i, t + " morom" if i % 6 and i % 7 == 0 else t) for i, t in rows]
+    docs, lab = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, toxic int")
+    few = tx.learn(spark, docs, lab, fit_rows=1)
+    assert few.automaton.find("morom") == ("moron", 1)
+    assert "morom" in few.harmless and not few.hits("a morom")
+    assert few.harmless == tx.learn(spark, docs, lab).harmless
