@@ -229,4 +229,7 @@ def round_trip(spark: SparkSession, pages: DataFrame, id_col: str = "page_id", u
     made = write_archives(ws, plan_records(ws, pages, id_col, payload_col, least), folder or ws.path("archives"), id_col, url_col, payload_col)
     n = made.count()
     read = read_archives(made.repartition(max(1, n)), pages.schema[id_col].dataType)
-    return read.withColumn("ok", F.when(F.col("ok"), F.lit(True)).otherwise(F.raise_error(F.concat(F.lit("damaged record of page "), F.col("page_id").cast("string"))).cast("boolean")))
+    # tied to a column that every use of a record keeps, so that leaving out ok does not leave out the check
+    damaged = F.raise_error(F.concat(F.lit("damaged record of page "), F.coalesce(F.col("page_id").cast("string"), F.lit("null"))))
+    checked = {c: F.when(F.col("ok"), F.col(c)).otherwise(damaged.cast(read.schema[c].dataType)) for c in read.columns if c != "ok"}
+    return read.withColumns(checked)

@@ -65,3 +65,14 @@ def test_damage_is_found(spark):
     short = gzip.decompress(one)[:-100]
     with pytest.raises(EOFError):
         next(warc.read_stream(io.BytesIO(gzip.compress(short))))
+
+
+@pytest.mark.parametrize("kept", ["page_id", "payload_digest", "record_type"])
+def test_damage_fails_whatever_columns_are_kept(spark, tmp_path, monkeypatch, kept):
+    path = tmp_path / "one.warc.gz"
+    path.write_bytes(warc.record(2, "u", b"y" * 2000, hashlib.sha1(b"wrong").hexdigest(), None))
+    made = spark.createDataFrame([(f"file://{path}",)], "path string")
+    monkeypatch.setattr(warc, "write_archives", lambda *a, **k: made)
+    _, df = _pages(spark)
+    with pytest.raises(Exception, match="damaged record of page 2"):
+        warc.round_trip(spark, df).select(kept).collect()
