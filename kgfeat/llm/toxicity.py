@@ -133,11 +133,32 @@ class LexiconAutomaton:
         return end if end and (best is None or end[1] <= best[1]) else best
 
 
-def context_weight(text: str, start: int, before: list[str]) -> float:
+class Quotation:
+    """Whether a place of the text is inside quotation marks opened on its line; places are asked in order."""
+
+    def __init__(self, text: str):
+        self.text, self.at = text, 0
+        self._line()
+
+    def _line(self) -> None:
+        self.odd, self.open = False, dict.fromkeys(PAIRS, False)
+
+    def inside(self, start: int) -> bool:
+        part, self.at = self.text[self.at : start], start
+        if (k := part.rfind("\n")) >= 0:
+            part = part[k + 1 :]
+            self._line()
+        self.odd ^= part.count('"') % 2 == 1
+        for o, c in PAIRS.items():
+            begun, ended = part.rfind(o), part.rfind(c)
+            if begun != ended:
+                self.open[o] = begun > ended
+        return self.odd or any(self.open.values())
+
+
+def context_weight(quoted: bool, before: list[str]) -> float:
     """1 for plain use, less for a hit inside quotation marks or after a word that reports speech."""
-    line = text[max(text.rfind("\n", 0, start) + 1, start - 4000) : start]
-    inside = line.count('"') % 2 == 1 or any(line.rfind(o) > line.rfind(c) for o, c in PAIRS.items())
-    weight = 0.4 if inside else 1.0
+    weight = 0.4 if quoted else 1.0
     return weight * (0.5 if any(w in REPORTING for w in before) else 1.0)
 
 
@@ -168,11 +189,11 @@ class Model:
         found = {w: h for w in set(WORD.findall(low)) if (h := look(w))}
         if not found:
             return []
-        out, before = [], []
+        out, before, quotes = [], [], Quotation(low)
         for m in WORD.finditer(low):
             w = m.group()
             if h := found.get(w):
-                out.append((w, h[0], h[1], context_weight(low, m.start(), before[-SPAN:])))
+                out.append((w, h[0], h[1], context_weight(quotes.inside(m.start()), before[-SPAN:])))
             before.append(w)
             if len(before) > 4 * SPAN:
                 del before[: -2 * SPAN]

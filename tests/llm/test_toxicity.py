@@ -119,3 +119,11 @@ def test_harmless_words_come_from_all_training_rows(spark):
     assert few.automaton.find("morom") == ("moron", 1)
     assert "morom" in few.harmless and not few.hits("a morom")
     assert few.harmless == tx.learn(spark, docs, lab).harmless
+
+
+def test_quotation_in_lines_of_any_length():
+    m, far = tx.Model(AUTOMATON), "word " * 2000
+    weights = lambda text: [h[3] for h in m.hits(text)]
+    assert weights(f'"{far} idiot" idiot') == [0.4, 1.0]
+    assert weights(f'"{far}" {"word " * 10} idiot') == [1.0]
+    assert weights(f"“{far} idiot {far} idiot” idiot\n idiot") == [0.4, 0.4, 1.0, 1.0]
