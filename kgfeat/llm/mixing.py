@@ -8,11 +8,12 @@ from pyspark.sql import Column, DataFrame, SparkSession, types as T
 from pyspark.sql import functions as F
 
 from kgfeat.operators.prefix import prefix_sums
-from kgfeat.llm.text import key_of, word_count
+from kgfeat.llm.text import given_back, key_of, neutral, word_count
 from kgfeat.plans.state import Workspace
 
 WEIGHTS = (3.0, 1.0, 2.0)  # by the sources' order, repeating
 SHARE, MOST = 1.5, 2.0
+BROADCAST_SOURCES = 100_000
 
 
 def targets(sizes: list[int], weights: list[float], share: float = SHARE, most: float = MOST) -> list[float]:
@@ -55,19 +56,23 @@ def mix(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col:
     plan = [(r["k"], r["n"], g, round(g) // r["n"] if r["n"] else 0, round(g) % r["n"] if r["n"] else 0) for r, g in zip(tot, goal, strict=True)]
     table = spark.createDataFrame(plan, T.StructType([T.StructField("k", T.StringType()), T.StructField("source_size", T.LongType()), T.StructField("target", T.DoubleType()), T.StructField("epochs", T.LongType()), T.StructField("rest", T.LongType())]))
     part = F.least(F.col("size"), F.greatest(F.lit(0), F.col("rest") - F.col("before_size")))
-    return run.join(F.broadcast(table) if len(plan) <= 100_000 else table, "k").select("id", "source", "size", "source_size", "target", "epochs", part.alias("part"), (F.col("epochs") * F.col("size") + part).alias("taken"))
+    return run.join(F.broadcast(table) if len(plan) <= BROADCAST_SOURCES else table, "k").select("id", "source", "size", "source_size", "target", "epochs", part.alias("part"), (F.col("epochs") * F.col("size") + part).alias("taken"))
 
 
 def mixed_documents(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = 7, ws: Workspace | None = None, **how: object) -> DataFrame:
-    """The mix as rows of docs: each document as often as it is taken; the one at the cut is taken
-    whole if at least half of it is, since a document is the unit of this table.
+    """The mix as rows of docs, all columns: each document as often as it is taken; the one at the cut is
+    taken whole if at least half of it is, since a document is the unit of this table.
 
     The texts are not shuffled: each source's budget ends at one hash-random key, and a row compares
-    its own key with it. Rows that share an id share the key and are taken equally often.
+    its own key with it. Rows that share an id share the key and are taken equally often. A null source
+    is a source of its own; null and empty texts come along with the whole epochs of their source. An
+    empty table gives an empty result.
     """
+    ws = ws or Workspace(spark, "mixing")
     plan = mix(spark, docs, id_col, text_col, source_col, seed=seed, ws=ws, **how)
-    per = plan.groupBy(key_of(F.col("source")).alias("_k")).agg(F.max("epochs").alias("_epochs"), F.max(F.when(2 * F.col("part") >= F.greatest(F.col("size"), F.lit(1)), random_key(F.col("id"), seed))).alias("_upto"))
-    table = spark.createDataFrame(per.collect(), per.schema)  # one row a source
-    named = docs.withColumns({"_k": key_of(F.col(source_col)), "_r": random_key(F.col(id_col), seed)}).join(F.broadcast(table), "_k")
-    times = F.col("_epochs") + F.coalesce((F.col("_r") <= F.col("_upto")).cast("long"), F.lit(0))
-    return named.withColumn("_times", times.cast("int")).filter("_times > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*docs.columns)
+    per = ws.save(plan.groupBy(key_of(F.col("source")).alias("k")).agg(F.max("epochs").alias("epochs"), F.max(F.when(2 * F.col("part") >= F.greatest(F.col("size"), F.lit(1)), random_key(F.col("id"), seed))).alias("upto")), "budgets")
+    d, (i, s) = neutral(docs, id_col, source_col)
+    few = per.count() <= BROADCAST_SOURCES  # one row a source; beyond that the join is left to the planner
+    named = d.withColumns({"k": key_of(F.col(s)), "r": random_key(F.col(i), seed)}).join(F.broadcast(per) if few else per, "k")
+    times = (F.col("epochs") + F.coalesce((F.col("r") <= F.col("upto")).cast("long"), F.lit(0))).cast("int")
+    return given_back(named.filter(times > 0).withColumn("copy", F.explode(F.sequence(F.lit(1), times))), docs)

@@ -1,15 +1,19 @@
-"""Near-duplicates by exact Jaccard similarity of word shingles, found through several fingerprints a text.
+"""Near-duplicates by exact Jaccard similarity of word shingles: SimHash links first, then what they miss.
 
 Texts are sets of hashed ``shingle``-word runs, lower-cased (A-Z). Rows with equal sets form a class; only
-one text of a class takes part. A class has ``BANDS`` fingerprints, each made of ``ROWS`` minima of its
-set under fixed permutations; classes that share one meet in a cell. A pair of Jaccard 0.8 misses every
-cell with probability (1 - 0.8^4)^32 = 5e-8, more alike pairs less often. What meets is verified:
-
-1. In each cell the class of least key is compared with all others, each pair once over all cells.
-2. Cells whose classes are by then in one group cannot link anything more. In all others every class not
-   yet linked is compared, as a spanning forest, cells above ``cell_rows`` in pairs of chunks.
-
-A link is an exact Jaccard similarity of ``least`` or more, so no other pair is ever joined.
+one text of a class takes part. A link is an exact Jaccard similarity of ``least`` or more. Pairs to
+verify come from two searches:
+
+1. SimHash fingerprints of the sets that differ in ``max_bits`` or fewer bits, through the pivot
+   distance tables of ``simhash``. These are the closest pairs: at a Jaccard similarity of 0.8 a pair
+   of 64-bit SimHash fingerprints differs in about ten bits, and no radius catches nearly all such
+   pairs and leaves unrelated ones out. So this search alone cannot give the right groups.
+2. Classes have ``BANDS`` keys, each made of ``ROWS`` minima of the set under fixed permutations, and meet
+   in a cell where they share one. A pair of Jaccard 0.8 misses every cell with probability
+   (1 - 0.8^4)^32 = 5e-8, more alike pairs less often. Cells whose classes are in one group already link
+   nothing more. In the others the class of least key is compared with all that are not in its group,
+   and in cells of several groups after that, every class not yet linked, as a spanning forest, cells
+   above ``cell_rows`` in pairs of chunks.
 """
 
 from __future__ import annotations
@@ -23,8 +27,8 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgfeat.llm.simhash import _ends
-from kgfeat.llm.text import with_row_key, words_of
+from kgfeat.llm import simhash
+from kgfeat.llm.text import words_of
 from kgfeat.operators.canon import components
 from kgfeat.plans.state import Workspace
 
@@ -85,35 +89,27 @@ def forest(sets: list[np.ndarray], least: float = LEAST) -> list[tuple[int, int]
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, shingle: int = SHINGLE) -> DataFrame:
-    """(id, cls, cells): the class of a row's shingle set and its fingerprints."""
+    """(id, cls, fp, cells): the class of a row's shingle set, its SimHash fingerprint and its keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             sets = [shingle_set(t.as_py(), shingle) for t in b.column(1)]
             cls = pa.array([xxhash.xxh128_digest(s.tobytes()) for s in sets], pa.binary())
-            yield pa.RecordBatch.from_arrays([b.column(0), cls, pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))], names=["id", "cls", "cells"])
+            fp = np.fromiter((simhash.majority(s) for s in sets), np.uint64, count=len(sets))
+            yield pa.RecordBatch.from_arrays([b.column(0), cls, pa.array(fp.view(np.int64)), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))], names=["id", "cls", "fp", "cells"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t")).mapInArrow(run, f"id {kind}, cls binary, cells array<long>")
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t")).mapInArrow(run, f"id {kind}, cls binary, fp long, cells array<long>")
 
 
-def _groups(spark: SparkSession, ws: Workspace, classes: DataFrame, links: DataFrame) -> DataFrame:
+def _groups(spark: SparkSession, ws: Workspace, classes: DataFrame, links: DataFrame, name: str) -> DataFrame:
+    """(cls, c): the group of each class."""
     comp = components(spark, links, ws=ws)
-    return classes.select("cls").join(comp.withColumnRenamed("v", "cls"), "cls", "left").select("cls", F.coalesce("c", "cls").alias("c"))
+    return ws.save(classes.select("cls").join(comp.withColumnRenamed("v", "cls"), "cls", "left").select("cls", F.coalesce("c", "cls").alias("c")), name)
 
 
-def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: float = LEAST, shingle: int = SHINGLE, cell_rows: int = 4096, ws: Workspace | None = None) -> DataFrame:
-    """(id, component_id): the least id reachable over links, the row itself included."""
-    ws = ws or Workspace(spark, "neardup")
-    rows = ws.save(sketches(docs, id_col, text_col, shingle), "sketches")
-    classes = ws.save(rows.groupBy("cls").agg(F.min("id").alias("id"), F.first("cells").alias("cells")), "classes")
-    cells = classes.select("cls", F.explode("cells").alias("cell"))
-    # cells of the same classes link the same: one of them stays
-    met = cells.groupBy("cell").agg(F.count("*").alias("m"), F.min("cls").alias("top"), F.sum(F.xxhash64("cls").cast("decimal(38,0)")).alias("s")).filter("m > 1")
-    met = ws.save(met.groupBy("m", "top", "s").agg(F.min("cell").alias("cell")).select("cell", "m", "top"), "met")
-    member = ws.save(cells.join(met, "cell").select("cell", "m", "top", "cls"), "members")
-    wanted = classes.join(member.select("cls").distinct(), "cls").select("cls", F.col("id").alias("_want"))
-    texts = ws.save(docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("t")).join(wanted, F.col("_id").eqNullSafe(F.col("_want"))).dropDuplicates(["cls"]).select("cls", "t"), "texts")
+def _verified(pairs: DataFrame, texts: DataFrame, least: float, shingle: int) -> DataFrame:
+    """The pairs (a, b) whose texts are alike enough."""
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, last = None, np.zeros(0, np.uint64)
@@ -126,53 +122,88 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
                     keep.append(r)
             yield b.select([0, 1]).take(pa.array(keep, pa.int64()))
 
-    pairs = member.filter("cls <> top").select(F.col("top").alias("a"), F.col("cls").alias("b")).distinct()
-    pairs = pairs.join(texts.select(F.col("cls").alias("b"), F.col("t").alias("tb")), "b").join(texts.select(F.col("cls").alias("a"), F.col("t").alias("ta")), "a").select("a", "b", "ta", "tb")
-    links = ws.save(pairs.mapInArrow(compare, "a binary, b binary"), "links")
-    named = ws.save(_groups(spark, ws, classes, links), "groups")
+    both = pairs.join(texts.select(F.col("cls").alias("b"), F.col("t").alias("tb")), "b").join(texts.select(F.col("cls").alias("a"), F.col("t").alias("ta")), "a")
+    return both.select("a", "b", "ta", "tb").mapInArrow(compare, "a binary, b binary")
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: float = LEAST, shingle: int = SHINGLE, max_bits: int = 4, cell_rows: int = 4096, ws: Workspace | None = None) -> DataFrame:
+    """(id, component_id): the least id reachable over links, the row itself included.
+
+    Texts without words (null, empty) are one class. A null id takes part but is the least only of a group
+    that has no other. Repeated rows give a row each; an empty table an empty result.
+    """
+    ws = ws or Workspace(spark, "neardup")
+    rows = ws.save(sketches(docs, id_col, text_col, shingle), "sketches")
+    classes = ws.save(rows.groupBy("cls").agg(F.min("id").alias("id"), F.first("fp").alias("fp"), F.first("cells").alias("cells")), "classes")
+
+    # closest pairs by SimHash: forest of the fingerprints' links, and classes of one fingerprint
+    of_fp = ws.save(classes.groupBy("fp").agg(F.min("cls").alias("rep")), "fingerprints")
+    near = simhash.links(ws, of_fp.select("fp"), of_fp.count(), max_bits)
+    ends = [of_fp.select(F.col("fp").alias(x), F.col("rep").alias(f"r{x}")) for x in "ab"]
+    close = near.join(ends[0], "a").join(ends[1], "b").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
+    close = ws.save(close.union(classes.join(of_fp, "fp").filter("cls <> rep").select(F.col("rep").alias("a"), F.col("cls").alias("b"))), "close")
+
+    # cells of the same classes link the same: one of them stays
+    cells = classes.select("cls", F.explode("cells").alias("cell"))
+    met = cells.groupBy("cell").agg(F.count("*").alias("m"), F.min("cls").alias("top"), F.sum(F.xxhash64("cls").cast("decimal(38,0)")).alias("s")).filter("m > 1")
+    met = ws.save(met.groupBy("m", "top", "s").agg(F.min("cell").alias("cell")).select("cell", "m", "top"), "met")
+    member = ws.save(cells.join(met, "cell").select("cell", "m", "top", "cls"), "members")
+
+    asked = member.select("cls").union(close.select("a")).union(close.select("b")).distinct()
+    wanted = classes.join(asked, "cls").select("cls", F.col("id").alias("want"))
+    texts = docs.select(F.col(id_col).alias("own"), F.col(text_col).alias("t")).join(wanted, F.col("own").eqNullSafe(F.col("want")))
+    texts = ws.save(texts.dropDuplicates(["cls"]).select("cls", "t"), "texts")
+
+    links = ws.save(_verified(close, texts, least, shingle), "links")
+    named = _groups(spark, ws, classes, links, "groups")
+    top = named.select(F.col("cls").alias("top"), F.col("c").alias("ctop"))
+    pairs = member.filter("cls <> top").select("top", "cls").distinct().join(named, "cls").join(top, "top").filter("c <> ctop")
+    more = ws.save(_verified(pairs.select(F.col("top").alias("a"), F.col("cls").alias("b")), texts, least, shingle), "more-links")
+    if not more.isEmpty():
+        links = links.union(more)
+        named = _groups(spark, ws, classes, links, "groups")
     # a cell of two is settled; one of several groups is not
     left = member.filter("m > 2").join(named, "cls")
     open_cells = ws.save(left.groupBy("cell").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo <> hi").select("cell"), "open")
     if not open_cells.isEmpty():
-        chunks = F.ceil(F.col("m") / cell_rows).cast("int")
-        part = member.join(open_cells, "cell").select("cell", "cls", chunks.alias("n"), F.pmod(F.xxhash64("cls"), chunks).cast("int").alias("k"))
-        part = part.select("cell", "cls", "k", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("o"))
-        part = part.select("cell", "cls", F.least("k", "o").alias("i"), F.greatest("k", "o").alias("j")).join(texts, "cls").select("cell", "i", "j", "cls", "t")
-        keys = ["cell", "i", "j"]
-
-        def within(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            rest = None
-            for last, pdf in _ends(batches):
-                pdf = pdf if rest is None else pd.concat([rest, pdf], ignore_index=True)
-                if not len(pdf):
-                    continue
-                new = np.ones(len(pdf), bool)
-                new[1:] = np.logical_or.reduce([pdf[k].values[1:] != pdf[k].values[:-1] for k in keys])
-                starts = np.flatnonzero(new)
-                if not last:  # the last cell may go on
-                    pdf, rest, starts = pdf.iloc[: starts[-1]], pdf.iloc[starts[-1] :], starts[:-1]
-                a, b = [], []
-                for s, e in zip(starts, np.append(starts[1:], len(pdf)), strict=True):
-                    cls = pdf["cls"].values[s:e]
-                    for x, y in forest([shingle_set(t, shingle) for t in pdf["t"].values[s:e]], least):
-                        a.append(cls[x])
-                        b.append(cls[y])
-                yield pd.DataFrame({"a": pd.Series(a, dtype=object), "b": pd.Series(b, dtype=object)})
-
-        more = ws.save(part.repartition(*keys).sortWithinPartitions(*keys).mapInPandas(within, "a binary, b binary").distinct(), "more-links")
-        named = ws.save(_groups(spark, ws, classes, links.union(more)), "groups")
+        part = member.join(open_cells, "cell")
+        rest = ws.save(_within(part, texts, least, shingle, cell_rows), "cell-links")
+        named = _groups(spark, ws, classes, links.union(rest), "groups")
     named = classes.select("cls", "id").join(named, "cls")
     table = ws.save(named.join(ws.save(named.groupBy("c").agg(F.min("id").alias("component_id")), "least"), "c").select("cls", "component_id"), "components")
     return rows.select("id", "cls").join(table, "cls", "left").select("id", "component_id")
 
 
+def _within(member: DataFrame, texts: DataFrame, least: float, shingle: int, cell_rows: int) -> DataFrame:
+    """(a, b): spanning forests of the links in each cell of (cell, m, cls)."""
+    chunks = F.ceil(F.col("m") / cell_rows).cast("int")
+    part = member.select("cell", "cls", chunks.alias("n"), F.pmod(F.xxhash64("cls"), chunks).cast("int").alias("k"))
+    part = part.select("cell", "cls", "k", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("o"))
+    part = part.select("cell", "cls", F.least("k", "o").alias("i"), F.greatest("k", "o").alias("j")).join(texts, "cls").select("cell", "i", "j", "cls", "t")
+    keys = ["cell", "i", "j"]
+
+    def within(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        rest = None
+        for last, pdf in simhash._ends(batches):
+            pdf = pdf if rest is None else pd.concat([rest, pdf], ignore_index=True)
+            if not len(pdf):
+                continue
+            new = np.ones(len(pdf), bool)
+            new[1:] = np.logical_or.reduce([pdf[k].values[1:] != pdf[k].values[:-1] for k in keys])
+            starts = np.flatnonzero(new)
+            if not last:  # the last cell may go on
+                pdf, rest, starts = pdf.iloc[: starts[-1]], pdf.iloc[starts[-1] :], starts[:-1]
+            a, b = [], []
+            for s, e in zip(starts, np.append(starts[1:], len(pdf)), strict=True):
+                cls = pdf["cls"].values[s:e]
+                for x, y in forest([shingle_set(t, shingle) for t in pdf["t"].values[s:e]], least):
+                    a.append(cls[x])
+                    b.append(cls[y])
+            yield pd.DataFrame({"a": pd.Series(a, dtype=object), "b": pd.Series(b, dtype=object)})
+
+    return part.repartition(*keys).sortWithinPartitions(*keys).mapInPandas(within, "a binary, b binary").distinct()
+
+
 def one_of_each(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ws: Workspace | None = None, **how: object) -> DataFrame:
-    """The rows of docs with the least id of their group. Rows that share an id are told apart by their
-    text, the least hash first; rows alike in both count as one document, of which one stays."""
-    ws = ws or Workspace(spark, "neardup")
-    keyed, key = with_row_key(docs, id_col, text_col)
-    groups = ws.save(near_duplicates(spark, keyed, key, text_col, ws=ws, **how), "rows")
-    gone = ws.save(groups.filter(F.col("id") != F.col("component_id")).select("id").distinct(), "gone")
-    left = keyed.join(gone, keyed[key] == gone["id"], "left_anti")
-    rows = groups.agg(F.count("*"), F.countDistinct("id")).first()
-    return (left if rows[0] == rows[1] else left.dropDuplicates([key])).drop(key)
+    """``simhash.one_of_each`` with the groups of this module."""
+    return simhash.one_of_each(spark, docs, id_col, text_col, ws or Workspace(spark, "neardup"), near_duplicates, **how)

@@ -17,6 +17,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from kgfeat.llm.text import given_back, neutral
+
 ROUNDS = 8
 KINDS = ("email", "ip", "date", "ssn", "phone", "card")
 #: one alternative a kind, in this order; bounds keep them out of longer numbers and words
@@ -131,19 +133,24 @@ def pseudonym(m: Column, key: str) -> Column:
 
 
 def pseudonymise(docs: DataFrame, key: str, text_col: str = "text", count_col: str | None = None) -> DataFrame:
-    """docs with the text's personal data replaced, all other columns as they are.
+    """docs with the text's personal data replaced, all other columns as they are whatever their names.
 
-    Null text stays null and empty text empty. count_col, if named, gets the number of values replaced.
+    Null text stays null and empty text empty; repeated rows and an empty table stay what they are.
+    count_col, if named, gets the number of values replaced; a column of that name is overwritten.
     """
-    t = F.col(text_col)
+    d, (x,) = neutral(docs, text_col)
+    t = F.col(x)
     found = F.regexp_extract_all(t, F.lit(ANY), F.lit(0))
     made = F.transform(found, lambda m: pseudonym(m, key))
     some = F.coalesce(t.rlike("[0-9@]"), F.lit(False))
-    part = docs.withColumn("_made", F.when(some, F.struct(found.alias("found"), made.alias("new"))))
+    part = d.withColumn("made", F.when(some, F.struct(found.alias("found"), made.alias("new"))))
     between = F.split(t, ANY, -1)
-    joined = F.array_join(F.zip_with(between, F.col("_made.new"), lambda b, m: F.concat(b, F.coalesce(m, F.lit("")))), "")
-    has = F.col("_made").isNotNull() & (F.size("_made.found") > 0)
-    if count_col:
-        changed = F.size(F.filter(F.zip_with("_made.found", "_made.new", lambda a, b: a != b), lambda x: x))
-        part = part.withColumn(count_col, F.when(has, changed).otherwise(F.lit(0)))
-    return part.withColumn(text_col, F.when(has, joined).otherwise(t)).drop("_made")
+    joined = F.array_join(F.zip_with(between, F.col("made.new"), lambda b, m: F.concat(b, F.coalesce(m, F.lit("")))), "")
+    has = F.col("made").isNotNull() & (F.size("made.found") > 0)
+    changed = F.size(F.filter(F.zip_with("made.found", "made.new", lambda a, b: a != b), lambda y: y))
+    part = part.withColumn("n", F.when(has, changed).otherwise(F.lit(0)))
+    part = part.withColumn(x, F.when(has, joined).otherwise(t))
+    if not count_col:
+        return given_back(part, docs)
+    keep = [F.col(f"c{k}").alias(c) for k, c in enumerate(docs.columns) if c.casefold() != count_col.casefold()]
+    return part.select(*keep, F.col("n").alias(count_col))

@@ -1,6 +1,6 @@
 """Contiguous shards of near equal bytes from global prefix sums.
 
-Documents are ordered by content (CRC-32, a hash of the text, id), so equal texts lie side by side.
+Documents are ordered by content (CRC-32, MD5 of the text, id), so equal texts lie side by side.
 Prefix sums of sizes come from per-partition totals; cut j falls at the document edge nearest to
 j/n of all bytes. Where such a cut would part a group of equal texts, it moves to the nearer end of
 the group if that is within ``slack`` of a shard's size; larger groups are cut, so that sizes stay
@@ -12,6 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from kgfeat.llm.text import neutral
 from kgfeat.operators.prefix import prefix_sums
 from kgfeat.plans.state import Workspace
 
@@ -27,26 +28,29 @@ def assign(spark: SparkSession, docs: DataFrame, n: int = 16, id_col: str = "doc
 
 
 def shard_documents(spark: SparkSession, docs: DataFrame, n: int = 16, id_col: str = "doc_id", text_col: str = "text", slack: float = 0.02, ws: Workspace | None = None) -> DataFrame:
-    """The columns of docs with size, text_crc32, shard and slot (columns of docs of these names go).
+    """The columns of docs with size, text_crc32, shard and slot, as ``assign`` gives them; columns of
+    docs that have one of these four names are left out, all others stay whatever they are called.
 
     Cuts are found on ids and sizes alone, as row numbers in the common order; then the texts are
     sorted into that order once, and numbered by partition.
     """
     ws = ws or Workspace(spark, "sharding")
     _, firsts = _cut(ws, docs, n, id_col, text_col, slack)
-    keep = [c for c in docs.columns if c not in ("size", "text_crc32", "shard", "slot")]
-    t = F.coalesce(F.col(text_col), F.lit(""))
-    full = docs.select(*(F.col(c) for c in keep), (F.octet_length(t) + 1).cast("long").alias("size"), F.crc32(t).alias("text_crc32"), F.xxhash64(t).alias("_h"))
-    keys = ["text_crc32", "_h", id_col]
-    full = ws.save(full.repartitionByRange(*keys).sortWithinPartitions(*keys).drop("_h").withColumn("_at", F.monotonically_increasing_id()), "sorted")
-    part, row = F.shiftright("_at", 33), F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))  # as that function is defined
+    d, (i, x) = neutral(docs, id_col, text_col)
+    t = F.coalesce(F.col(x), F.lit(""))
+    full = d.withColumns({"size": (F.octet_length(t) + 1).cast("long"), "text_crc32": F.crc32(t), "h": F.md5(t)})
+    keys = ["text_crc32", "h", i]
+    full = ws.save(full.repartitionByRange(*keys).sortWithinPartitions(*keys).drop("h").withColumn("at", F.monotonically_increasing_id()), "sorted")
+    part, row = F.shiftright("at", 33), F.col("at").bitwiseAND(F.lit((1 << 33) - 1))  # as that function is defined
     offsets, before = [], 0
     for r in sorted(full.groupBy(part.alias("part")).agg(F.count("*").alias("m")).collect()):  # one row a partition
         offsets.append((r["part"], before))
         before += r["m"]
-    at = spark.createDataFrame(offsets, "_part long, _before long")
-    numbered = full.withColumn("_part", part).join(F.broadcast(at), "_part")
-    return _placed(numbered, F.col("_before") + row, firsts).select(*keep, "size", "text_crc32", "shard", "slot")
+    at = spark.createDataFrame(offsets, "part long, before long")
+    numbered = full.withColumn("part", part).join(F.broadcast(at), "part")
+    own = ("size", "text_crc32", "shard", "slot")
+    keep = [F.col(f"c{k}").alias(c) for k, c in enumerate(docs.columns) if c.casefold() not in own]
+    return _placed(numbered, F.col("before") + row, firsts).select(*keep, *own)
 
 
 def _placed(rows: DataFrame, number: Column, firsts: list[int]) -> DataFrame:
@@ -60,7 +64,7 @@ def _placed(rows: DataFrame, number: Column, firsts: list[int]) -> DataFrame:
 def _cut(ws: Workspace, docs: DataFrame, n: int, id_col: str, text_col: str, slack: float) -> tuple[DataFrame, list[int]]:
     """Prefix sums over ids and sizes, and the row number at which each shard begins."""
     t = F.coalesce(F.col(text_col), F.lit(""))
-    narrow = docs.select(F.col(id_col).alias("id"), (F.octet_length(t) + 1).cast("long").alias("size"), F.crc32(t).alias("text_crc32"), F.xxhash64(t).alias("h"), F.lit(1).cast("long").alias("one"))
+    narrow = docs.select(F.col(id_col).alias("id"), (F.octet_length(t) + 1).cast("long").alias("size"), F.crc32(t).alias("text_crc32"), F.md5(t).alias("h"), F.lit(1).cast("long").alias("one"))
     run = prefix_sums(ws, narrow, None, ["text_crc32", "h", "id"], ["size", "one"], "ordered").drop("one")
     total = run.agg(F.max(F.col("before_size") + F.col("size"))).first()[0] or 0
     aims = [total * j / n for j in range(1, n)]
@@ -84,6 +88,8 @@ def _cut(ws: Workspace, docs: DataFrame, n: int, id_col: str, text_col: str, sla
     return run, [0, *below]
 
 
-def write_shards(docs_with_shard: DataFrame, path: str) -> None:
-    """One folder a shard, rows in slot order."""
-    docs_with_shard.repartition("shard").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+def write_shards(docs_with_shard: DataFrame, path: str, rows_a_file: int = 1_000_000) -> None:
+    """One folder a shard. Ranges of (shard, slot) are written side by side, so a shard is many files
+    whose rows, in the order of file names, are in slot order; no task writes a whole shard."""
+    parts = docs_with_shard.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot")
+    parts.write.option("maxRecordsPerFile", rows_a_file).partitionBy("shard").parquet(path)

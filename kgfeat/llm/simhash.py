@@ -1,20 +1,18 @@
-"""SimHash near-duplicates linked through pivot distance tables.
+"""SimHash near-duplicates: pivot distance tables discard pairs, an exact count of bits verifies them.
 
 Fingerprints: 64 bits over the XXH64 hashes (seed 42) of 4-word shingles. Two fingerprints link at
-``max_bits`` or fewer differing bits. By the triangle inequality the distances of a linked pair to
-any reference fingerprint differ by at most ``max_bits``. Two families of references are used:
-
-* axis references, the zero fingerprint and the 64 fingerprints of one bit. The difference
-  d(x, e_i) - d(x, 0) shows bit i, so a linked pair's rows of the table differ in at most
-  ``max_bits`` of the 64 columns. Deal the columns into ``blocks`` groups: the pair agrees on all
-  columns of at least ``blocks - max_bits`` groups, so joining on every choice of that many groups
-  finds every linked pair (each choice is one table of cells). Groups are taken finer as the number
-  of fingerprints grows, so that cells stay small.
-* spread references: pseudo-random fingerprints. Within a cell a pair is discarded if the largest
-  coordinate difference of its distance rows exceeds ``max_bits``; survivors are verified exactly.
-
-Distances of unrelated fingerprints to a random reference crowd around 32, so spread references
-alone would keep over half of all pairs each and would have to look at all pairs.
+``max_bits`` or fewer differing bits. The pivot table holds the Hamming distances of each fingerprint
+to pseudo-random reference fingerprints. By the triangle inequality the distances of a linked pair to
+any reference differ by at most ``max_bits``, so a pair whose largest coordinate difference is greater
+is discarded, and survivors are verified.
+
+Distances of unrelated fingerprints to a reference crowd around 32 of 64 bits, so a reference discards
+less than half of the pairs and the table by itself would have to be held against all pairs. Which
+pairs it is held against is therefore settled by blocks of bits (no part of the pivot method): the
+bits are dealt into ``blocks`` groups, a linked pair agrees on all bits of at least
+``blocks - max_bits`` groups, so joining on every choice of that many groups brings every linked pair
+into a cell. Groups are taken finer as the number of fingerprints grows, so that cells stay small.
+README has the number of pairs after each step.
 
 Only distinct fingerprints take part, cells emit a spanning forest of their links rather than all
 pairs, and cells above ``cell_rows`` are cut into chunks whose pairs are separate tasks.
@@ -33,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgfeat.llm.text import with_row_key, words_of
+from kgfeat.llm.text import given_back, neutral, row_key, words_of
 from kgfeat.operators.canon import components
 from kgfeat.plans.state import Workspace
 
@@ -49,7 +47,11 @@ def fingerprint(text: str | None, shingle: int = 4, seed: int = 42) -> int:
     n = len(w) - shingle + 1
     grams = map(b" ".join, zip(*(w[k:] for k in range(shingle)), strict=False)) if n > 0 else [b" ".join(w)]
     h = xxhash.xxh64_intdigest
-    hashes = np.fromiter((h(g, seed) for g in grams), "<u8", count=max(n, 1))
+    return majority(np.fromiter((h(g, seed) for g in grams), "<u8", count=max(n, 1)))
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits set in over half of the hashes; no hashes: zero."""
     ones = np.zeros(BITS, np.int64)
     for at in range(0, len(hashes), 65536):  # very long texts: bits of a slice at a time
         part = hashes[at : at + 65536]
@@ -190,13 +192,15 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     return fps.join(table, "fp", "left").select("id", "fp", "component_id")
 
 
-def one_of_each(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ws: Workspace | None = None, **how: object) -> DataFrame:
-    """The rows of docs with the least id of their group. Rows that share an id are told apart by their
-    text, the least hash first; rows alike in both count as one document, of which one stays."""
+def one_of_each(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ws: Workspace | None = None, groups=near_duplicates, **how: object) -> DataFrame:
+    """The rows of docs with the least id of their group, all columns. Rows that share an id are told
+    apart by their text, the least hash first; rows alike in both count as one document, of which one
+    stays. A null id comes last. ``groups`` (see near_duplicates) says what is one group."""
     ws = ws or Workspace(spark, "simhash")
-    keyed, key = with_row_key(docs, id_col, text_col)
-    groups = near_duplicates(spark, keyed, key, text_col, ws=ws, **how)
-    gone = ws.save(groups.filter(F.col("id") != F.col("component_id")).select("id").distinct(), "gone")
-    left = keyed.join(gone, keyed[key] == gone["id"], "left_anti")
-    rows = groups.agg(F.count("*"), F.countDistinct("id")).first()
-    return (left if rows[0] == rows[1] else left.dropDuplicates([key])).drop(key)
+    d, (i, t) = neutral(docs, id_col, text_col)
+    keyed = d.withColumn("key", row_key(i, t))
+    group = ws.save(groups(spark, keyed, "key", t, ws=ws, **how).select("id", "component_id"), "rows")
+    gone = ws.save(group.filter(F.col("id") != F.col("component_id")).select(F.col("id").alias("gone")).distinct(), "gone")
+    left = keyed.join(gone, F.col("key") == F.col("gone"), "left_anti")
+    rows = group.agg(F.count("*"), F.countDistinct("id")).first()
+    return given_back(left if rows[0] == rows[1] else left.dropDuplicates(["key"]), docs)

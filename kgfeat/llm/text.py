@@ -1,4 +1,4 @@
-"""Word splitting shared by the operators: words are runs of anything but blank and tab to carriage return."""
+"""Word splitting and column names shared by the operators: words are runs of anything but blank and tab to carriage return."""
 
 from __future__ import annotations
 
@@ -24,10 +24,19 @@ def key_of(col: Column) -> Column:
     return F.when(col.isNull(), F.lit("1")).otherwise(F.concat(F.lit("0"), col.cast("string")))
 
 
-def with_row_key(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, str]:
-    """docs with a key that tells rows of one id apart by their text, ordered by id with null last; its name."""
-    name = "_row"
-    while name in docs.columns:
-        name += "_"
-    c = F.col(id_col)
-    return docs.withColumn(name, F.struct(c.isNull().alias("none"), c.alias("i"), F.xxhash64(text_col).alias("h"))), name
+def neutral(docs: DataFrame, *wanted: str) -> tuple[DataFrame, list[str]]:
+    """docs with its columns named c0, c1, ... so that no column of ours can clash with one of theirs,
+    and the new names of the wanted columns. ``given_back`` undoes it."""
+    at = {c: k for k, c in reversed(list(enumerate(docs.columns)))}
+    low = {c.casefold(): k for c, k in at.items()}
+    return docs.toDF(*(f"c{k}" for k in range(len(docs.columns)))), [f"c{at.get(w, low.get(w.casefold()))}" for w in wanted]
+
+
+def given_back(rows: DataFrame, docs: DataFrame, *more: Column) -> DataFrame:
+    """The columns of docs under their own names, and more."""
+    return rows.select(*(F.col(f"c{k}").alias(c) for k, c in enumerate(docs.columns)), *more)
+
+
+def row_key(ident: str, text: str) -> Column:
+    """A key that tells rows of one id apart by their text, ordered by id with null last."""
+    return F.struct(F.col(ident).isNull().alias("none"), F.col(ident).alias("i"), F.xxhash64(text).alias("h"))

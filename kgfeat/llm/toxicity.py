@@ -32,7 +32,7 @@ BROADCAST_ROWS = 2_000_000  # of an id and a label each
 
 
 STEM = "*"  # ends an entry that stands for all words that begin with it
-SHORTEST, LONGEST = 3, 20  # beginnings of words that are looked at
+SHORTEST, STEP = 3, 20  # beginnings of words are counted from SHORTEST characters on, STEP at first, then twice as far while any is frequent
 
 
 def edit_budget(term: str) -> int:
@@ -241,10 +241,29 @@ def wilson_low(k: Column, n: Column, z: float = 2.6) -> Column:
     return (p + z * z / (2 * n) - z * F.sqrt(p * (1 - p) / n + z * z / (4 * n * n))) / (1 + z * z / n)
 
 
-def beginnings(w: str) -> Column:
-    """All beginnings of a word, the whole word with a closing mark among them."""
-    some = F.transform(F.sequence(F.lit(SHORTEST), F.least(F.length(w), F.lit(LONGEST))), lambda k: F.substring(F.col(w), F.lit(1), k))
-    return F.when(F.length(w) >= SHORTEST, F.array_append(some, F.concat(w, F.lit("$")))).otherwise(F.array())
+def beginnings(w: str, low: int, high: int) -> Column:
+    """The beginnings of a word of low to high characters."""
+    return F.when(F.length(w) >= low, F.transform(F.sequence(F.lit(low), F.least(F.length(w), F.lit(high))), lambda k: F.substring(F.col(w), F.lit(1), k))).otherwise(F.array())
+
+
+def frequent_beginnings(ws: Workspace, words: DataFrame, least: int) -> tuple[DataFrame, int]:
+    """(p, bad): beginnings, and whole words with a closing mark, that words (w, n) have ``least`` times or
+    more, and the length of the longest. A longer beginning is never more frequent than a shorter one, so
+    longer ones are counted only for words whose beginning so far is frequent: no length is left out."""
+    words = ws.save(words.filter(F.length("w") >= SHORTEST), "words")
+    out = words.filter(F.col("n") >= least).select(F.concat("w", F.lit("$")).alias("p"), F.col("n").alias("bad"))
+    low, high = SHORTEST, STEP
+    while True:
+        part = words.select("n", F.explode(beginnings("w", low, high)).alias("p")).groupBy("p").agg(F.sum("n").alias("bad")).filter(F.col("bad") >= least)
+        part = ws.save(part, "beginnings")
+        out = out.union(part)
+        full = part.filter(F.length("p") == high).select(F.col("p").alias("start"))
+        words = ws.save(words.filter(F.length("w") > high).withColumn("start", F.substring("w", 1, high)).join(full, "start", "left_semi").select("w", "n"), "words")
+        if words.isEmpty():
+            break
+        low, high = high + 1, 2 * high
+    longest = out.agg(F.max(F.length("p"))).first()[0]
+    return out, longest or 0
 
 
 def choose_entries(stats: dict[str, tuple[int, int]]) -> list[str]:
@@ -276,7 +295,15 @@ def held_out(ident: Column, folds: int = 5) -> Column:
 
 
 def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", contexts: int = 10, share: float = 0.6, fit_rows: int = FIT_ROWS, ws: Workspace | None = None) -> Model:
-    """Lexicon and harmless look-alikes from all labelled training rows, weights from ``fit_rows`` of them at most (least hashes)."""
+    """Lexicon and harmless look-alikes from all labelled training rows, weights from ``fit_rows`` of them
+    at most (least hashes).
+
+    A label of an id stands for all rows of that id; of several labels of an id the highest counts, null
+    labels are left out. Null and empty texts have no words. Repeated rows count as often as they stand.
+    No toxic label, or no documents: an empty lexicon and the prior weights. Driver memory: the lexicon
+    and its look-alikes, both of words that toxic rows use in ``contexts`` contexts or that are within
+    the edit budget of such words.
+    """
     ws = ws or Workspace(spark, "toxicity")
     train = labels.filter("toxic is not null").filter(~held_out(F.col(id_col))).select(F.col(id_col).alias("i"), (F.col("toxic") > 0).cast("int").alias("y")).groupBy("i").agg(F.max("y").alias("y"))
     train = ws.save(train, "train")
@@ -302,10 +329,12 @@ def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str =
             yield pa.RecordBatch.from_arrays([pa.array(list(n), pa.string()), pa.array(list(n.values()), pa.int64())], names=["w", "n"])
 
     bad = rows.filter("y = 1").select("t").mapInArrow(in_context, "w string, c string").groupBy("w", F.xxhash64("c")).agg(F.lit(1)).groupBy("w").agg(F.count("*").alias("n"))
-    cand = bad.select("n", F.explode(beginnings("w")).alias("p")).groupBy("p").agg(F.sum("n").alias("bad")).filter(F.col("bad") >= contexts)
-    cand = ws.save(cand, "candidates")
+    cand, longest = frequent_beginnings(ws, bad, contexts)
+    if not longest:
+        return Model(LexiconAutomaton([]))
     clean = rows.filter("y = 0").select("t").mapInArrow(counted, "w string, n long").groupBy("w").agg(F.sum("n").alias("n"))
-    clean = clean.select("n", F.explode(beginnings("w")).alias("p")).groupBy("p").agg(F.sum("n").alias("clean"))
+    parts = F.array_append(beginnings("w", SHORTEST, longest), F.concat("w", F.lit("$")))
+    clean = clean.select("n", F.explode(parts).alias("p")).groupBy("p").agg(F.sum("n").alias("clean"))
     share_of = wilson_low(F.col("bad"), F.col("bad") + F.col("clean"))
     got = cand.join(clean, "p", "left").withColumn("clean", F.coalesce("clean", F.lit(0))).filter(share_of >= share).collect()
     stats = {r["p"]: (r["bad"], r["clean"]) for r in got}

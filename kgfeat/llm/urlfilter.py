@@ -16,6 +16,9 @@ from pyspark.sql import functions as F
 
 from kgfeat.plans.state import Workspace
 
+BROADCAST_GRAMS = 100_000  # rows of short n-grams sent to all tasks; more are shuffled
+HOT = 1000  # a window with over 1 / HOT of all rows is hot: there are fewer than HOT of them
+
 #: (verdict, host, path) of the contract, fixed values
 RULES = (("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/"))
 ORDER = 4
@@ -60,11 +63,13 @@ def log_ratios(ws: Workspace, train: DataFrame, wanted: DataFrame, order: int =
     p = wanted.select("w", F.lit(1.0 / alphabet).alias("pg"), F.lit(1.0 / alphabet).alias("pb"))
     for k in range(order + 1):
         grams = train.groupBy(F.right("w", F.lit(k + 1)).alias("g")).agg(F.sum("good").alias("ng"), F.sum("bad").alias("nb"))
+        grams = ws.save(grams, f"grams-{k}")
         ctx = grams.groupBy(F.substring("g", 1, k).alias("c")).agg(F.sum("ng").alias("tg"), F.sum("nb").alias("tb"), F.sum((F.col("ng") > 0).cast("long")).alias("dg"), F.sum((F.col("nb") > 0).cast("long")).alias("db"))
+        few = grams.count() <= BROADCAST_GRAMS  # short ones, which many windows share
         own = p.withColumn("g", F.right("w", F.lit(k + 1))).withColumn("c", F.substring("g", 1, k))
-        own = own.join(grams, "g", "left")
+        own = own.join(F.broadcast(grams) if few else grams, "g", "left")
         if k:
-            own = own.join(ctx, "c", "left")
+            own = own.join(F.broadcast(ctx) if few else ctx, "c", "left")
         else:  # the empty context: one row of totals, if there is any
             total = ctx.drop("c").first()
             own = own.withColumns({n: F.lit(total[n] if total else 0) for n in ("tg", "tb", "dg", "db")})
@@ -102,23 +107,30 @@ def judge(spark: SparkSession, pages: DataFrame, id_col: str = "page_id", url_co
     """(id, host, path, rule, verdict, score): one row per row of pages; score is null where a rule decides.
 
     Null urls and urls without '://' have empty host and path; the models judge the text as it stands,
-    and an empty text scores by its end alone. Without URLs of both verdicts the models are alike and
-    scores are 0, which is allowed.
+    whole however long, and an empty text scores by its end alone. A null id and repeated rows are carried
+    as they are; other columns play no part. Without URLs of both verdicts the models are alike and
+    scores are 0, which is allowed. No pages: an empty result.
     """
     ws = ws or Workspace(spark, "urls")
     url = F.coalesce(F.col(url_col), F.lit(""))
     seen = pages.select(F.col(id_col).alias("id"), url.alias("url"), F.xxhash64(url).alias("u"), host_of(F.col(url_col)).alias("host"), path_of(F.col(url_col)).alias("path")).withColumn("by", rule_of(F.col("host"), F.col("path"), rules))
     seen = ws.save(seen.select("id", "url", "u", "host", "path", F.col("by.rule").alias("rule"), F.col("by.verdict").alias("given")), "urls")
-    fold = F.crc32("url") % 5 == 0
+    fold = F.conv(F.substring(F.md5("url"), 1, 8), 16, 10).cast("long") % 5 == 0
     # all rows count for the models, as often as they stand; each text is cut into windows once
     texts = seen.groupBy("url", "u").agg(F.count("*").alias("m"), F.first("given").alias("given")).select("url", "u", "m", (F.col("given") == "allow").alias("y"), fold.alias("held"))
     texts = ws.save(texts, "texts")
     cut = windows(texts.filter("y is not null and not held").select("u", F.struct("y", "m").alias("y"), "url"), order)
     train = ws.save(cut.groupBy("w").agg(F.sum(F.when(F.col("y.y"), F.col("y.m")).otherwise(0)).alias("good"), F.sum(F.when(~F.col("y.y"), F.col("y.m")).otherwise(0)).alias("bad")), "counts")
     ask = windows(texts.filter("y is null or held"), order)
-    ask = ask.groupBy("u", "w").agg(F.count("*").alias("n"))
-    ratio = log_ratios(ws, train, ask.select("w").distinct(), order)
-    total = ask.join(ratio, "w").groupBy("u").agg(F.sum(F.col("n") * F.col("micro")).alias("sum"))
+    ask = ws.save(ask.groupBy("u", "w").agg(F.count("*").alias("n")), "asked")
+    often = ws.save(ask.groupBy("w").agg(F.count("*").alias("m")), "asked-windows")
+    ratio = ws.save(log_ratios(ws, train, often.select("w"), order).join(often, "w").select("w", "m", "micro"), "ratios")
+    rows = ask.count()
+    # the windows that most urls begin with would all go to one task: their ratios go to the rows instead
+    hot = ratio.filter(F.col("m") * HOT > rows).select("w", "micro")
+    parts = ask.join(F.broadcast(hot), "w"), ask.join(F.broadcast(hot.select("w")), "w", "left_anti").join(ratio.select("w", "micro"), "w")
+    sums = [x.groupBy("u").agg(F.sum(F.col("n") * F.col("micro")).alias("sum")) for x in parts]
+    total = sums[0].union(sums[1]).groupBy("u").agg(F.sum("sum").alias("sum"))
     scored = ws.save(texts.filter("y is null or held").join(total, "u").select("u", "url", "y", F.floor(F.col("sum") / (F.length("url") + 1)).alias("s")), "scores")
     cutoff = calibrate(scored.filter("y is not null"))
     verdict = F.coalesce(F.col("given"), F.when(F.col("s") >= cutoff, F.lit("allow")).otherwise(F.lit("block")))

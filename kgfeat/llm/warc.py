@@ -66,20 +66,18 @@ def record(page_id: object, url: str | None, payload: bytes, digest: str, refers
     return z.compress(text.encode("utf-8", "surrogatepass") + block + b"\r\n\r\n") + z.flush()
 
 
-def plan_records(ws: Workspace, pages: DataFrame, id_col: str = "page_id", payload_col: str = "html", least: int = LEAST) -> DataFrame:
-    """pages with ``_digest`` and ``_refers_to``. Rows that share the largest id are all responses."""
-    raw = F.encode(F.coalesce(F.col(payload_col), F.lit("")), "UTF-8")
-    dig = pages.withColumn("_digest", F.sha1(raw))
-    long = pages.filter(F.octet_length(payload_col) >= least).select(F.sha1(raw).alias("_digest"), F.col(id_col).alias("i"))
-    first = ws.save(long.groupBy("_digest").agg(F.count("*").alias("n"), F.max("i").alias("_first")).filter("n > 1").drop("n"), "shared")
-    joined = dig.join(first, "_digest", "left")
-    return joined.withColumn("_refers_to", F.when(~F.col(id_col).eqNullSafe(F.col("_first")), F.col("_first"))).drop("_first")
+def plan_records(ws: Workspace, pages: DataFrame, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", least: int = LEAST) -> DataFrame:
+    """(i, u, h, d, r): id, url, payload, digest, and the id of the response that a revisit refers to.
+    Rows that share the largest id are all responses. Other columns of pages are not archived."""
+    page = pages.select(F.col(id_col).alias("i"), F.col(url_col).alias("u"), F.col(payload_col).alias("h"))
+    page = page.withColumn("d", F.sha1(F.encode(F.coalesce("h", F.lit("")), "UTF-8")))
+    long = page.filter(F.octet_length("h") >= least)
+    first = ws.save(long.groupBy("d").agg(F.count("*").alias("n"), F.max("i").alias("first")).filter("n > 1").drop("n"), "shared")
+    return page.join(first, "d", "left").select("i", "u", "h", "d", F.when(~F.col("i").eqNullSafe(F.col("first")), F.col("first")).alias("r"))
 
 
-def write_archives(ws: Workspace, planned: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html") -> DataFrame:
+def write_archives(ws: Workspace, planned: DataFrame, folder: str) -> DataFrame:
     """Write ``planned`` (see plan_records); the manifest (path, records, bytes) of the files that count."""
-    cols = [F.col(id_col).alias("i"), F.col(url_col).alias("u"), F.col(payload_col).alias("h"), F.col("_digest").alias("d"), F.col("_refers_to").alias("r")]
-
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ctx = TaskContext.get()
         system, at = _open(folder)
@@ -99,7 +97,7 @@ def write_archives(ws: Workspace, planned: DataFrame, folder: str, id_col: str =
             system.delete_file(name + ".open")
         yield pa.RecordBatch.from_pydict({"file": [name.rsplit("/", 1)[1]] if n else [], "records": [n] if n else [], "bytes": [size] if n else []}, schema=pa.schema([("file", pa.string()), ("records", pa.int64()), ("bytes", pa.int64())]))
 
-    made = ws.save(planned.select(*cols).mapInArrow(write, "file string, records long, bytes long"), "manifest")
+    made = ws.save(planned.mapInArrow(write, "file string, records long, bytes long"), "manifest")
     return made.withColumn("path", F.concat(F.lit(folder + "/"), "file"))
 
 
@@ -136,12 +134,11 @@ class Bytes:
     def __init__(self, parts: Iterator[bytes]):
         self.parts, self.buf = parts, bytearray()
 
-    def until(self, mark: bytes, most: int = 1 << 20) -> bytes:
+    def until(self, mark: bytes) -> bytes:
+        """All up to mark, however far; the end of the member without one is an error."""
         seen = 0
         while (k := self.buf.find(mark, max(0, seen - len(mark)))) < 0:
             seen = len(self.buf)
-            if seen > most:
-                raise ValueError("no end of the header")
             self.buf += next(self.parts, b"") or self._short()
         out = bytes(self.buf[:k])
         del self.buf[: k + len(mark)]
@@ -222,11 +219,12 @@ def read_archives(manifest: DataFrame, id_type: T.DataType | None = None) -> Dat
 def round_trip(spark: SparkSession, pages: DataFrame, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", least: int = LEAST, folder: str | None = None, ws: Workspace | None = None) -> DataFrame:
     """Write every page, read the archives back; fails if a record is not what was written.
 
-    Null payloads are empty, null urls empty, rows with equal ids each have their record. No pages:
-    no files and an empty result.
+    Null payloads are empty, null urls empty and urls and payloads of any length whole; rows with equal
+    ids each have their record, a null id stays null. Other columns of pages play no part. No pages: no
+    files and an empty result.
     """
     ws = ws or Workspace(spark, "warc")
-    made = write_archives(ws, plan_records(ws, pages, id_col, payload_col, least), folder or ws.path("archives"), id_col, url_col, payload_col)
+    made = write_archives(ws, plan_records(ws, pages, id_col, url_col, payload_col, least), folder or ws.path("archives"))
     n = made.count()
     read = read_archives(made.repartition(max(1, n)), pages.schema[id_col].dataType)
     # tied to a column that every use of a record keeps, so that leaving out ok does not leave out the check

@@ -69,12 +69,73 @@ def test_empty_tables(spark):
     assert dc.leaks(spark, docs, bench).count() == 1
 
 
-def test_seeds_leave_out_common_phrases_alone():
-    it = dc.Items([(0, "a b c d e f g h i j k l m n o p")])
-    df = {g: 3 for g in range(10)} | {10: 28, 11: 29, 12: 10_000_000}
-    assert it.seeds(df) == {(0, g) for g in range(11)}
-    assert it.seeds({}) == set()
-    assert it.seeds({4: 10**9}) == {(0, 4)}
+def test_seeds_are_the_rarer_grams_of_an_item():
+    it = dc.Items([(0, "a b c d e f g h i j k l m n o p"), (1, "a b c d x y")])
+    df = np.zeros(len(it.start) - 1, np.int64)
+    assert it.seeds(df) == set()
+    _, gram = it.hits(it.word_ids("a b c d e f g h i j k l m n o p".split()))
+    df[gram] = [9, 1, 1, 2, 2, 2, 3, 3, 5, 1, 1, 8, 7]
+    assert {g for k, g in it.seeds(df) if k == 0} == {int(g) for g in gram if 0 < df[g] <= 2}
+    assert {g for k, g in it.seeds(df) if k == 1} == {int(gram[0])}  # its only gram found
+
+
+def test_rarity_leaves_grams_out_on_the_given_tables(spark):
+    import pandas as pd
+
+    docs, bench = (pd.read_parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "benchmark"))
+    it = dc.Items(list(zip(bench.item_id, bench.text, strict=True)))
+    df = np.zeros(len(it.start) - 1, np.int64)
+    for t in docs.text:
+        df[np.unique(it.hits(it.word_ids(dc.norm_words(t)))[1])] += 1
+    pairs = {(int(k), g) for g in range(len(df)) if df[g] for k in it.where[it.start[g] : it.start[g + 1], 0]}
+    left_out = len(pairs) - len(it.seeds(df))
+    assert 0 < left_out < 0.6 * len(pairs)
+
+
+def _edited(rng, words, share):
+    out = []
+    for w in words:
+        x = rng.random()
+        if x < share / 3:
+            continue
+        out.append("sub" + rng.choice("abcdef") * 3 if x < 2 * share / 3 else w)
+        if x > 1 - share / 3:
+            out.append("put" + rng.choice("abcdef") * 3)
+    return out
+
+
+def test_recall_of_edited_copies_against_all_pairs(spark):
+    rng = random.Random(11)
+    common = _words(rng, 30)
+    items = [[w if rng.random() < 0.7 else rng.choice(common) for w in _words(rng, rng.randrange(12, 45))] for _ in range(15)]
+    rows = []
+    for i in range(240):
+        w = [rng.choice(common) for _ in range(rng.randrange(0, 80))]
+        if i % 2:
+            at = rng.randrange(len(w) + 1)
+            w[at:at] = _edited(rng, items[i % 15], rng.choice([0.0, 0.1, 0.2, 0.3, 0.4]))
+        rows.append((i, " ".join(w)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    bench = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(items)], "item_id long, text string")
+    got = {(r["id"], r["item_id"]): r["score"] for r in dc.leaks(spark, docs, bench).collect()}
+    want = {}
+    for i, t in rows:
+        for k, w in enumerate(items):
+            s = brute_align(w, t.split()) / (dc.MATCH * len(w))
+            if s >= dc.SCORE:
+                want[i, k] = round(s, 6)
+    assert len(want) > 80 and set(got) <= set(want)
+    assert all(got[x] == want[x] for x in got)
+    assert len(got) / len(want) >= 0.9
+
+
+def test_short_items_nulls_and_very_long_texts(spark):
+    bench = spark.createDataFrame([(1, "alpha beta gamma", 1), (2, "solo", 1), (3, "--- ...", 1), (4, "", 1), (5, None, 1), (None, "null id item here", 1)], "item_id long, text string, id int")
+    long = "word " * 300_000
+    rows = [(1, "an Alpha, beta gamma!"), (2, "alpha beta"), (3, "so solo"), (4, long + "alpha beta gamma"), (5, None), (6, ""), (None, "a null id item here b"), (8, "alpha gamma beta")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted(((r["id"], r["item_id"], r["score"], r["first_word"], r["end_word"]) for r in dc.leaks(spark, docs, bench).collect()), key=str)
+    assert got == sorted([(1, 1, 1.0, 1, 4), (3, 2, 1.0, 1, 2), (4, 1, 1.0, 300_000, 300_003), (None, None, 1.0, 1, 5)], key=str)
 
 
 def test_clean_documents_where_ids_repeat(spark):

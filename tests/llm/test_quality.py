@@ -9,6 +9,7 @@ from hypothesis import strategies as st
 
 from kgfeat.llm import quality as q
 from kgfeat.llm.text import words_of
+from kgfeat.plans.state import Workspace
 
 WS = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -50,21 +51,47 @@ def test_binomial_tail_is_the_clopper_pearson_bound():
         assert q.binomial_tail(n, k, p) == pytest.approx(min(1.0, total), rel=1e-9)
 
 
-def test_certified_stops_at_the_first_failure():
-    level = 0.01
-    assert q.certified(0, [0, 0], 0.01, level) == 0
-    assert q.certified(2000, [0, 2, 300, 0], 0.01, level) == 2
-
-
-def test_false_rejection_is_limited_in_simulation():
-    rng = np.random.default_rng(5)
-    over = 0
-    for _ in range(300):
-        rates = np.sort(rng.uniform(0, 0.05, 6))
-        k = [int(rng.binomial(800, r)) for r in rates]
-        n = q.certified(800, k, 0.02, 0.05)
-        over += n > 0 and rates[:n].max() > 0.02
-    assert over / 300 < 0.12
+def test_most_false_rejections_that_certify():
+    for n, alpha, level in [(0, 0.05, 0.01), (50, 0.05, 0.0125), (86, 0.05, 0.0125), (400, 0.05, 0.0125), (3000, 0.01, 0.05)]:
+        k = q.most_false(n, alpha, level)
+        assert k == max((i for i in range(n) if q.binomial_tail(n, i, alpha) <= level), default=-1)
+
+
+def _labelled(rng, n, rates):
+    """Rows that the base rules pass: good ones exceed some cutoffs at the given rates, bad ones often."""
+    rows = []
+    for i in range(n):
+        good = rng.random() < 0.8
+        word = [f"w{j}x" for j in range(100)]
+        for at, rate in enumerate(rates):
+            if rng.random() < (rate if good else 0.7):
+                word[at::5] = [("$#" * (2 + at)) + str(j) for j in range(len(word[at::5]))] if at % 2 else [f"W{'X' * (3 + at)}{j}" for j in range(len(word[at::5]))]
+        rows.append((i, " ".join(word), "en" if i % 3 else "de", int(good)))
+    return rows
+
+
+def test_false_rejection_of_all_rules_together_is_limited(spark):
+    rng = np.random.default_rng(3)
+    rows = _labelled(rng, 3000, [0.01, 0.03, 0.02, 0.05])
+    docs = spark.createDataFrame([r[:3] for r in rows], "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(r[0], r[3]) for r in rows[:1500]], "doc_id long, quality int")
+    kept = {r["doc_id"]: r["kept"] for r in q.judge(spark, docs, labels).collect()}
+    for lang in ("en", "de"):
+        fresh = [r for r in rows[1500:] if r[2] == lang and r[3]]
+        assert sum(not kept[r[0]] for r in fresh) / len(fresh) <= q.ALPHA + 0.02  # room for the chance of the fresh rows
+    bad = [r for r in rows[1500:] if not r[3]]
+    assert sum(not kept[r[0]] for r in bad) > 0.5 * len(bad)
+
+
+@pytest.mark.parametrize("sf", ["sf0.01"])
+def test_cutoffs_are_certified_and_used_on_the_given_tables(spark, sf):
+    docs, labels = (spark.read.parquet(f"/root/testdata/{sf}/{t}.parquet") for t in ("documents", "labels"))
+    got = q.judge(spark, docs, labels).join(labels, "doc_id").filter("not base_failed").groupBy("quality", "kept").count().collect()
+    n = {(r["quality"], r["kept"]): r["count"] for r in got}
+    assert n[0, False] > 5 * n.get((0, True), 0) and n.get((1, False), 0) <= q.ALPHA * n[1, True]
+    *_, th = q._fitted(Workspace(spark, "quality"), docs, labels, "doc_id", "text", "lang", q.ALPHA, q.DELTA)
+    assert {t.stratum for t in th} == {"en", "de", "es", "fr"} and all(t.cutoffs for t in th)
+    assert [t.pooled for t in th if t.stratum == "en"] == [False] and any(t.pooled for t in th)
 
 
 def test_judge_end_to_end(spark):

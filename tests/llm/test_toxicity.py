@@ -1,5 +1,6 @@
 from __future__ import annotations
 
+import math
 import random
 
 import pytest
@@ -7,6 +8,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from kgfeat.llm import toxicity as tx
+from kgfeat.plans.state import Workspace
 
 TERMS = ["idiot", "worthless", "disgustingly", "scum", "abcde*", "lowerstem*"]
 
@@ -127,3 +129,69 @@ def test_quotation_in_lines_of_any_length():
     assert weights(f'"{far} idiot" idiot') == [0.4, 1.0]
     assert weights(f'"{far}" {"word " * 10} idiot') == [1.0]
     assert weights(f"“{far} idiot {far} idiot” idiot\n idiot") == [0.4, 0.4, 1.0, 1.0]
+
+
+def test_stems_of_any_length(spark):
+    stem = "pseudointernationalistically"  # 28 characters
+    rng = random.Random(2)
+    rows = [(i, " ".join(rng.choice(["an", "on", "er", "th"]) + str(rng.randrange(999)) for _ in range(20)) + (f" {stem}{'abcdefgh'[i % 8]}{i % 16} x{i}" if i % 2 else "")) for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i, _ in rows], "doc_id long, toxic int")
+    m = tx.learn(spark, docs, labels)
+    assert any(t.startswith(stem) for t in m.trust) or any(stem.startswith(t.removesuffix("*")) for t in m.trust)
+    words = spark.createDataFrame([("a" * 50 + c, 6) for c in "bcd"] + [("b" * 45, 20), ("c" * 30, 3)], "w string, n long")
+    got, longest = tx.frequent_beginnings(Workspace(spark, "t"), words, 10)
+    have = {r["p"]: r["bad"] for r in got.collect()}
+    assert have == {"a" * k: 18 for k in range(3, 51)} | {"b" * k: 20 for k in range(3, 46)} | {"b" * 45 + "$": 20} and longest == 50
+
+
+def plain_score(m, text):
+    """The score by edit distances to every entry and a look back along the line, word after word."""
+    low = (text or "").lower()
+    exact = near = cut = 0.0
+    spots = list(tx.WORD.finditer(low))
+    for n, x in enumerate(spots):
+        w, best = x.group(), None
+        for t in m.automaton.budget:
+            s = t.removesuffix("*")
+            forms = [w] if s == t else [w[:j] for j in range(len(w) + 1)]
+            d = min(distance(f, s) for f in forms)
+            if d <= tx.edit_budget(t):
+                best = min(best or (9, ""), (d, t))
+        if best is None or (best[0] and w in m.harmless):
+            continue
+        line = low[low.rfind("\n", 0, x.start()) + 1 : x.start()]
+        quoted = line.count('"') % 2 == 1 or any(line.rfind(o) > line.rfind(c) for o, c in tx.PAIRS.items())
+        weight = (0.4 if quoted else 1.0) * (0.5 if any(s.group() in tx.REPORTING for s in spots[max(0, n - tx.SPAN) : n]) else 1.0)
+        cut += 1 - weight
+        if best[0]:
+            near += weight
+        else:  # entries at no distance: the automaton names the first stem or the word
+            exact += weight * m.trust.get(m.look(w)[0], 1.0)
+    dense = 100 * exact / max(20, (text or "").count(" ")) if exact else 0.0
+    z = sum(a * b for a, b in zip(m.weights, [1, math.log1p(exact), math.log1p(near), math.log1p(dense), math.log1p(cut)], strict=True))
+    return 1 / (1 + math.exp(-max(-30, min(30, z))))
+
+
+def test_query_against_plain_scores(spark):
+    """Every row of a table of the given sizes, with the lexicon and weights of the query."""
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
+    m = tx.learn(spark, docs, labels, contexts=3, share=0.3)
+    assert m.trust
+    got = {r["id"]: r["score"] for r in tx.score_documents(spark, docs, m).collect()}
+    rows = docs.select("doc_id", "text").collect()
+    assert len(got) == len(rows)
+    for r in rows:
+        if len(r["text"] or "") < 6000:
+            assert got[r["doc_id"]] == pytest.approx(plain_score(m, r["text"]), abs=1e-9)
+    twice = tx.score_documents(spark, docs, tx.learn(spark, docs, labels, contexts=3, share=0.3))
+    assert {r["id"]: r["score"] for r in twice.collect()} == got
+
+
+def test_ties_repeats_and_empty_tables(spark):
+    docs = spark.createDataFrame([(1, "an oaf"), (1, "an oaf"), (2, ""), (None, None)], "doc_id long, text string")
+    lab = spark.createDataFrame([(1, 1), (1, 0), (2, 0)], "doc_id long, toxic int")
+    m = tx.learn(spark, docs, lab)
+    assert len(tx.score_documents(spark, docs, m).collect()) == 4
+    assert tx.score_documents(spark, docs.limit(0), m).count() == 0
+    assert not tx.learn(spark, docs.limit(0), lab).trust

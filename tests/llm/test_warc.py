@@ -76,3 +76,10 @@ def test_damage_fails_whatever_columns_are_kept(spark, tmp_path, monkeypatch, ke
     _, df = _pages(spark)
     with pytest.raises(Exception, match="damaged record of page 2"):
         warc.round_trip(spark, df).select(kept).collect()
+
+
+def test_urls_and_payloads_of_any_length(spark):
+    url = "http://h.example/" + "p" * 2_500_000
+    df = spark.createDataFrame([(1, url, "x"), (2, None, "y" * 3_000_000), (2, None, "y" * 3_000_000)], "page_id long, url string, html string")
+    got = sorted(((r["page_id"], r["url"], r["payload_bytes"], r["record_type"]) for r in warc.round_trip(spark, df).collect()), key=lambda r: r[0])
+    assert got == [(1, url, 1, "response"), (2, "", 3_000_000, "response"), (2, "", 3_000_000, "response")]
