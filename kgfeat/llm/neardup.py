@@ -102,10 +102,10 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, shingle: int = SHINGLE
     return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t")).mapInArrow(run, f"id {kind}, cls binary, fp long, cells array<long>")
 
 
-def _groups(spark: SparkSession, ws: Workspace, classes: DataFrame, links: DataFrame, name: str) -> DataFrame:
-    """(cls, c): the group of each class."""
+def _groups(spark: SparkSession, ws: Workspace, classes: DataFrame, links: DataFrame) -> DataFrame:
+    """(no, c): the group of each class."""
     comp = components(spark, links, ws=ws)
-    return ws.save(classes.select("cls").join(comp.withColumnRenamed("v", "cls"), "cls", "left").select("cls", F.coalesce("c", "cls").alias("c")), name)
+    return ws.save(classes.select("no").join(comp.withColumnRenamed("v", "no"), "no", "left").select("no", F.coalesce("c", "no").alias("c")), "groups")
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, least: float, shingle: int) -> DataFrame:
@@ -122,8 +122,8 @@ def _verified(pairs: DataFrame, texts: DataFrame, least: float, shingle: int) ->
                     keep.append(r)
             yield b.select([0, 1]).take(pa.array(keep, pa.int64()))
 
-    both = pairs.join(texts.select(F.col("cls").alias("b"), F.col("t").alias("tb")), "b").join(texts.select(F.col("cls").alias("a"), F.col("t").alias("ta")), "a")
-    return both.select("a", "b", "ta", "tb").mapInArrow(compare, "a binary, b binary")
+    both = pairs.join(texts.select(F.col("no").alias("b"), F.col("t").alias("tb")), "b").join(texts.select(F.col("no").alias("a"), F.col("t").alias("ta")), "a")
+    return both.select("a", "b", "ta", "tb").mapInArrow(compare, "a long, b long")
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: float = LEAST, shingle: int = SHINGLE, max_bits: int = 4, cell_rows: int = 4096, ws: Workspace | None = None) -> DataFrame:
@@ -134,52 +134,52 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     """
     ws = ws or Workspace(spark, "neardup")
     rows = ws.save(sketches(docs, id_col, text_col, shingle), "sketches")
-    classes = ws.save(rows.groupBy("cls").agg(F.min("id").alias("id"), F.first("fp").alias("fp"), F.first("cells").alias("cells")), "classes")
+    classes = rows.groupBy("cls").agg(F.min("id").alias("id"), F.first("fp").alias("fp"), F.first("cells").alias("cells"))
+    classes = ws.save(classes.withColumn("no", F.monotonically_increasing_id()), "classes")
 
     # closest pairs by SimHash: forest of the fingerprints' links, and classes of one fingerprint
-    of_fp = ws.save(classes.groupBy("fp").agg(F.min("cls").alias("rep")), "fingerprints")
+    of_fp = ws.save(classes.groupBy("fp").agg(F.min("no").alias("rep")), "fingerprints")
     near = simhash.links(ws, of_fp.select("fp"), of_fp.count(), max_bits)
     ends = [of_fp.select(F.col("fp").alias(x), F.col("rep").alias(f"r{x}")) for x in "ab"]
     close = near.join(ends[0], "a").join(ends[1], "b").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
-    close = ws.save(close.union(classes.join(of_fp, "fp").filter("cls <> rep").select(F.col("rep").alias("a"), F.col("cls").alias("b"))), "close")
-
-    # cells of the same classes link the same: one of them stays
-    cells = classes.select("cls", F.explode("cells").alias("cell"))
-    met = cells.groupBy("cell").agg(F.count("*").alias("m"), F.min("cls").alias("top"), F.sum(F.xxhash64("cls").cast("decimal(38,0)")).alias("s")).filter("m > 1")
-    met = ws.save(met.groupBy("m", "top", "s").agg(F.min("cell").alias("cell")).select("cell", "m", "top"), "met")
-    member = ws.save(cells.join(met, "cell").select("cell", "m", "top", "cls"), "members")
-
-    asked = member.select("cls").union(close.select("a")).union(close.select("b")).distinct()
-    wanted = classes.join(asked, "cls").select("cls", F.col("id").alias("want"))
-    texts = docs.select(F.col(id_col).alias("own"), F.col(text_col).alias("t")).join(wanted, F.col("own").eqNullSafe(F.col("want")))
-    texts = ws.save(texts.dropDuplicates(["cls"]).select("cls", "t"), "texts")
-
-    links = ws.save(_verified(close, texts, least, shingle), "links")
-    named = _groups(spark, ws, classes, links, "groups")
-    top = named.select(F.col("cls").alias("top"), F.col("c").alias("ctop"))
-    pairs = member.filter("cls <> top").select("top", "cls").distinct().join(named, "cls").join(top, "top").filter("c <> ctop")
-    more = ws.save(_verified(pairs.select(F.col("top").alias("a"), F.col("cls").alias("b")), texts, least, shingle), "more-links")
-    if not more.isEmpty():
-        links = links.union(more)
-        named = _groups(spark, ws, classes, links, "groups")
+    close = ws.save(close.union(classes.join(of_fp, "fp").filter("no <> rep").select(F.col("rep").alias("a"), F.col("no").alias("b"))), "close")
+    links = ws.save(_verified(close, _texts(docs, id_col, text_col, classes, close.select("a").union(close.select("b"))), least, shingle), "links")
+    named = _groups(spark, ws, classes, links)
+
+    # cells of several groups; those of the same classes link the same, and one of them stays
+    cells = classes.select("no", "cells").join(named, "no").select("no", "c", F.explode("cells").alias("cell"))
+    met = cells.groupBy("cell").agg(F.count("*").alias("m"), F.min("no").alias("top"), F.min_by("c", "no").alias("ctop"), F.min("c").alias("lo"), F.max("c").alias("hi"), F.bit_xor(F.xxhash64("no")).alias("x")).filter("lo <> hi")
+    met = ws.save(met.groupBy("m", "top", "ctop", "x").agg(F.min("cell").alias("cell")), "met")
+    member = ws.save(cells.join(met.select("cell", "m", "top", "ctop"), "cell").select("cell", "m", "top", "ctop", "no", "c"), "members")
+    texts = ws.save(_texts(docs, id_col, text_col, classes, member.select("no")), "texts")
+    pairs = member.filter("c <> ctop").select(F.col("top").alias("a"), F.col("no").alias("b")).distinct()
+    links = links.union(ws.save(_verified(pairs, texts, least, shingle), "more-links"))
+    named = _groups(spark, ws, classes, links)
     # a cell of two is settled; one of several groups is not
-    left = member.filter("m > 2").join(named, "cls")
+    left = member.filter("m > 2").select("cell", "m", "no").join(named, "no")
     open_cells = ws.save(left.groupBy("cell").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo <> hi").select("cell"), "open")
     if not open_cells.isEmpty():
-        part = member.join(open_cells, "cell")
-        rest = ws.save(_within(part, texts, least, shingle, cell_rows), "cell-links")
-        named = _groups(spark, ws, classes, links.union(rest), "groups")
-    named = classes.select("cls", "id").join(named, "cls")
+        links = links.union(ws.save(_within(left.join(open_cells, "cell"), texts, least, shingle, cell_rows), "cell-links"))
+        named = _groups(spark, ws, classes, links)
+    ws.drop(texts)
+    ws.drop(member)
+    named = classes.select("cls", "no", "id").join(named, "no")
     table = ws.save(named.join(ws.save(named.groupBy("c").agg(F.min("id").alias("component_id")), "least"), "c").select("cls", "component_id"), "components")
     return rows.select("id", "cls").join(table, "cls", "left").select("id", "component_id")
 
 
+def _texts(docs: DataFrame, id_col: str, text_col: str, classes: DataFrame, asked: DataFrame) -> DataFrame:
+    """(no, t): one text of each class asked for (a column of their numbers)."""
+    wanted = classes.join(asked.toDF("no").distinct(), "no").select("no", F.col("id").alias("want"))
+    return docs.select(F.col(id_col).alias("own"), F.col(text_col).alias("t")).join(wanted, F.col("own").eqNullSafe(F.col("want"))).dropDuplicates(["no"]).select("no", "t")
+
+
 def _within(member: DataFrame, texts: DataFrame, least: float, shingle: int, cell_rows: int) -> DataFrame:
-    """(a, b): spanning forests of the links in each cell of (cell, m, cls)."""
+    """(a, b): spanning forests of the links in each cell of (cell, m, no)."""
     chunks = F.ceil(F.col("m") / cell_rows).cast("int")
-    part = member.select("cell", "cls", chunks.alias("n"), F.pmod(F.xxhash64("cls"), chunks).cast("int").alias("k"))
-    part = part.select("cell", "cls", "k", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("o"))
-    part = part.select("cell", "cls", F.least("k", "o").alias("i"), F.greatest("k", "o").alias("j")).join(texts, "cls").select("cell", "i", "j", "cls", "t")
+    part = member.select("cell", "no", chunks.alias("n"), F.pmod(F.xxhash64("no"), chunks).cast("int").alias("k"))
+    part = part.select("cell", "no", "k", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("o"))
+    part = part.select("cell", "no", F.least("k", "o").alias("i"), F.greatest("k", "o").alias("j")).join(texts, "no").select("cell", "i", "j", "no", "t")
     keys = ["cell", "i", "j"]
 
     def within(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -195,13 +195,13 @@ def _within(member: DataFrame, texts: DataFrame, least: float, shingle: int, cel
                 pdf, rest, starts = pdf.iloc[: starts[-1]], pdf.iloc[starts[-1] :], starts[:-1]
             a, b = [], []
             for s, e in zip(starts, np.append(starts[1:], len(pdf)), strict=True):
-                cls = pdf["cls"].values[s:e]
+                no = pdf["no"].values[s:e]
                 for x, y in forest([shingle_set(t, shingle) for t in pdf["t"].values[s:e]], least):
-                    a.append(cls[x])
-                    b.append(cls[y])
-            yield pd.DataFrame({"a": pd.Series(a, dtype=object), "b": pd.Series(b, dtype=object)})
+                    a.append(no[x])
+                    b.append(no[y])
+            yield pd.DataFrame({"a": pd.Series(a, dtype="int64"), "b": pd.Series(b, dtype="int64")})
 
-    return part.repartition(*keys).sortWithinPartitions(*keys).mapInPandas(within, "a binary, b binary").distinct()
+    return part.repartition(*keys).sortWithinPartitions(*keys).mapInPandas(within, "a long, b long").distinct()
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ws: Workspace | None = None, **how: object) -> DataFrame:

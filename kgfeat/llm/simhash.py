@@ -199,7 +199,9 @@ def one_of_each(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", te
     ws = ws or Workspace(spark, "simhash")
     d, (i, t) = neutral(docs, id_col, text_col)
     keyed = d.withColumn("key", row_key(i, t))
-    group = ws.save(groups(spark, keyed, "key", t, ws=ws, **how).select("id", "component_id"), "rows")
+    inner = Workspace(spark, "groups")
+    group = ws.save(groups(spark, keyed, "key", t, ws=inner, **how).select("id", "component_id"), "rows")
+    inner.close()  # all tables on the way to the groups
     gone = ws.save(group.filter(F.col("id") != F.col("component_id")).select(F.col("id").alias("gone")).distinct(), "gone")
     left = keyed.join(gone, F.col("key") == F.col("gone"), "left_anti")
     rows = group.agg(F.count("*"), F.countDistinct("id")).first()

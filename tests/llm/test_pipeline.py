@@ -38,7 +38,7 @@ def leaked(text, items):
 def brute_run(folder):
     duck = duckdb.connect()
     for t in ("documents", "labels", "benchmark"):
-        duck.sql(f"CREATE VIEW {t} AS SELECT * FROM '{folder}/{t}.parquet{'/*.parquet' if folder != SF else ''}'")
+        duck.sql(f"CREATE VIEW {t} AS SELECT DISTINCT * FROM '{folder}/{t}.parquet{'/*.parquet' if folder != SF else ''}'")
     kept = {i for i, k in duck.sql(f"SELECT doc_id, kept FROM ({oracles.quality_rules()})").fetchall() if k}
     rows = [r for r in duck.sql("SELECT doc_id, text, source FROM documents").fetchall() if r[0] in kept]
     left = set(brute_left([(i, t) for i, t, _ in rows]))
@@ -117,7 +117,7 @@ def test_nulls_repeats_copies_and_leaks(spark, tmp_path, seed):
             w[at:at] = it
         rows.append((i, " ".join(w), rng.choice(["en", "de", None]), rng.choice(["a", "a", "b", None])))
     rows += [(500, None, "en", "a"), (501, "", None, None), (502, "few words", "en", "b"), rows[9], rows[9], (503, "x " * 20_000, "en", "a"), (504, " ".join(word() for _ in range(9000)), "de", "b")]
-    extra = [(*r, f"size {k}", None if k % 2 else k) for k, r in enumerate(rows)]
+    extra = [(*r, f"size {len(r[1] or '')}", r[0] if r[0] % 2 else None) for r in rows]
     docs = spark.createDataFrame(extra, "doc_id long, text string, lang string, source string, key string, c0 long")
     docs.write.parquet(f"{tmp_path}/documents.parquet")
     lab = [(i, int(rng.random() < 0.8), None) for i in range(0, 150, 2)] + [(None, 1, 1), (3, None, 0)]
