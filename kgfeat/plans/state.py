@@ -6,7 +6,9 @@ written survives lost executors and lets a later round start from files alone.
 
 from __future__ import annotations
 
-import os
+import atexit
+import functools
+import shutil
 import tempfile
 import uuid
 
@@ -14,16 +16,21 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; a local default only where it is unset.
-
-    On a cluster without the setting, the warehouse folder is used, which is shared as well.
-    """
+    """The folder named by ``spark.checkpoint.dir``. Where it is unset, a folder of this machine that goes
+    when the process ends, if driver and executors are one process; an error otherwise."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if root:
         return root.rstrip("/")
     if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
-        return f"file://{os.path.join(tempfile.gettempdir(), 'kgfeat-state')}"
-    return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_kgfeat_state"
+        return f"file://{_own_folder()}"
+    raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+
+
+@functools.cache
+def _own_folder() -> str:
+    folder = tempfile.mkdtemp(prefix="kgfeat-")
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
+    return folder
 
 
 ROWS_A_FILE = 100_000
@@ -36,6 +43,7 @@ class Workspace:
         self.spark = spark
         self.base = f"{root or shared_root(spark)}/kgfeat/{tag}-{uuid.uuid4().hex[:12]}"
         self._n = 0
+        self._tables: list[str] = []
 
     def path(self, name: str) -> str:
         return f"{self.base}/{name}"
@@ -57,8 +65,16 @@ class Workspace:
         self._n += 1
         table = f"kgfeat_{name}_{uuid.uuid4().hex[:12]}"
         df.write.bucketBy(buckets, key).sortBy(key).option("path", self.path(f"{self._n:03d}-{name}")).saveAsTable(table)
+        self._tables.append(table)
         return self.spark.table(table)
 
+    def close(self) -> None:
+        """Delete all that was saved here."""
+        for t in self._tables:
+            self.spark.sql(f"DROP TABLE IF EXISTS {t}")
+        self._tables.clear()
+        self.delete(self.base)
+
     def drop(self, df: DataFrame) -> None:
         """Delete a saved table that nothing refers to any more."""
         path = getattr(df, "_kgfeat_path", None)
