@@ -316,7 +316,7 @@ def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, id_col: str =
             w, c = [], []
             for t in b.column(0):
                 x = WORD.findall(t.as_py().lower())
-                for a, y, z in {(a, y, z) for a, y, z in zip(x, ["", *x[:-1]], [*x[1:], ""], strict=True)}:
+                for a, y, z in {(a, y, z) for a, y, z in zip(x, ["", *x[:-1]], [*x[1:], ""], strict=False)}:
                     w.append(a)
                     c.append(f"{y} {z}")
             yield pa.RecordBatch.from_arrays([pa.array(w, pa.string()), pa.array(c, pa.string())], names=["w", "c"])
