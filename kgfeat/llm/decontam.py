@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, types as T
 from pyspark.sql import functions as F
 
-from kgfeat.llm.text import given_back, neutral, row_key
+from kgfeat.llm.text import given_back, neutral, row_key, sent_if_few
 from kgfeat.plans.state import Workspace
 
 WORD = re.compile(r"[^\W_]+")
@@ -262,5 +262,6 @@ def clean_documents(spark: SparkSession, docs: DataFrame, items: DataFrame, id_c
     of rows that share an id only those with a match go, and repeated rows stay or go together."""
     d, (i, t) = neutral(docs, id_col, text_col)
     keyed = d.withColumn("key", row_key(i, t))
-    bad = leaks(spark, keyed, items, "key", t, ws=ws, **how).select(F.col("id").alias("bad")).distinct()
-    return given_back(keyed.join(bad, F.col("key") == F.col("bad"), "left_anti"), docs)
+    ws = ws or Workspace(spark, "decontam")
+    bad = ws.save(leaks(spark, keyed, items, "key", t, ws=ws, **how).select(F.col("id").alias("bad")).distinct(), "bad")
+    return given_back(keyed.join(sent_if_few(bad), F.col("key") == F.col("bad"), "left_anti"), docs)

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from kgfeat.llm import simhash
-from kgfeat.llm.text import words_of
+from kgfeat.llm.text import sent_if_few, words_of
 from kgfeat.operators.canon import components
 from kgfeat.plans.state import Workspace
 
@@ -143,15 +143,19 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     ends = [of_fp.select(F.col("fp").alias(x), F.col("rep").alias(f"r{x}")) for x in "ab"]
     close = near.join(ends[0], "a").join(ends[1], "b").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
     close = ws.save(close.union(classes.join(of_fp, "fp").filter("no <> rep").select(F.col("rep").alias("a"), F.col("no").alias("b"))), "close")
-    links = ws.save(_verified(close, _texts(docs, id_col, text_col, classes, close.select("a").union(close.select("b"))), least, shingle), "links")
+    texts = ws.save(_texts(ws, docs, id_col, text_col, classes, close.select("a").union(close.select("b"))), "texts")
+    links = ws.save(_verified(close, texts, least, shingle), "links")
+    ws.drop(texts)
     named = _groups(spark, ws, classes, links)
 
     # cells of several groups; those of the same classes link the same, and one of them stays
     cells = classes.select("no", "cells").join(named, "no").select("no", "c", F.explode("cells").alias("cell"))
-    met = cells.groupBy("cell").agg(F.count("*").alias("m"), F.min("no").alias("top"), F.min_by("c", "no").alias("ctop"), F.min("c").alias("lo"), F.max("c").alias("hi"), F.bit_xor(F.xxhash64("no")).alias("x")).filter("lo <> hi")
-    met = ws.save(met.groupBy("m", "top", "ctop", "x").agg(F.min("cell").alias("cell")), "met")
-    member = ws.save(cells.join(met.select("cell", "m", "top", "ctop"), "cell").select("cell", "m", "top", "ctop", "no", "c"), "members")
-    texts = ws.save(_texts(docs, id_col, text_col, classes, member.select("no")), "texts")
+    met = cells.groupBy("cell").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo <> hi").select("cell")
+    member = ws.save(cells.join(ws.save(met, "met"), "cell"), "met-members")
+    one = member.groupBy("cell").agg(F.count("*").alias("m"), F.min("no").alias("top"), F.min_by("c", "no").alias("ctop"), F.bit_xor(F.xxhash64("no")).alias("x"))
+    one = ws.save(one.groupBy("m", "top", "ctop", "x").agg(F.min("cell").alias("cell")).select("cell", "m", "top", "ctop"), "cells")
+    member = ws.save(member.join(one, "cell"), "members")
+    texts = ws.save(_texts(ws, docs, id_col, text_col, classes, member.select("no")), "texts")
     pairs = member.filter("c <> ctop").select(F.col("top").alias("a"), F.col("no").alias("b")).distinct()
     links = links.union(ws.save(_verified(pairs, texts, least, shingle), "more-links"))
     named = _groups(spark, ws, classes, links)
@@ -168,10 +172,11 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     return rows.select("id", "cls").join(table, "cls", "left").select("id", "component_id")
 
 
-def _texts(docs: DataFrame, id_col: str, text_col: str, classes: DataFrame, asked: DataFrame) -> DataFrame:
+def _texts(ws: Workspace, docs: DataFrame, id_col: str, text_col: str, classes: DataFrame, asked: DataFrame) -> DataFrame:
     """(no, t): one text of each class asked for (a column of their numbers)."""
-    wanted = classes.join(asked.toDF("no").distinct(), "no").select("no", F.col("id").alias("want"))
-    return docs.select(F.col(id_col).alias("own"), F.col(text_col).alias("t")).join(wanted, F.col("own").eqNullSafe(F.col("want"))).dropDuplicates(["no"]).select("no", "t")
+    wanted = ws.save(classes.join(asked.toDF("no").distinct(), "no").select("no", F.col("id").alias("want")), "wanted")
+    rows = docs.select(F.col(id_col).alias("own"), F.col(text_col).alias("t")).join(sent_if_few(wanted), F.col("own").eqNullSafe(F.col("want")))
+    return rows.dropDuplicates(["no"]).select("no", "t")
 
 
 def _within(member: DataFrame, texts: DataFrame, least: float, shingle: int, cell_rows: int) -> DataFrame:

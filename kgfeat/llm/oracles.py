@@ -40,14 +40,16 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
 
 def chat_rotation() -> str:
     end = chat.END.replace("\n", "'||chr(10)||'")
-    name = "regexp_replace(speaker, '[<>|\"\\n]', ' ', 'g')"
+    name = "coalesce(speaker, 'unknown')"
+    for mark, entity in chat.ENTITIES:
+        name = f"replace({name}, {'chr(10)' if mark == chr(10) else repr(mark)}, '{entity}')"
     return f"""
-WITH t AS (SELECT conv_id, turn, coalesce(role, 'unknown') AS speaker, coalesce(text, '') AS text FROM conversations),
-p AS (SELECT DISTINCT conv_id, speaker AS perspective FROM t WHERE speaker <> 'system'),
-s AS (SELECT t.*, perspective, CASE WHEN speaker = 'system' THEN 'system' WHEN speaker = perspective THEN 'assistant' ELSE 'user' END AS tag FROM t JOIN p ON t.conv_id IS NOT DISTINCT FROM p.conv_id),
+WITH t AS (SELECT conv_id, turn, role AS speaker, coalesce(text, '') AS text FROM conversations),
+p AS (SELECT DISTINCT conv_id, speaker AS perspective FROM t WHERE speaker IS DISTINCT FROM 'system'),
+s AS (SELECT t.*, perspective, CASE WHEN speaker = 'system' THEN 'system' WHEN speaker IS NOT DISTINCT FROM perspective THEN 'assistant' ELSE 'user' END AS tag FROM t JOIN p ON t.conv_id IS NOT DISTINCT FROM p.conv_id),
 h AS (SELECT *, CASE WHEN tag = 'user' THEN '<|user name="'||{name}||'"|>' ELSE '<|'||tag||'|>' END||chr(10) AS head FROM s),
 g AS (SELECT *, head||text||'{end}' AS segment FROM h),
-o AS (SELECT *, row_number() OVER w - 1 AS seq, sum(length(segment)) OVER w AS stop FROM g WINDOW w AS (PARTITION BY conv_id, perspective ORDER BY turn, speaker, text ROWS UNBOUNDED PRECEDING))
+o AS (SELECT *, row_number() OVER w - 1 AS seq, sum(length(segment)) OVER w AS stop FROM g WINDOW w AS (PARTITION BY conv_id, perspective ORDER BY turn NULLS FIRST, speaker NULLS FIRST, text ROWS UNBOUNDED PRECEDING))
 SELECT conv_id, perspective, turn, seq, speaker, tag, segment, (stop - length(segment))::BIGINT AS "start", stop::BIGINT AS "end",
  CASE WHEN tag = 'assistant' THEN (stop - length(segment) + length(head))::BIGINT END AS mask_start, CASE WHEN tag = 'assistant' THEN (stop - 1)::BIGINT END AS mask_end FROM o
 """

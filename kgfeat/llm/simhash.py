@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgfeat.llm.text import given_back, neutral, row_key, words_of
+from kgfeat.llm.text import given_back, neutral, row_key, sent_if_few, words_of
 from kgfeat.operators.canon import components
 from kgfeat.plans.state import Workspace
 
@@ -203,6 +203,6 @@ def one_of_each(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", te
     group = ws.save(groups(spark, keyed, "key", t, ws=inner, **how).select("id", "component_id"), "rows")
     inner.close()  # all tables on the way to the groups
     gone = ws.save(group.filter(F.col("id") != F.col("component_id")).select(F.col("id").alias("gone")).distinct(), "gone")
-    left = keyed.join(gone, F.col("key") == F.col("gone"), "left_anti")
+    left = keyed.join(sent_if_few(gone), F.col("key") == F.col("gone"), "left_anti")
     rows = group.agg(F.count("*"), F.countDistinct("id")).first()
     return given_back(left if rows[0] == rows[1] else left.dropDuplicates(["key"]), docs)

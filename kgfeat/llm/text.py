@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 BLANKS = " \t\n\x0b\x0c\r"
+BROADCAST_KEYS = 200_000  # rows of a key and a number or two
 
 
 def word_count(text: Column) -> Column:
@@ -37,6 +38,12 @@ def given_back(rows: DataFrame, docs: DataFrame, *more: Column) -> DataFrame:
     return rows.select(*(F.col(f"c{k}").alias(c) for k, c in enumerate(docs.columns)), *more)
 
 
+def sent_if_few(rows: DataFrame, most: int = BROADCAST_KEYS) -> DataFrame:
+    """A saved table of keys, to be sent to the texts that it is joined with while it is counted to be short;
+    a longer one is left to a shuffle of both sides."""
+    return F.broadcast(rows) if rows.count() <= most else rows
+
+
 def row_key(ident: str, text: str) -> Column:
     """A key that tells rows of one id apart by their text, ordered by id with null last."""
     return F.struct(F.col(ident).isNull().alias("none"), F.col(ident).alias("i"), F.xxhash64(text).alias("h"))

@@ -7,9 +7,9 @@ from kgfeat.llm import chat
 
 def render(turns, me):
     text, masks = "", []
-    for _, who, t in sorted(turns, key=lambda x: (x[0], x[1], x[2])):
+    for _, who, t in sorted(turns, key=lambda x: (x[0], x[1] is not None, x[1] or "", x[2])):
         tag = "system" if who == "system" else "assistant" if who == me else "user"
-        text += f'<|user name="{who}"|>\n' if tag == "user" else f"<|{tag}|>\n"
+        text += f'<|user name="{who or "unknown"}"|>\n' if tag == "user" else f"<|{tag}|>\n"
         if tag == "assistant":
             masks.append((len(text), len(text) + len(t) + len("<|end|>")))
         text += t + chat.END
@@ -17,7 +17,7 @@ def render(turns, me):
 
 
 def test_rotation_against_brute_force(spark):
-    rows = [(1, 0, "system", "be kind"), (1, 1, "ann", "hi é"), (1, 2, "bob", "hello"), (1, 3, "ann", "bye"), (1, 3, "cem", "tie"), (1, 3, "cem", "tie"), (2, 0, "system", "alone"), (3, 0, None, None), (None, 0, "ann", "x"), (None, 1, "bob", "y")]
+    rows = [(1, 0, "system", "be kind"), (1, 1, "ann", "hi é"), (1, 2, "bob", "hello"), (1, 3, "ann", "bye"), (1, 3, "cem", "tie"), (1, 3, "cem", "tie"), (1, 4, None, "who?"), (1, 5, "unknown", "me"), (2, 0, "system", "alone"), (3, 0, None, None), (None, 0, "ann", "x"), (None, 1, "bob", "y")]
     rows += [(7, i, ("ann", "bob", "cem")[i % 3], f"turn {i}") for i in range(3000)]
     df = spark.createDataFrame([(*r, "clash") for r in rows], "conv_id long, turn long, role string, text string, segment string")
     out = chat.rotate(spark, df)
@@ -26,7 +26,7 @@ def test_rotation_against_brute_force(spark):
         got[r["conv_id"], r["perspective"]].append(r)
     convs = defaultdict(list)
     for c, t, w, x in rows:
-        convs[c].append((t, w or "unknown", x or ""))
+        convs[c].append((t, w, x or ""))
     want = {(c, me) for c, ts in convs.items() for me in {w for _, w, _ in ts} - {"system"}}
     assert set(got) == want
     for (c, me), rs in got.items():
@@ -47,6 +47,17 @@ def test_names_cannot_close_a_header(spark):
     assert sum(s.startswith("<|assistant|>") for s in seg) == 1
 
 
+def test_names_alike_but_for_marks_stay_apart(spark):
+    names = ["a<b", "a|b", "a b", 'a"b', "a&lt;b", None, "unknown"]
+    df = spark.createDataFrame([(1, i, n, "t") for i, n in enumerate(names)], "conv_id long, turn long, role string, text string")
+    got = chat.rotate(spark, df).filter("tag = 'user'").collect()
+    heads = {}
+    for r in got:
+        heads.setdefault(r["segment"], set()).add(r["speaker"])
+    assert {r["perspective"] for r in got} == set(names)
+    assert all(len(v) == 1 or v == {None, "unknown"} for v in heads.values())
+
+
 def test_empty(spark):
     df = spark.createDataFrame([], "conv_id long, turn long, role string, text string")
     assert chat.rotate(spark, df).count() == 0
