@@ -17,9 +17,3 @@ def generalisations(classes_of_each: Column) -> Column:
     """Number of patterns that generalise a path, from the number of usable classes of each of its
     vertices, the top class among them: the product of 1 + classes, without the path itself."""
     return F.aggregate(classes_of_each, F.lit(1).cast("long"), lambda acc, c: acc * (c + 1)) - 1
-
-
-def elements(features: DataFrame, vertex: DataFrame) -> DataFrame:
-    """(fid, uri, is_class) of every element."""
-    flat = features.select("fid", F.explode(F.arrays_zip("elems", "classes")).alias("x")).select("fid", F.col("x.elems").alias("v"), F.col("x.classes").alias("is_class"))
-    return flat.join(vertex, "v").select("fid", "uri", "is_class")

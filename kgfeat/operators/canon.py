@@ -2,7 +2,8 @@
 
 ``components`` needs no driver memory and no task that gathers a component: every round is a
 pair of joins and grouped minima over a shrinking set of edges, with each round's result
-committed as a table.
+committed as a table. Roots of large components are keys with very many edges: their few minima are
+sent to the edges, which stay where they are (``_with_least``).
 """
 
 from __future__ import annotations
@@ -12,23 +13,35 @@ from pyspark.sql import functions as F
 
 from kgfeat.plans.state import Workspace
 
+SPREAD = 1000  # a key with over 1 / SPREAD of all edges is hot: there are fewer than SPREAD of them
+SMALL = 1_000_000  # edges that one task may hold anyway
+BROADCAST_MAP = 1_000_000  # rows of two longs sent to all tasks; longer maps are shuffled
+
 
 def _both_ways(e: DataFrame) -> DataFrame:
     return e.select("a", "b").union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
 
 
+def _with_least(edges: DataFrame, low: DataFrame, n: int) -> DataFrame:
+    """edges joined with low (a, m, k: edges of a) on a; hot keys are not shuffled to one task."""
+    if n <= SMALL:
+        return edges.join(low.select("a", "m"), "a")
+    hot = F.broadcast(low.filter(F.col("k") * SPREAD > n).select("a", "m"))
+    return edges.join(hot, "a").union(edges.join(hot.select("a"), "a", "left_anti").join(low.select("a", "m"), "a"))
+
+
 def _large_star(ws: Workspace, e: DataFrame, n: int) -> DataFrame:
     """Tie each vertex's larger neighbours to the least vertex around it (itself included)."""
     nb = _both_ways(e)
-    low = ws.save(nb.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m")), "low", 2 * n)
-    return nb.filter("b > a").join(low, "a").select(F.col("m").alias("a"), "b").filter("a <> b").distinct()
+    low = ws.save(nb.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count("*").alias("k")), "low", 2 * n)
+    return _with_least(nb.filter("b > a"), low, n).select(F.col("m").alias("a"), "b").filter("a <> b").distinct()
 
 
 def _small_star(ws: Workspace, e: DataFrame, n: int) -> DataFrame:
     """Tie each vertex and its smaller neighbours to the least of them."""
     down = e.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-    low = ws.save(down.groupBy("a").agg(F.min("b").alias("m")), "low", n)
-    return down.join(low, "a").select(F.col("m").alias("a"), "b").filter("a <> b").union(low.select(F.col("m").alias("a"), F.col("a").alias("b"))).distinct()
+    low = ws.save(down.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("k")), "low", n)
+    return _with_least(down, low, n).select(F.col("m").alias("a"), "b").filter("a <> b").union(low.select(F.col("m").alias("a"), F.col("a").alias("b"))).distinct()
 
 
 def components(spark: SparkSession, edges: DataFrame, a: str = "a", b: str = "b", method: str = "star", ws: Workspace | None = None) -> DataFrame:
@@ -70,16 +83,28 @@ def canonical_map(spark: SparkSession, same: DataFrame, a: str = "a", b: str = "
     return components(spark, same, a, b, method, ws).filter("v <> c")
 
 
+def named_map(ws: Workspace, same: DataFrame, vertex: DataFrame, method: str = "star") -> DataFrame:
+    """canonical_map of integer arcs (src, dst); a component stands under its first URI by code point."""
+    comp = ws.save(components(ws.spark, same, "src", "dst", method, ws), "components")
+    first = comp.join(vertex, "v").groupBy("c").agg(F.min_by("v", "uri").alias("r"))
+    return comp.join(first, "c").select("v", F.col("r").alias("c")).filter("v <> c")
+
+
 def contract(triples: DataFrame, canon: DataFrame, identity: str | None = "owl:sameAs", pred_canon: DataFrame | None = None) -> DataFrame:
-    """Triples over canonical vertices as a set; identity arcs go, self loops stay."""
+    """String triples over canonical vertices as a set; identity arcs go, self loops stay."""
     t = triples.filter(F.col("p") != identity) if identity else triples
-    s, o = canon.select(F.col("v").alias("s"), F.col("c").alias("cs")), canon.select(F.col("v").alias("o"), F.col("c").alias("co"))
-    t = t.join(s, "s", "left").join(o, "o", "left").select(F.coalesce("cs", "s").alias("s"), "p", F.coalesce("co", "o").alias("o"))
+    t = replaced(replaced(t, canon, "s"), canon, "o")
     if pred_canon is not None:
-        t = t.join(pred_canon.select(F.col("v").alias("p"), F.col("c").alias("cp")), "p", "left").select("s", F.coalesce("cp", "p").alias("p"), "o")
-    return t.distinct()
+        t = replaced(t, pred_canon, "p")
+    return t.select("s", "p", "o").distinct()
+
+
+def replaced(rows: DataFrame, canon: DataFrame, col: str, few: bool = False) -> DataFrame:
+    """rows with the vertices of a column replaced by the canonical ones; few: canon is known to be small."""
+    m = canon.select(F.col("v").alias(col), F.col("c").alias("canonical one"))
+    return rows.join(F.broadcast(m) if few else m, col, "left").withColumn(col, F.coalesce("canonical one", col)).drop("canonical one")
 
 
 def contract_seeds(seeds: DataFrame, canon: DataFrame) -> DataFrame:
     """Distinct canonical seeds; the column is named ``seed``."""
-    return seeds.select(F.col("seed").alias("v")).join(canon, "v", "left").select(F.coalesce("c", "v").alias("seed")).distinct()
+    return replaced(seeds.select("seed"), canon, "seed").distinct()

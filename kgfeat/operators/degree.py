@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -19,6 +19,11 @@ def hubs(arc: DataFrame, d: int | None, u: bool = False) -> DataFrame | None:
     return None if d is None else degrees(arc, u).filter(F.col("n") > d).select("v")
 
 
+def inverse(pred: str) -> Column:
+    """The predicate of an arc that is followed against its direction."""
+    return F.xxhash64(F.col(pred), F.lit("inverse"))
+
+
 def allowed(arc: DataFrame, d: int | None, u: bool, banned: DataFrame | None, exempt: DataFrame | None = None, direction_aware: bool = False) -> DataFrame:
     """Arcs to traverse: both ways with u, not out of hubs (but out of ``exempt``), not into banned vertices.
 
@@ -26,7 +31,7 @@ def allowed(arc: DataFrame, d: int | None, u: bool, banned: DataFrame | None, ex
     """
     stop = hubs(arc, d, u)
     if u:
-        back = arc.select(F.col("dst").alias("src"), (F.xxhash64(F.col("pred"), F.lit("inverse")) if direction_aware else F.col("pred")).alias("pred"), F.col("src").alias("dst"))
+        back = arc.select(F.col("dst").alias("src"), (inverse("pred") if direction_aware else F.col("pred")).alias("pred"), F.col("src").alias("dst"))
         arc = arc.union(back).distinct()
     if stop is not None:
         if exempt is not None:

@@ -1,11 +1,13 @@
 """Integers for URIs.
 
-``encode`` maps by a 64-bit hash: no sort, equal in every run, checked for collisions. ``dense_ids``
-numbers distinct URIs 0, 1, 2 ... in order by distributed prefix sums, with no single-task sort.
+``hash`` coding maps by a 64-bit hash: no join, equal in every run, checked for collisions. ``dense``
+coding numbers distinct URIs 0, 1, 2 ... in order by distributed prefix sums, with no single-task sort.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,26 +20,52 @@ def code(uri: Column) -> Column:
     return F.xxhash64(uri)
 
 
-def vertices(triples: DataFrame) -> DataFrame:
-    """(v, uri) of both ends, and the top class."""
-    ends = triples.select(F.explode(F.array("s", "o")).alias("uri")).distinct()
-    return ends.select(code(F.col("uri")).alias("v"), "uri").union(triples.sparkSession.createDataFrame([(TOP, TOP_NAME)], "v long, uri string"))
+def check_collisions(vertex: DataFrame, key: str = "v") -> None:
+    """Raise if two URIs share an integer."""
+    if not vertex.groupBy(key).agg(F.count("*").alias("n")).filter("n > 1").isEmpty():
+        raise ValueError("two URIs have the same 64-bit hash; mine with ids='dense'")
 
 
-def predicates(triples: DataFrame) -> DataFrame:
-    """(pred, name)."""
-    return triples.select(F.col("p").alias("name")).distinct().select(code(F.col("name")).alias("pred"), "name")
+@dataclass
+class Coding:
+    """vertex (v, uri) and predicate (pred, name) of a graph; ``dense``: ids are looked up, not computed."""
 
+    vertex: DataFrame
+    predicate: DataFrame
+    dense: bool
 
-def check_collisions(vertex: DataFrame) -> None:
-    """Raise if two URIs share an integer."""
-    if not vertex.groupBy("v").agg(F.count("*").alias("n")).filter("n > 1").isEmpty():
-        raise ValueError("two URIs have the same 64-bit hash; use dense ids")
+    def of(self, uris: DataFrame, col: str) -> DataFrame:
+        """uris with the column replaced by its integer; URIs that the graph does not have are left out if dense."""
+        if not self.dense:
+            return uris.withColumn(col, code(F.col(col)))
+        at = self.vertex.select(F.col("v").alias("id of uri"), F.col("uri").alias(col))
+        return uris.join(at, col).withColumn(col, F.col("id of uri")).drop("id of uri")
+
+    def arcs(self, triples: DataFrame) -> DataFrame:
+        """triples (s, p, o, ...) with s, p, o replaced by src, pred, dst."""
+        t = triples.withColumnsRenamed({"s": "src", "o": "dst"})
+        if not self.dense:
+            return t.withColumns({"src": code(F.col("src")), "dst": code(F.col("dst")), "pred": code(F.col("p"))}).drop("p")
+        return self.of(self.of(t, "src"), "dst").join(self.predicate.select("pred", F.col("name").alias("p")), "p").drop("p")
+
+
+def coding(ws: Workspace, triples: DataFrame, ids: str = "hash") -> Coding:
+    """Integers for all URIs of string triples (s, p, o), committed; hashes are checked for collisions."""
+    ends = triples.select(F.explode(F.array("s", "o")).alias("uri")).filter("uri is not null").distinct()
+    names = triples.select(F.col("p").alias("name")).distinct()
+    if ids == "dense":
+        vertex = ws.save(dense_ids(ws.spark, ends, ws).select(F.col("id").alias("v"), "uri"), "vertex")
+        return Coding(vertex, ws.save(dense_ids(ws.spark, names, ws).select(F.col("id").alias("pred"), F.col("uri").alias("name")), "predicate"), True)
+    vertex = ws.save(ends.select(code(F.col("uri")).alias("v"), "uri"), "vertex")
+    predicate = ws.save(names.select(code(F.col("name")).alias("pred"), "name"), "predicate")
+    check_collisions(vertex)
+    check_collisions(predicate, "pred")
+    return Coding(vertex, predicate, False)
 
 
-def encode(triples: DataFrame) -> DataFrame:
-    """(src, pred, dst) of string triples."""
-    return triples.select(code(F.col("s")).alias("src"), code(F.col("p")).alias("pred"), code(F.col("o")).alias("dst"))
+def with_top(vertex: DataFrame) -> DataFrame:
+    """vertex with the class that all are instances of."""
+    return vertex.union(vertex.sparkSession.createDataFrame([(TOP, TOP_NAME)], "v long, uri string"))
 
 
 def dense_ids(spark: SparkSession, uris: DataFrame, ws: Workspace | None = None) -> DataFrame:
@@ -47,8 +75,8 @@ def dense_ids(spark: SparkSession, uris: DataFrame, ws: Workspace | None = None)
     return prefix_sums(ws, one, None, ["uri"], ["one"], "ids").select("uri", F.col("before_one").alias("id"))
 
 
-def footprint(features: DataFrame) -> DataFrame:
-    """Bytes of features kept as lists of elements in every row of the matrix, and kept once with an
-    integer in the rows: (features, cells, bytes_lists, bytes_ids)."""
-    per = 16 * F.size("elems")
-    return features.agg(F.count("*").alias("features"), F.sum("n").alias("cells"), F.sum(per * F.col("n")).alias("bytes_lists"), F.sum(per + 8 * F.col("n")).alias("bytes_ids"))
+def footprint(features: DataFrame, feature: str = "feature") -> DataFrame:
+    """Bytes of features (fid, feature, n) kept as text in every cell of the matrix, and kept once with an
+    8-byte integer in the cells, from the texts themselves: (features, cells, bytes_lists, bytes_ids)."""
+    size = F.octet_length(feature)
+    return features.agg(F.count("*").alias("features"), F.sum("n").alias("cells"), F.sum(size * F.col("n")).alias("bytes_lists"), F.sum(size + 8 * F.col("n")).alias("bytes_ids"))

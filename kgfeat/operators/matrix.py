@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 
 def build(features: DataFrame, sset: DataFrame) -> DataFrame:
-    """(seed, fid): one row a true cell."""
-    return features.select("fid", "sset").join(sset.select("sset", "seeds"), "sset").select(F.explode("seeds").alias("seed"), "fid")
+    """(seed, fid): one row a true cell; features (fid, sset), sset (sset, seed)."""
+    return features.select("fid", "sset").join(sset.select("sset", "seed"), "sset").select("seed", "fid")
 
 
 def wide(cells: DataFrame, columns: list, max_cols: int = 1000) -> DataFrame:
@@ -21,5 +21,5 @@ def wide(cells: DataFrame, columns: list, max_cols: int = 1000) -> DataFrame:
 
 
 def csr(cells: DataFrame) -> DataFrame:
-    """(seed, features): sorted feature ids of each seed."""
+    """(seed, features): sorted feature ids of each seed, for seeds whose features fit a row."""
     return cells.groupBy("seed").agg(F.array_sort(F.collect_set("fid")).alias("features"))

@@ -34,10 +34,17 @@ def maximal(pats: DataFrame, impl: str = "join") -> DataFrame:
 
 
 def _by_join(pats: DataFrame) -> DataFrame:
-    """The last element's ancestors are an equi-join key, so a pattern meets only those above its end."""
-    a = pats.select(F.col("fid").alias("fa"), "sset", "preds", F.col("elems").alias("ea"), F.col("ancs").alias("aa"), F.explode(F.element_at("ancs", -1)).alias("last"))
-    b = pats.select(F.col("fid").alias("fb"), "sset", "preds", F.col("elems").alias("eb"), F.col("ancs").alias("ab"), F.element_at("elems", -1).alias("last"))
-    both = a.join(b, ["sset", "preds", "last"]).filter("fa <> fb").filter(_below(F.col("eb"), F.col("aa")))
+    """Ancestors of the last two elements are equi-join keys, so a pattern meets only those above both of
+    its ends; the other positions are tested on the pairs that meet."""
+
+    def at(col: str, place: int) -> Column:
+        return F.when(F.size(col) >= -place, F.element_at(col, place))
+
+    one = F.array(F.lit(0).cast("long"))  # patterns of one element: a key that all share
+    a = pats.select(F.col("fid").alias("fa"), "sset", "preds", F.col("elems").alias("ea"), F.col("ancs").alias("aa"), F.explode(at("ancs", -1)).alias("last"))
+    a = a.withColumn("before", F.explode(F.coalesce(at("aa", -2), one)))
+    b = pats.select(F.col("fid").alias("fb"), "sset", "preds", F.col("elems").alias("eb"), F.col("ancs").alias("ab"), at("elems", -1).alias("last"), F.coalesce(at("elems", -2), F.lit(0)).alias("before"))
+    both = a.join(b, ["sset", "preds", "last", "before"]).filter("fa <> fb").filter(_below(F.col("eb"), F.col("aa")))
     return both.filter(~_below(F.col("ea"), F.col("ab")) | (F.col("fa") < F.col("fb"))).select(F.col("fb").alias("fid")).distinct()
 
 
@@ -83,6 +90,8 @@ class PrefixTree:
 
 
 def _by_trie(pats: DataFrame) -> DataFrame:
+    """A tree for each predicate sequence and support set, built by one task: for groups that fit a task."""
+
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         tree, above, out = PrefixTree(), {}, []
         for fid, elems, ancs in sorted(zip(pdf.fid, pdf.elems, pdf.ancs, strict=True), key=lambda r: r[0]):

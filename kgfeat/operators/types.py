@@ -72,6 +72,19 @@ def ancestors(ws: Workspace, vertices: DataFrame, inst: DataFrame, sub: DataFram
     return ws.save(rows.groupBy("e").agg(F.array_sort(F.collect_set("anc")).alias("ancs")), "ancestors")
 
 
+def climb_predicates(ws: Workspace, sub: DataFrame, levels: int) -> DataFrame:
+    """(p, up): predicates above a predicate by up to so many steps of triples (s, p, o) of a predicate hierarchy."""
+    step = ws.save(sub.select(F.col("s").alias("p"), F.col("o").alias("up")).distinct(), "predicate-steps")
+    seen = front = step
+    for _ in range(levels - 1):
+        front = front.join(step.select(F.col("p").alias("up"), F.col("up").alias("far")), "up").select("p", F.col("far").alias("up")).distinct()
+        front = ws.save(front.join(seen, ["p", "up"], "left_anti"), "predicate-steps")
+        if front.isEmpty():
+            break
+        seen = seen.union(front)
+    return seen.filter("p <> up")
+
+
 def supports(reach: DataFrame, inst: DataFrame) -> DataFrame:
     """(class, n): seeds with a neighbour of the class, over all neighbours."""
     return reach.select("seed", "v").join(inst.select("v", "class"), "v").select("class", "seed").distinct().groupBy("class").agg(F.count("*").alias("n"))

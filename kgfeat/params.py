@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Mapping
 from dataclasses import dataclass, field
 
+from kgfeat.operators.domain import Atom, DomainFilter
+
 TYPE, SUBCLASS, SAME = "rdf:type", "rdfs:subClassOf", "owl:sameAs"
 TOP = -1  # the class that every vertex is an instance of
 TOP_NAME = "TOP"
@@ -14,7 +17,9 @@ class MiningParams:
     """k: most arcs; t: most class levels (0: the top class alone, None: no bound); d: vertices above
     this degree are not expanded (None: no bound); l_min, l_max: bounds of support, both included;
     u: follow arcs both ways; b_*: blacklists of URIs, or of prefixes if an entry ends in ``*``;
-    m: domain filter. The other fields switch parts of the method off or choose between forms of it.
+    m: domain filter, 'none' or names of kinds, 'pg' for p or g; atoms: what the kinds are;
+    predicate_levels: levels of the predicate hierarchy that patterns may climb (0: none); ids: 'hash' or
+    'dense' integers. The other fields switch parts of the method off or choose between forms of it.
     """
 
     k: int = 3
@@ -27,6 +32,9 @@ class MiningParams:
     b_exp_types: tuple[str, ...] = ()
     b_gen_types: tuple[str, ...] = ()
     m: str | None = None
+    atoms: Mapping[str, Atom] = field(default_factory=dict)
+    predicate_levels: int = 0
+    ids: str = "hash"
     engine: str = "factorised"  # or faithful
     specificity: str = "join"  # trie, hierarchy, off
     prune: bool = True
@@ -55,5 +63,13 @@ class MiningParams:
             raise ValueError(f"unknown engine {self.engine!r}")
         if self.specificity not in ("join", "trie", "hierarchy", "off"):
             raise ValueError(f"unknown specificity {self.specificity!r}")
+        if self.ids not in ("hash", "dense"):
+            raise ValueError(f"unknown ids {self.ids!r}")
+        if self.predicate_levels < 0:
+            raise ValueError("predicate_levels must be 0 or more")
+        self.domain_filter()  # raises for unknown kinds
         if unknown := self.kinds - {"neighbour", "path", "pattern"}:
             raise ValueError(f"unknown kinds {sorted(unknown)}")
+
+    def domain_filter(self) -> DomainFilter | None:
+        return DomainFilter.parse(self.m, self.atoms)

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
+from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -11,38 +12,63 @@ from kgfeat.operators import blacklist, canon, degree, dictionary, reach, types
 from kgfeat.params import SUBCLASS, TYPE, MiningParams
 from kgfeat.plans.state import Workspace
 
+SUBPROPERTY = "rdfs:subPropertyOf"
+#: what an arc's predicate makes it, besides an arc that may be traversed
+PLAIN, OF_TYPE, OF_SUBCLASS, OF_IDENTITY = range(4)
+
 
 @dataclass
 class Context:
     spark: SparkSession
     ws: Workspace
     params: MiningParams
-    triples: DataFrame  # canonical, strings
+    coding: dictionary.Coding
     seeds: DataFrame  # seed long
     arc: DataFrame  # arcs to traverse
     inst: DataFrame  # v, class
     sub: DataFrame  # class, super
     unusable: DataFrame | None  # classes not to generalise to
+    general: DataFrame | None  # pred, up: more general predicates, if they are mined
     reach: DataFrame | None = None
     depth: int = 0
-    inst_levels: DataFrame | None = None
-    type_support: DataFrame | None = None
-    usable_types: DataFrame | None = None
-    _vertex: DataFrame | None = None
+    made: dict = field(default_factory=dict)
 
     def vertex(self) -> DataFrame:
-        """(v, uri), checked for collisions and committed when first asked for."""
-        if self._vertex is None:
-            self._vertex = self.ws.save(dictionary.vertices(self.triples), "vertex")
-            dictionary.check_collisions(self._vertex)
-        return self._vertex
+        """(v, uri) with the top class."""
+        return dictionary.with_top(self.coding.vertex)
 
     def predicate(self) -> DataFrame:
-        p = dictionary.predicates(self.triples)
+        p = self.coding.predicate
         if self.params.u and self.params.direction_aware:
-            p = p.union(p.select(F.xxhash64("pred", F.lit("inverse")).alias("pred"), F.concat(F.lit("^"), "name").alias("name")))
+            p = p.union(p.select(degree.inverse("pred").alias("pred"), F.concat(F.lit("^"), "name").alias("name")))
         return p
 
+    # classes are worked out when first asked for: a search for neighbours alone does without
+
+    @cached_property
+    def inst_levels(self) -> DataFrame:
+        p = self.params
+        lev, _ = types.levels(self.ws, self.reach.select("v").distinct(), self.inst, self.sub, p.t, self.unusable, p.use_top)
+        return self.ws.save(lev, "class-levels")
+
+    @cached_property
+    def type_support(self) -> DataFrame:
+        return self.ws.save(types.supports(self.reach, self.inst_levels), "class-supports")
+
+    @property
+    def usable_types(self) -> DataFrame:
+        return types.frequent(self.type_support, self.params.l_min) if self.params.type_filter else self.inst_levels.select("class").distinct()
+
+    def classes_named(self, entries: tuple[str, ...]) -> DataFrame:
+        """(class) of the classes with a listed URI."""
+        return _named(self.inst, self.sub, self.coding.vertex, entries)
+
+
+def _named(inst: DataFrame, sub: DataFrame, vertex: DataFrame, entries: tuple[str, ...]) -> DataFrame:
+    vocab = inst.select("class").union(sub.select("class")).union(sub.select("super")).distinct()
+    listed = blacklist.match(vertex, entries).select(F.col("v").alias("class"))
+    return vocab.join(listed, "class", "left_semi")
+
 
 def seeds_of_class(triples: DataFrame, cls: str, ws: Workspace) -> DataFrame:
     """Seeds by intension: instances of a class, direct or inherited, as URIs."""
@@ -53,49 +79,58 @@ def seeds_of_class(triples: DataFrame, cls: str, ws: Workspace) -> DataFrame:
 
 
 def prepare(spark: SparkSession, triples: DataFrame, seeds: DataFrame, params: MiningParams, ws: Workspace | None = None, method: str = "star", pred_same: DataFrame | None = None) -> Context:
-    """Canonicalise, encode, and settle every limit on traversal.
+    """Encode, canonicalise, and settle every limit on traversal.
 
-    triples (s, p, o) strings, rows with a null are left out; seeds (seed) URIs. pred_same (a, b):
-    predicates that mean the same, merged like vertices.
+    triples (s, p, o) strings, not necessarily a set, rows with a null are left out; seeds (seed) URIs.
+    pred_same (a, b): predicates that mean the same, merged like vertices. URIs become integers first;
+    everything after that, contraction included, is joins of integers.
     """
     ws = ws or Workspace(spark, "mine")
-    t = triples.select("s", "p", "o").na.drop().distinct()
+    t = triples.select("s", "p", "o").na.drop()
     s = seeds.select("seed").na.drop().distinct()
-    t = ws.save(t, "triples")
+    if pred_same is not None:
+        t = canon.replaced(t, ws.save(canon.canonical_map(spark, pred_same, ws=ws), "predicates"), "p")
+    up = None
+    if params.predicate_levels:
+        up = ws.save(types.climb_predicates(ws, t.filter(F.col("p") == SUBPROPERTY), params.predicate_levels), "general")
+        t = t.filter(F.col("p") != SUBPROPERTY)
+    kind = F.when(F.col("p") == TYPE, OF_TYPE).when(F.col("p") == SUBCLASS, OF_SUBCLASS).when(F.col("p") == params.identity, OF_IDENTITY).otherwise(PLAIN).cast("tinyint")
+    names = t if up is None else t.unionByName(up.select(F.lit(None).cast("string").alias("s"), F.col("up").alias("p"), F.lit(None).cast("string").alias("o")))
+    coding = dictionary.coding(ws, names, params.ids)
+    enc = coding.arcs(t.withColumns({"kind": kind, "banned": blacklist.matches(F.col("p"), params.b_predicates)})).select("src", "pred", "dst", "kind", "banned").distinct()
+    enc = ws.save(enc, "arcs")
+    s = coding.of(s, "seed").select("seed").distinct()
     if params.canonicalise:
-        same = t.filter(F.col("p") == params.identity)
-        pred_canon = canon.canonical_map(spark, pred_same, ws=ws) if pred_same is not None else None
+        same = enc.filter(F.col("kind") == OF_IDENTITY)
+        enc = enc.filter(F.col("kind") != OF_IDENTITY)
         if not same.isEmpty():
-            merged = ws.save(canon.canonical_map(spark, same, "s", "o", method, ws), "canon")
-            t, s = ws.save(canon.contract(t, merged, params.identity, pred_canon), "canonical"), canon.contract_seeds(s, merged)
-        elif pred_canon is not None:
-            t = ws.save(canon.contract(t, spark.createDataFrame([], "v string, c string"), params.identity, pred_canon), "canonical")
-    s = ws.save(s.select(dictionary.code(F.col("seed")).alias("seed")), "seeds")
-    inst = ws.save(t.filter(F.col("p") == TYPE).select(dictionary.code(F.col("s")).alias("v"), dictionary.code(F.col("o")).alias("class")), "instances")
-    sub_s = t.filter(F.col("p") == SUBCLASS)
-    sub = ws.save(sub_s.select(dictionary.code(F.col("s")).alias("class"), dictionary.code(F.col("o")).alias("super")), "subclasses")
-    vocab = t.filter(F.col("p") == TYPE).select(F.col("o").alias("uri")).union(sub_s.select("s")).union(sub_s.select("o")).distinct()
+            merged = ws.save(canon.named_map(ws, same, coding.vertex, method), "canon")
+            few = merged.count() <= canon.BROADCAST_MAP
+            enc = ws.save(canon.replaced(canon.replaced(enc, merged, "src", few), merged, "dst", few).select("src", "pred", "dst", "kind", "banned").distinct(), "canonical")
+            s = canon.replaced(s, merged, "seed", few).distinct()
+    s = ws.save(s, "seeds")
+    inst = ws.save(enc.filter(F.col("kind") == OF_TYPE).select(F.col("src").alias("v"), F.col("dst").alias("class")), "instances")
+    sub = ws.save(enc.filter(F.col("kind") == OF_SUBCLASS).select(F.col("src").alias("class"), F.col("dst").alias("super")), "subclasses")
 
     def listed(entries: tuple[str, ...]) -> DataFrame | None:
-        return blacklist.match(vocab, entries).select(dictionary.code(F.col("uri")).alias("class")) if entries else None
+        return _named(inst, sub, coding.vertex, entries) if entries else None
 
-    arcs = dictionary.encode(t.filter(~blacklist.matches(F.col("p"), params.b_predicates)))
     no_go = listed(params.b_exp_types)
     banned = ws.save(types.instances_of(ws, inst, sub, no_go), "banned") if no_go is not None else None
-    arc = degree.allowed(arcs, params.d, params.u, banned, s if params.seed_hub_exempt else None, params.direction_aware)
+    arc = degree.allowed(enc.filter("not banned").select("src", "pred", "dst"), params.d, params.u, banned, s if params.seed_hub_exempt else None, params.direction_aware)
     if params.bucket_arcs:
         arc = ws.save_bucketed(arc, "arc", params.bucket_arcs, "src")
-    else:
+    elif params.d is not None or params.u or banned is not None:
         arc = ws.save(arc, "arc")
-    return Context(spark, ws, params, t, s, arc, inst, sub, listed(params.b_gen_types))
+    general = None
+    if up is not None:
+        code = coding.predicate
+        general = up.join(code, up["p"] == code["name"]).select("pred", "up").join(code.select(F.col("pred").alias("g"), F.col("name").alias("up")), "up").select("pred", F.col("g").alias("up"))
+        general = ws.save(general, "general-predicates")
+    return Context(spark, ws, params, coding, s, arc, inst, sub, listed(params.b_gen_types), general)
 
 
 def search(ctx: Context, full: bool = False) -> Context:
-    """Fill in reach, classes of neighbours and interesting classes."""
-    p = ctx.params
-    ctx.reach, ctx.depth = reach.fixpoint(ctx.ws, ctx.arc, ctx.seeds) if full else reach.bfs(ctx.ws, ctx.arc, ctx.seeds, p.k)
-    lev, _ = types.levels(ctx.ws, ctx.reach.select("v").distinct(), ctx.inst, ctx.sub, p.t, ctx.unusable, p.use_top)
-    ctx.inst_levels = ctx.ws.save(lev, "class-levels")
-    ctx.type_support = ctx.ws.save(types.supports(ctx.reach, ctx.inst_levels), "class-supports")
-    ctx.usable_types = types.frequent(ctx.type_support, p.l_min) if p.type_filter else ctx.type_support.select("class")
+    """Fill in reach."""
+    ctx.reach, ctx.depth = reach.fixpoint(ctx.ws, ctx.arc, ctx.seeds) if full else reach.bfs(ctx.ws, ctx.arc, ctx.seeds, ctx.params.k)
     return ctx

@@ -4,154 +4,211 @@ Two engines share selection. The factorised one keeps ``alive(fid, last, sset, s
 with their captured paths grouped by last vertex and support set, which is all that expansion, support
 and pruning depend on:
 
-* growing a path leaves its support set as it was after its first arc, so the set's id is inherited;
+* growing a path leaves its support set as it was after its first arc, so the set's id is inherited and
+  the members of all paths' sets are known after the first iteration;
 * a pattern's set is the union of the distinct sets of its paths, however many paths there are;
 * paths of too little support matter only through the patterns that capture them.
 
 The faithful engine lists every path and every (path, pattern) dependency, which gives the number of
-path features generated; both find the same features. Each iteration is committed before the next.
+path features generated; both find the same features. Of an iteration the captured paths, the unions
+of support sets, the decisions and the rows to go on with are committed; what lies between is cached
+and can be made again from these.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from kgfeat.operators import specific, supports, types
 from kgfeat.plans.context import Context
 
-FEATURE = "fid long, preds array<bigint>, elems array<bigint>, classes array<boolean>, len int, kind string, sset string, n long"
+FEATURE = "fid long, preds array<bigint>, elems array<bigint>, classes array<boolean>, len int, kind string, sset string, n long, joined boolean"
 
 
 @dataclass
 class Mined:
-    """features: one row a path feature (see FEATURE); sset: support sets (sset, seeds, size);
-    generated: path features made in each iteration before any was discarded."""
+    """features: one row a path feature (see FEATURE; joined: its set is the union of several sets);
+    sets (sset, seed): support sets of paths; unions (fid, seed): those of patterns that join several;
+    captured (fid, sset, n): paths that a feature captures, by support set; generated: path features made
+    in each iteration before any was discarded."""
 
     features: DataFrame
-    sset: DataFrame
-    generated: list[int]
+    sets: DataFrame
+    unions: DataFrame
+    captured: DataFrame
+    generated: list[int] = field(default_factory=list)
 
+    def cells(self) -> DataFrame:
+        """(seed, fid): true cells of the matrix."""
+        own = self.features.filter("not joined").select("fid", "sset").join(self.sets, "sset").select("seed", "fid")
+        return own.union(self.unions.join(self.features.filter("joined").select("fid"), "fid", "left_semi").select("seed", "fid"))
 
-def _child(parent: str, pred: str, elem: str, is_class: str) -> F.Column:
-    return F.xxhash64(F.col(parent), F.col(pred), F.col(elem), F.col(is_class))
+    def counts(self) -> DataFrame:
+        """(seed, fid, n): how many paths from the seed a feature captures, features of any length."""
+        rows = self.captured.join(self.features.select("fid"), "fid", "left_semi").groupBy("fid", "sset").agg(F.sum("n").alias("n"))
+        return rows.join(self.sets, "sset").groupBy("seed", "fid").agg(F.sum("n").alias("n"))
+
+    def only(self, fids: DataFrame, ws) -> Mined:
+        """The same run with the features of fids (fid) alone."""
+        return replace(self, features=ws.save(self.features.join(fids, "fid", "left_semi"), "kept"))
+
+
+def _child() -> Column:
+    """Id of the feature (parent, pred, elem); a step by a class or a more general predicate is another one."""
+    return F.xxhash64("parent", "pred", "elem", F.col("is_class").cast("int") + 2 * F.col("is_up").cast("int"))
+
+
+def _steps(ctx: Context, want_patterns: bool) -> tuple[DataFrame, DataFrame | None]:
+    """elements (v, elem, is_class) that may stand for a vertex; and (pred, as_pred, is_up) that may stand
+    for a predicate, if the predicate hierarchy is mined."""
+    own = ctx.reach.select("v").distinct().select("v", F.col("v").alias("elem"), F.lit(False).alias("is_class"))
+    if not want_patterns:
+        return own, None
+    usable = ctx.inst_levels.join(ctx.usable_types, "class", "left_semi")
+    own = own.union(usable.select("v", F.col("class").alias("elem"), F.lit(True).alias("is_class")))
+    if ctx.general is None:
+        return own, None
+    same = ctx.predicate().select("pred", F.col("pred").alias("as_pred"), F.lit(False).alias("is_up"))
+    above = ctx.general.union(ctx.general.select("up", "up").distinct())  # a general predicate covers its own arcs too
+    return own, same.union(above.select("pred", F.col("up").alias("as_pred"), F.lit(True).alias("is_up")))
+
+
+def _stood_for(ext: DataFrame, elements: DataFrame, preds: DataFrame | None) -> DataFrame:
+    """ext rows (pred, v, ...) with what may stand for the step: pred, elem, is_class, is_up."""
+    rows = ext.join(elements, "v")
+    if preds is None:
+        return rows.withColumn("is_up", F.lit(False))
+    return rows.join(preds, "pred").withColumn("pred", F.col("as_pred")).drop("as_pred")
 
 
 def mine_path_features(ctx: Context) -> Mined:
     p, ws = ctx.params, ctx.ws
     faithful = p.engine == "faithful"
     want_patterns = "pattern" in p.kinds
-    usable = ctx.inst_levels.join(ctx.usable_types, "class", "left_semi") if want_patterns else ctx.inst_levels.filter("false")
-    of_vertex = usable.select("v", F.col("class").alias("elem"), F.lit(True).alias("is_class"))
-    own = ctx.reach.select("v").distinct().select("v", F.col("v").alias("elem"), F.lit(False).alias("is_class"))
-    elements = ws.save(own.union(of_vertex), "elements")
-    ancs = types.ancestors(ws, ctx.reach.select("v"), ctx.inst, ctx.sub)
+    elements, stand = _steps(ctx, want_patterns)
+    elements = ws.save(elements, "elements")
+    ancs = types.ancestors(ws, ctx.reach.select("v"), ctx.inst, ctx.sub) if want_patterns else elements.select(F.col("elem").alias("e"), F.array("elem").alias("ancs"))
+    up = ancs.select(F.col("e").alias("elem"), F.col("ancs").alias("up"))
 
     # h = 1: the empty path of all seeds grows to every vertex at distance 1 of some seed
     near = ctx.reach.filter("dist = 1").select("v").distinct()
-    first = ctx.arc.join(ctx.seeds.select(F.col("seed").alias("src")), "src", "left_semi").join(near.withColumnRenamed("v", "dst"), "dst", "left_semi")
-    grown = first.groupBy("pred", F.col("dst").alias("v")).agg(F.array_sort(F.collect_set("src")).alias("seeds"))
-    grown = ws.save(grown.withColumns({"sset": supports.sset_id(F.col("seeds")), "size": F.size("seeds").cast("long"), "fid": F.lit(0).cast("long"), "n": F.lit(1).cast("long")}), "paths-1")
-    sset = grown.select("sset", "seeds", "size").dropDuplicates(["sset"])
-    ext = grown.select("fid", "pred", "v", "sset", "size", "n")
-    root = ctx.spark.createDataFrame([(0, [], [], [], [], False, None, None, None)], "fid long, preds array<bigint>, elems array<bigint>, classes array<boolean>, ancs array<array<bigint>>, is_pattern boolean, sel long, sel_sset string, sel_class boolean")
-    feats, deps = root, None
-    added, removed, generated = [], [], []
+    first = ctx.arc.join(ctx.seeds.select(F.col("seed").alias("src")), "src", "left_semi").join(near.withColumnRenamed("v", "dst"), "dst", "left_semi").select("src", "pred", "dst").distinct()
+    ext = ws.save(first.groupBy("pred", F.col("dst").alias("v")).agg(supports.set_id("src").alias("sset"), F.count("*").alias("size")).withColumns({"fid": F.lit(0).cast("long"), "n": F.lit(1).cast("long")}), "paths-1")
+    sets = ws.save(first.join(ext.select("pred", F.col("v").alias("dst"), "sset"), ["pred", "dst"]).select("sset", F.col("src").alias("seed")).distinct(), "sets")
+    feats = ctx.spark.createDataFrame([(0, [], [], [], [], False, None, None, None)], "fid long, preds array<bigint>, elems array<bigint>, classes array<boolean>, ancs array<array<bigint>>, is_pattern boolean, sel long, sel_sset string, sel_class boolean")
+    deps, generated = None, []
+    chosen_in, unions_of, rows_of = [], [], []
 
     for h in range(1, p.k + 1):
         if h > 1:
             if alive.isEmpty():  # noqa: F821
                 break
-            ext = alive.join(ctx.arc, alive["last"] == ctx.arc["src"]).select("fid", "pred", F.col("dst").alias("v"), "sset", "size", "n")  # noqa: F821
-            ext = ws.save(ext, f"expanded-{h}")
-            # to avoid loops: some seed of the path's set has the vertex at distance h exactly
-            pairs = ext.select("sset", "v").distinct().join(sset.select("sset", F.explode("seeds").alias("seed")), "sset")
+            # to avoid loops: some seed of the path's set has the new vertex at distance h exactly
+            step = ctx.arc.select(F.col("src").alias("last"), F.col("dst").alias("v")).distinct()
+            pairs = alive.select("sset", "last").distinct().join(step, "last").select("sset", "v").distinct().join(sets, "sset")  # noqa: F821
             ok = pairs.join(ctx.reach.filter(F.col("dist") == h).select("seed", "v"), ["seed", "v"], "left_semi").select("sset", "v").distinct()
-            ext = ext.join(ok, ["sset", "v"], "left_semi")
+            ext = alive.join(ctx.arc, alive["last"] == ctx.arc["src"]).select("fid", "pred", F.col("dst").alias("v"), "sset", "size", "n").join(ok, ["sset", "v"], "left_semi")  # noqa: F821
         if faithful:
-            rows, captured = _generalise_each(ext, deps, elements, h)
-            captured = ws.save(captured, f"captured-{h}")
+            rows, links = _generalise_each(ext, deps, elements, stand, h)
+            links = ws.save(links, f"links-{h}")
         else:
-            rows, captured = ext.join(elements, "v").withColumnRenamed("fid", "parent").withColumn("fid", _child("parent", "pred", "elem", "is_class")), None
-        rows = rows.groupBy("fid", "v", "sset").agg(F.first("parent").alias("parent"), F.first("pred").alias("pred"), F.first("elem").alias("elem"), F.first("is_class").alias("is_class"), F.first("size").alias("size"), F.sum("n").alias("n"))
+            rows, links = _stood_for(ext, elements, stand).withColumnRenamed("fid", "parent").withColumn("fid", _child()), None
+        made_of = ("parent", "pred", "elem", "is_class", "is_up")
+        rows = rows.groupBy("fid", "v", "sset").agg(*(F.first(c).alias(c) for c in made_of), F.first("size").alias("size"), F.sum("n").alias("n"))
         rows = ws.save(rows, f"generated-{h}")
-        per = rows.groupBy("fid").agg(F.first("parent").alias("parent"), F.first("pred").alias("pred"), F.first("elem").alias("elem"), F.first("is_class").alias("is_class"), F.sum("n").alias("n_paths"), F.max("size").alias("largest"), F.min("sset").alias("one"), F.max("sset").alias("other"))
-        per = ws.save(per, f"candidates-{h}")
-        count = per.count()
+        clash = (F.min("parent") != F.max("parent")) | (F.min("pred") != F.max("pred")) | (F.min("elem") != F.max("elem"))
+        per = rows.groupBy("fid").agg(*(F.first(c).alias(c) for c in made_of), F.sum("n").alias("n_paths"), F.max("size").alias("largest"), F.sum("size").alias("most"), F.min("sset").alias("one"), (F.min("sset") != F.max("sset")).alias("joined"), clash.alias("mixed"))
+        old = feats.select(F.col("fid").alias("parent"), "preds", "elems", "classes", "ancs", F.col("is_pattern").alias("from_pattern"), "sel", "sel_sset", "sel_class")
+        full = per.join(old, "parent").join(up, "elem")
+        full = full.select("fid", F.array_append("preds", F.col("pred")).alias("preds"), F.array_append("elems", F.col("elem")).alias("elems"), F.array_append("classes", F.col("is_class")).alias("classes"), F.array_append("ancs", F.col("up")).alias("ancs"), (F.col("from_pattern") | F.col("is_class") | F.col("is_up")).alias("is_pattern"), "one", "joined", "mixed", "largest", "most", "n_paths", "is_class", "sel", "sel_sset", "sel_class").persist()
+        count, mixed = full.agg(F.count("*"), F.max("mixed")).first()
+        if mixed:
+            raise ValueError("two path features have the same 64-bit id")
         generated.append(count)
         if not count:
+            full.unpersist()
             break
-        several = per.filter("one <> other").select("fid")
-        union = ws.save(supports.unions(rows.join(several, "fid", "left_semi"), sset).withColumn("sset", supports.sset_id(F.col("seeds"))), f"unions-{h}")
-        sset = ws.save(sset.union(union.select("sset", "seeds", F.col("n").alias("size"))).dropDuplicates(["sset"]), f"sset-{h}")
-        old = feats.select(F.col("fid").alias("parent"), "preds", "elems", "classes", "ancs", F.col("is_pattern").alias("from_pattern"), "sel", "sel_sset", "sel_class")
-        up = ancs.select(F.col("e").alias("elem"), F.col("ancs").alias("up"))
-        full = per.join(union.select("fid", F.col("sset").alias("u"), F.col("n").alias("un")), "fid", "left").join(old, "parent").join(up, "elem")
-        full = full.select("fid", F.array_append("preds", F.col("pred")).alias("preds"), F.array_append("elems", F.col("elem")).alias("elems"), F.array_append("classes", F.col("is_class")).alias("classes"), F.array_append("ancs", F.col("up")).alias("ancs"), (F.col("from_pattern") | F.col("is_class")).alias("is_pattern"), F.coalesce("u", "one").alias("sset"), F.coalesce("un", "largest").alias("size"), "largest", "n_paths", "is_class", "sel", "sel_sset", "sel_class")
-        full = ws.save(full, f"features-{h}")
-
-        pats = full.filter("is_pattern")
+        several = full.filter("joined")
+        if p.prune:  # a union is no larger than the sum of its sets
+            several = several.filter(F.col("most") >= p.l_min)
+        union = ws.save(supports.unions(rows.join(several.select("fid"), "fid", "left_semi"), sets), f"unions-{h}")
+        sized = full.join(supports.sized(union).select("fid", F.col("sset").alias("u"), F.col("n").alias("un")), "fid", "left")
+        sized = sized.withColumns({"sset": F.when(F.col("joined"), F.col("u")).otherwise(F.col("one")), "size": F.when(F.col("joined"), F.coalesce("un", "most")).otherwise(F.col("largest"))}).drop("u", "un", "one", "most", "mixed")
+
+        pats = sized.filter("is_pattern")
         if p.prune:
             pats = pats.filter(F.col("size") >= p.l_min)
         if p.drop_single:
             pats = pats.filter("n_paths > 1")
-        pats = ws.save(specific.maximal(pats, p.specificity), f"patterns-{h}")
-        paths = full.filter("not is_pattern")
-
-        cand = paths.unionByName(pats).filter(supports.within(F.col("size"), p.l_min, p.l_max))
+        pats = pats.persist()
+        best = _most_specific(ctx, pats, p.specificity)
+        paths = sized.filter("not is_pattern")
+        live = paths.unionByName(best)
+        again = F.coalesce(F.col("sel_sset") == F.col("sset"), F.lit(False)) if p.c2 else F.lit(False)
+        fit = supports.within(F.col("size"), p.l_min, p.l_max) & (~again | (~F.col("is_class") & F.coalesce("sel_class", F.lit(False))))
         if p.c3:
-            cand = cand.filter("not is_pattern or largest < size")
-        clash = F.coalesce(F.col("sel_sset") == F.col("sset"), F.lit(False)) if p.c2 else F.lit(False)
-        cand = cand.withColumn("clash", clash).filter(~F.col("clash") | (~F.col("is_class") & F.col("sel_class")))
-        chosen = ws.save(cand, f"chosen-{h}")
-        gone = chosen.filter("clash").select(F.col("sel").alias("fid")).distinct()
-        added.append(chosen)
-        removed.append(gone)
+            fit = fit & (~F.col("is_pattern") | (F.col("largest") < F.col("size")))
+        live = ws.save(live.withColumns({"chosen": fit, "replaces": F.when(fit & again, F.col("sel"))}).drop("largest", "n_paths"), f"decided-{h}")
+        full.unpersist()
+        pats.unpersist()
+        chosen_in.append(live)
+        unions_of.append(union)
+        rows_of.append(rows.select("fid", "sset", "n"))
         if h == p.k:
             break
 
-        live = paths if faithful or not p.prune else paths.filter(F.col("size") >= p.l_min)
-        live = live.unionByName(pats)
-        if faithful and p.prune:
-            kept = captured.join(pats.select("fid"), "fid", "left_semi")
-            deps = ws.save(kept, f"dependencies-{h}")
-            held = paths.filter(F.col("size") >= p.l_min).select("fid").union(deps.select(F.col("path").alias("fid"))).distinct()
-            live = paths.join(held, "fid", "left_semi").unionByName(pats)
-        elif faithful:
-            deps = captured.join(pats.select("fid"), "fid", "left_semi")
-        picked = chosen.select("fid", F.col("fid").alias("new"))
-        dropped = gone.select(F.col("fid").alias("sel"), F.lit(True).alias("lost"))
-        feats = live.join(picked, "fid", "left").join(dropped, "sel", "left")
-        feats = feats.select("fid", "preds", "elems", "classes", "ancs", "is_pattern", F.when(F.col("new").isNotNull(), F.col("new")).when(F.col("lost"), F.lit(None)).otherwise(F.col("sel")).alias("sel"), F.when(F.col("new").isNotNull(), F.col("sset")).when(F.col("lost"), F.lit(None)).otherwise(F.col("sel_sset")).alias("sel_sset"), F.when(F.col("new").isNotNull(), F.col("is_class")).when(F.col("lost"), F.lit(None)).otherwise(F.col("sel_class")).alias("sel_class"))
-        feats = ws.save(feats, f"live-{h}")
-        grow = feats.filter("not is_pattern") if faithful else feats
+        going = live if faithful or not p.prune else live.filter(F.col("is_pattern") | (F.col("size") >= p.l_min))
+        if faithful:
+            deps = links.join(live.filter("is_pattern").select("fid"), "fid", "left_semi")
+            if p.prune:
+                deps = ws.save(deps, f"dependencies-{h}")
+                held = live.filter(~F.col("is_pattern") & (F.col("size") >= p.l_min)).select("fid").union(deps.select(F.col("path").alias("fid"))).distinct()
+                going = live.filter("is_pattern").unionByName(live.filter("not is_pattern").join(held, "fid", "left_semi"))
+        lost = live.filter("replaces is not null").select(F.col("replaces").alias("sel"), F.lit(True).alias("lost")).distinct()
+        feats = going.join(lost, "sel", "left")
+        kept = lambda new, was: F.when(F.col("chosen"), F.col(new)).when(F.col("lost"), F.lit(None)).otherwise(F.col(was))
+        feats = feats.select("fid", "preds", "elems", "classes", "ancs", "is_pattern", kept("fid", "sel").alias("sel"), kept("sset", "sel_sset").alias("sel_sset"), kept("is_class", "sel_class").alias("sel_class"))
+        grow = going.filter("not is_pattern") if faithful else going
         alive = ws.save(rows.join(grow.select("fid"), "fid", "left_semi").select("fid", F.col("v").alias("last"), "sset", "size", "n"), f"alive-{h}")
 
-    found = reduce(DataFrame.unionByName, added) if added else None
-    if found is None:
-        return Mined(ctx.spark.createDataFrame([], FEATURE), sset.select("sset", "seeds", "size"), generated)
-    lost = reduce(DataFrame.union, removed)
+    if not chosen_in:
+        none = ctx.spark.createDataFrame([], FEATURE)
+        return Mined(none, sets, none.select("fid", F.col("n").alias("seed")), none.select("fid", "sset", "n"), generated)
+    all_ = reduce(DataFrame.unionByName, chosen_in)
+    lost = all_.filter("replaces is not null").select(F.col("replaces").alias("fid")).distinct()
     kind = F.when(F.col("is_pattern"), "pattern").otherwise("path")
-    found = found.join(lost, "fid", "left_anti").select("fid", "preds", "elems", "classes", F.size("elems").alias("len"), kind.alias("kind"), "sset", F.col("size").alias("n"))
+    found = all_.filter("chosen").join(lost, "fid", "left_anti").select("fid", "preds", "elems", "classes", F.size("elems").alias("len"), kind.alias("kind"), "sset", F.col("size").alias("n"), "joined")
     found = found.filter(F.col("kind").isin(*p.kinds)) if p.kinds & {"path", "pattern"} else found.filter("false")
-    return Mined(ws.save(found, "selected"), sset, generated)
+    return Mined(ws.save(found, "selected"), sets, reduce(DataFrame.union, unions_of), reduce(DataFrame.union, rows_of), generated)
+
+
+def _most_specific(ctx: Context, pats: DataFrame, impl: str) -> DataFrame:
+    """The rows of pats without those that have a more specific one of the same support set.
+
+    With a predicate hierarchy predicates are compared like elements, place by place.
+    """
+    if ctx.general is None or impl == "off":
+        return specific.maximal(pats, impl)
+    above = ctx.predicate().select("pred", F.col("pred").alias("up")).union(ctx.general).groupBy("pred").agg(F.collect_set("up").alias("ups"))
+    named = pats.select("fid", F.posexplode("preds").alias("pos", "pred")).join(above, "pred").groupBy("fid").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "ups"))), lambda x: x["ups"]).alias("pa"))
+    both = pats.join(named, "fid").select("fid", "sset", F.array().cast("array<bigint>").alias("preds"), F.concat("preds", "elems").alias("elems"), F.concat("pa", "ancs").alias("ancs"))
+    return pats.join(specific.dominated(both, impl), "fid", "left_anti")
 
 
-def _generalise_each(ext: DataFrame, deps: DataFrame | None, elements: DataFrame, h: int) -> tuple[DataFrame, DataFrame]:
-    """Every path and pattern with the path it captures: (rows, dependencies (path, fid)).
+def _generalise_each(ext: DataFrame, deps: DataFrame | None, elements: DataFrame, stand: DataFrame | None, h: int) -> tuple[DataFrame, DataFrame]:
+    """Every path and pattern with the path it captures: (rows, links (path, fid)).
 
     ext rows are paths to grow; deps (path, fid) are the surviving patterns of those paths.
     """
-    new = ext.withColumnRenamed("fid", "old").withColumn("is_self", F.lit(False)).withColumn("path", F.xxhash64("old", "pred", "v", F.col("is_self"))).drop("is_self")
-    with_elem = new.join(elements, "v")
-    a = with_elem.select(F.col("old").alias("parent"), "pred", "elem", "is_class", "v", "sset", "size", "n", "path")
-    both = a
+    new = ext.withColumnRenamed("fid", "old").withColumn("path", F.xxhash64("old", "pred", "v", F.lit(0)))
+    each = _stood_for(new, elements, stand)
+    cols = ["parent", "pred", "elem", "is_class", "is_up", "v", "sset", "size", "n", "path"]
+    both = each.withColumnRenamed("old", "parent").select(*cols)
     if h > 1 and deps is not None:
-        b = with_elem.join(deps.select(F.col("path").alias("old"), F.col("fid").alias("parent")), "old").select("parent", "pred", "elem", "is_class", "v", "sset", "size", "n", "path")
-        both = a.union(b)
-    both = both.withColumn("fid", _child("parent", "pred", "elem", "is_class"))
-    captured = both.filter("fid <> path").select("path", "fid").distinct()
-    return both.drop("path"), captured
+        both = both.union(each.join(deps.select(F.col("path").alias("old"), F.col("fid").alias("parent")), "old").select(*cols))
+    both = both.withColumn("fid", _child())
+    return both.drop("path"), both.filter("fid <> path").select("path", "fid").distinct()

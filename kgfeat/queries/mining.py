@@ -30,18 +30,18 @@ CONV = MiningParams(k=4, t=2, d=500, l_min=1)
 
 #: kinds of the star's things, in place of the paper's biomedical ones
 ATOMS = {
-    "p": domain.Atom(individuals=("supplier:*",), classes=("cls:Sup*",)),
-    "g": domain.Atom(individuals=("nation:*",), classes=("cls:Region",)),
+    "p": domain.Atom(instances_of=("cls:Supplier",)),
+    "g": domain.Atom(instances_of=("cls:Nation",), classes=("cls:Region", "cls:Place")),
     "m": domain.Atom(classes=("cls:NationOf/*",)),
 }
 
 
 def _result(spark: SparkSession, sf_dir: str, view: str, seed: str, p: MiningParams) -> MiningResult:
-    return mine(spark, kgview.triples(spark, sf_dir, view), kgview.seeds(spark, sf_dir, seed), p)
+    return mine(spark, kgview.triples(spark, sf_dir, view, False), kgview.seeds(spark, sf_dir, seed), p)
 
 
 def _context(spark: SparkSession, sf_dir: str, view: str, seed: str, p: MiningParams, found: bool = True) -> Context:
-    ctx = prepare(spark, kgview.triples(spark, sf_dir, view), kgview.seeds(spark, sf_dir, seed), p)
+    ctx = prepare(spark, kgview.triples(spark, sf_dir, view, False), kgview.seeds(spark, sf_dir, seed), p)
     return search(ctx) if found else ctx
 
 
@@ -68,7 +68,7 @@ def _types(view: str, seed: str, p: MiningParams) -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
         ctx = _context(spark, d, view, seed, p)
         got = ctx.type_support.join(ctx.usable_types, "class", "left_semi")
-        return got.join(ctx.vertex(), got["class"] == ctx.vertex()["v"]).select(F.col("uri").alias("class"), F.col("n").alias("support"))
+        return got.join(ctx.vertex(), F.col("class") == F.col("v")).select(F.col("uri").alias("class"), F.col("n").alias("support"))
 
     return run
 
@@ -97,9 +97,11 @@ for _name, _part, _method in (("canon_parts", "same_part", "star"), ("canon_part
 
 def _degrees(u: bool) -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
-        ctx = _context(spark, d, "star", "part", replace(PART, d=None, u=False), found=False)
-        v = ctx.vertex()
-        return degree.degrees(ctx.arc, u).join(v, "v").select(F.col("uri").alias("v"), "n")
+        t = kgview.triples(spark, d, "star", False).filter(~F.col("p").isin(*PART.b_predicates))
+        code = lambda c: dictionary.code(F.col(c))
+        arc = t.select(code("s").alias("src"), code("p").alias("pred"), code("o").alias("dst"), "s", "o").groupBy("src", "pred", "dst").agg(F.first("s").alias("s"), F.first("o").alias("o"))
+        ends = F.explode(F.array_distinct(F.array("s", "o"))) if u else F.col("s")
+        return arc.select(ends.alias("v")).groupBy("v").agg(F.count("*").alias("n"))
 
     return run
 
@@ -185,22 +187,74 @@ def part_matrix(spark: SparkSession, d: str) -> DataFrame:
 
 add("part_matrix_k3", part_matrix, oracle.with_(oracle.base("part", "part", PART) + oracle.mining(PART), f"SELECT seed, v AS feature FROM reach SEMI JOIN near USING (v) UNION ALL SELECT unnest(ul) AS seed, fid AS feature FROM (" + " UNION ALL ".join(f"SELECT fid, ul FROM c{h}" for h in (1, 2, 3)) + ") WHERE fid IN (SELECT feature FROM found)"))
 
-for _m in ("none", "p", "g", "m", "pg", "pgm"):
+#: the kinds of ATOMS by name in SQL: individuals of a class are its instances
+LIKE = {"p": "(e LIKE 'supplier:%')", "g": "(e LIKE 'nation:%' OR e IN ('cls:Region', 'cls:Place'))", "m": "(e LIKE 'cls:NationOf/%')"}
+M = ("none", "p", "g", "m", "pg", "pgm")
+
+
+def kind_test(m: str) -> str:
+    return " OR ".join(LIKE[c] for c in m) if m != "none" else "true"
+
+
+def filtered_ctes(p: MiningParams, m: str) -> list[str]:
+    """CTEs near_m and found_m: what passes a filter."""
+    elems = " UNION ALL ".join(f"SELECT fid, es FROM c{h}" for h in range(1, p.k + 1))
+    return [
+        f"near_m AS (SELECT v, n FROM (SELECT *, v AS e FROM near) WHERE {kind_test(m)})",
+        f"found_m AS (SELECT * FROM found WHERE feature IN (SELECT fid FROM (SELECT fid, unnest(es) AS e FROM ({elems})) WHERE {kind_test(m)}))",
+    ]
+
+
+def mined_with_m(view: str, seed: str, p: MiningParams, m: str) -> tuple[Query, str]:
+    """The run with its fourth step, and its twin."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        r = _result(spark, d, view, seed, replace(p, m=m, atoms=ATOMS))
+        return r.features().select("feature", "kind", F.col("n").alias("support"))
+
+    body = "SELECT v AS feature, 'neighbour' AS kind, n AS support FROM near_m UNION ALL SELECT feature, kind, n FROM found_m"
+    return run, oracle.with_(oracle.base(view, seed, p) + oracle.mining(p) + filtered_ctes(p, m), body)
+
+
+for _m in M:
 
     def _filtered(spark: SparkSession, d: str, m: str = _m) -> DataFrame:
         r = _result(spark, d, "part", "part", PART)
         return r.filtered(domain.DomainFilter.parse(m, ATOMS)).select("feature", "kind", F.col("n").alias("support"))
 
-    _like = {"p": "(e LIKE 'supplier:%' OR e LIKE 'cls:Sup%')", "g": "(e LIKE 'nation:%' OR e = 'cls:Region')", "m": "(e LIKE 'cls:NationOf/%')"}
-    _test = " OR ".join(_like[c] for c in _m) if _m != "none" else "true"
-    _elems = "SELECT fid, unnest(es) AS e FROM (" + " UNION ALL ".join(f"SELECT fid, es FROM c{h}" for h in (1, 2, 3)) + ")"
-    add(f"filter_{_m}", _filtered, oracle.with_(oracle.base("part", "part", PART) + oracle.mining(PART), f"SELECT v AS feature, 'neighbour' AS kind, n AS support FROM (SELECT *, v AS e FROM near) WHERE {_test} UNION ALL SELECT feature, kind, n FROM found WHERE feature IN (SELECT fid FROM ({_elems}) WHERE {_test})"))
+    _run, _sql = mined_with_m("part", "part", PART, _m)
+    add(f"filter_{_m}", _filtered, _sql)
+    if _m != "none":
+        add(f"mine_m_{_m}", _run, _sql)
+
+
+def mine_m_matrix(spark: SparkSession, d: str) -> DataFrame:
+    """The matrix of a run with the filter g."""
+    return _result(spark, d, "part", "part", replace(PART, m="g", atoms=ATOMS)).named_matrix()
+
+
+_cells = "SELECT unnest(ul) AS seed, fid AS feature FROM (" + " UNION ALL ".join(f"SELECT fid, ul FROM c{h}" for h in (1, 2, 3)) + ")"
+add("mine_m_matrix", mine_m_matrix, oracle.with_(oracle.base("part", "part", PART) + oracle.mining(PART) + filtered_ctes(PART, "g"), f"SELECT seed, v AS feature FROM reach SEMI JOIN near_m USING (v) UNION ALL SELECT seed, feature FROM ({_cells}) WHERE feature IN (SELECT feature FROM found_m)"))
 
 # measures -------------------------------------------------------------------------------------------
 
-for _name, _view, _seed, _p in (("ladder_part", "part", "part", PART), ("ladder_cust", "customer", "customer", replace(CUST, k=1)), ("ladder_doc", "doc", "doc", DOC)):
-    _p = replace(_p, engine="faithful")
-    add(_name, lambda spark, d, view=_view, seed=_seed, p=_p: metrics.ladder(_result(spark, d, view, seed, p)), oracle.ladder(_view, _seed, _p))
+
+
+def _ladder(view: str, seed: str, p: MiningParams, m: str | None = None) -> tuple[Query, str]:
+    p = replace(p, engine="faithful")
+    asked = p if m is None else replace(p, m=m, atoms=ATOMS)
+    sql = oracle.ladder(view, seed, p, filtered_ctes(p, m) if m else None)
+    return (lambda spark, d: metrics.ladder(_result(spark, d, view, seed, asked))), sql
+
+
+add("ladder_part", *_ladder("part", "part", PART))
+add("ladder_cust", *_ladder("customer", "customer", replace(CUST, k=1)))
+add("ladder_doc", *_ladder("doc", "doc", DOC))
+#: the published grid, the largest k with t = 1 alone, on both seed sets; customers from k = 3 on have some
+#: forty million patterns at the size of the comparison and are mined by the factorised engine alone
+GRID = [("part", k, t) for k in (1, 2, 3) for t in (1, 2, 3)] + [("part", 4, 1)] + [("customer", k, t) for k in (1, 2) for t in (1, 2, 3)]
+for _view, _k, _t in GRID:
+    add(f"ladder_{_view[:4]}_k{_k}_t{_t}", *_ladder(_view, _view, replace(PART, k=_k, t=_t), "pgm"))
 
 for _name, _view, _d in (("full_neighbourhood_d500", "star", 500), ("full_neighbourhood_dinf", "star", None), ("full_neighbourhood_chain", "conversation", 500)):
     _seed = "conversation" if _view == "conversation" else "customer"
@@ -221,36 +275,26 @@ add("seed_composition", seed_composition, "SELECT label, origin, count(*) AS n F
 
 
 def feature_counts(spark: SparkSession, d: str) -> DataFrame:
-    ctx = _context(spark, d, "part", "part", replace(PART, k=2, t=1))
-    return extensions.counted_features(ctx)
+    """How many of a seed's paths each selected feature captures, of every length."""
+    return extensions.counted_features(_result(spark, d, "part", "part", replace(PART, k=2)))
+
+
+def counts_sql(p: MiningParams) -> str:
+    each = " UNION ALL ".join(f"SELECT fid, pid, ss FROM x{h}" for h in range(1, p.k + 1))
+    return oracle.with_(oracle.base("part", "part", p) + oracle.mining(p), f"SELECT seed, fid AS feature, count(DISTINCT pid) AS n FROM (SELECT fid, pid, unnest(ss) AS seed FROM ({each}) WHERE fid IN (SELECT feature FROM found)) GROUP BY ALL")
 
 
-_p = replace(PART, k=2, t=1)
-add(
-    "feature_counts",
-    feature_counts,
-    oracle.with_(
-        oracle.base("part", "part", _p),
-        "SELECT seed, feature, count(*) AS n FROM (SELECT a.src AS seed, '-['||a.pred||']-> '||e.e AS feature FROM seeds JOIN arc_ok a ON a.src = seed JOIN reach r ON r.seed = a.src AND r.v = a.dst AND r.dist = 1 JOIN (SELECT v, v AS e FROM rv UNION ALL SELECT v, cls FROM lev SEMI JOIN tf USING (cls)) e ON e.v = a.dst) GROUP BY ALL",
-    ),
-)
+add("feature_counts", feature_counts, counts_sql(replace(PART, k=2)))
 
 
 def generalisation_counts(spark: SparkSession, d: str) -> DataFrame:
-    """S12 on paths of two arcs: how many patterns generalise each."""
-    ctx = _context(spark, d, "part", "part", replace(PART, k=2, t=2))
-    return extensions.generalisation_counts(ctx)
+    """S12 on paths of one to three arcs: how many patterns generalise each."""
+    return extensions.generalisation_counts(spark, kgview.triples(spark, d, "part", False), kgview.seeds(spark, d, "part"), replace(PART, t=2))
 
 
-_p = replace(PART, k=2, t=2)
-add(
-    "generalisation_counts",
-    generalisation_counts,
-    oracle.with_(
-        oracle.base("part", "part", _p),
-        "SELECT DISTINCT '-['||a.pred||']-> '||a.dst||' -['||b.pred||']-> '||b.dst AS path, (1 + x.g) * (1 + y.g) - 1 AS n FROM arc_ok a JOIN seeds ON a.src = seed JOIN arc_ok b ON b.src = a.dst JOIN (SELECT v, count(*) AS g FROM lev GROUP BY v) x ON x.v = a.dst JOIN (SELECT v, count(*) AS g FROM lev GROUP BY v) y ON y.v = b.dst JOIN reach r ON r.seed = a.src AND r.v = b.dst AND r.dist = 2",
-    ),
-)
+_p = replace(PART, t=2, kinds=frozenset(("path",)), prune=False, c2=False, l_min=0)
+_each = " UNION ALL ".join(f"SELECT fid, {h} AS len, es FROM c{h}" for h in (1, 2, 3))
+add("generalisation_counts", generalisation_counts, oracle.with_(oracle.base("part", "part", _p) + oracle.mining(_p), f"SELECT fid AS path, len, (product(1 + coalesce(g, 0)) - 1)::BIGINT AS n FROM (SELECT fid, len, unnest(es) AS v FROM ({_each})) LEFT JOIN (SELECT v, count(*) AS g FROM lev GROUP BY v) USING (v) GROUP BY ALL"))
 
 
 def recall_of_pruning(spark: SparkSession, d: str) -> DataFrame:
@@ -268,16 +312,18 @@ add("recall_of_pruning", recall_of_pruning, f"SELECT count(b.feature) AS both, c
 
 def storage_footprint(spark: SparkSession, d: str) -> DataFrame:
     """Bytes of features repeated in every cell, and kept once under an integer."""
-    return dictionary.footprint(_result(spark, d, "part", "part", replace(PART, k=2)).mined.features)
+    return dictionary.footprint(_result(spark, d, "part", "part", replace(PART, k=2)).path_features())
 
 
-add("storage_footprint", storage_footprint, f"SELECT count(*) AS features, sum(support)::BIGINT AS cells, sum(16 * len * support)::BIGINT AS bytes_lists, sum(16 * len + 8 * support)::BIGINT AS bytes_ids FROM ({oracle.features('part', 'part', _p, near=False)})")
+_p = oracle.features("part", "part", replace(PART, k=2), near=False)
+add("storage_footprint", storage_footprint, f"SELECT count(*) AS features, sum(support)::BIGINT AS cells, sum(strlen(feature) * support)::BIGINT AS bytes_lists, sum(strlen(feature) + 8 * support)::BIGINT AS bytes_ids FROM ({_p})")
 
 
 def parameter_guidance(spark: SparkSession, d: str) -> DataFrame:
     ctx = _context(spark, d, "star", "part", replace(PART, d=None), found=False)
-    return metrics.guidance(spark, ctx).filter("what in ('degree_max', 'k_full', 't_full')")
+    return metrics.guidance(spark, ctx)
 
 
 _p = replace(PART, d=None, t=None)
-add("parameter_guidance", parameter_guidance, oracle.with_(oracle.base("star", "part", _p, full=True), "SELECT 'degree_max' AS what, max(n) AS n FROM deg UNION ALL SELECT 'k_full', max(d) FROM (SELECT min(dist) AS d FROM reach GROUP BY v) UNION ALL SELECT 't_full', max(l) FROM (SELECT min(level) AS l FROM lev GROUP BY cls)"))
+_q = " UNION ALL ".join(f"SELECT 'degree_p{name}', quantile_disc(n, {q}) FROM deg" for name, q in (("50", 0.5), ("90", 0.9), ("99", 0.99)))
+add("parameter_guidance", parameter_guidance, oracle.with_(oracle.base("star", "part", _p, full=True), f"SELECT 'degree_max' AS what, max(n) AS n FROM deg UNION ALL {_q} UNION ALL SELECT 'k_full', max(d) FROM (SELECT min(dist) AS d FROM reach GROUP BY v) UNION ALL SELECT 't_full', max(l) FROM (SELECT min(level) AS l FROM lev GROUP BY cls)"))

@@ -19,9 +19,9 @@ def _listed(col: str, entries: tuple[str, ...]) -> str:
     return "(" + " OR ".join(f"starts_with({col}, '{e[:-1]}')" if e.endswith("*") else f"{col} = '{e}'" for e in entries) + ")"
 
 
-def base(view: str, seed: str, p: MiningParams, full: bool = False) -> list[str]:
-    """CTEs t, seeds, inst, sub, arcs, arc_ok, reach(seed, v, dist), lev(v, cls, level), tsup, tf."""
-    parts = kgview.VIEWS[view]
+def base(view: str | tuple[str, ...], seed: str, p: MiningParams, full: bool = False, merged: dict[str, str] | None = None, more: str = "") -> list[str]:
+    """merged: predicates to rename; more: SQL of further triples. CTEs t, seeds, inst, sub, arcs, arc_ok, reach(seed, v, dist), lev(v, cls, level), tsup, tf."""
+    parts = kgview.VIEWS[view] if isinstance(view, str) else view
     same = [x for x in parts if x in CANON] if p.canonicalise else []
     canon = " UNION ALL ".join(CANON[x] for x in same) or "SELECT NULL::VARCHAR AS v, NULL::VARCHAR AS c WHERE false"
     keep = f"WHERE p <> '{p.identity}'" if p.canonicalise else ""
@@ -31,6 +31,7 @@ def base(view: str, seed: str, p: MiningParams, full: bool = False) -> list[str]
         deg = "SELECT v, count(*) AS n FROM (SELECT src AS v FROM arcs UNION ALL SELECT dst FROM arcs WHERE src <> dst) GROUP BY 1"
         both += " UNION SELECT dst, pred, src FROM arcs"
     hub = "SELECT NULL::VARCHAR AS v WHERE false" if p.d is None else f"SELECT v FROM deg WHERE n > {p.d}"
+    named = "CASE p " + " ".join(f"WHEN '{a}' THEN '{b}'" for a, b in (merged or {'': ''}).items()) + " ELSE p END"
     bound = "" if full else f"WHERE r.dist < {p.k}"
     walk = "SELECT seed, seed AS v, 0 AS dist FROM seeds UNION SELECT r.seed, a.dst, r.dist + 1 FROM walk r JOIN arc_ok a ON a.src = r.v " + bound
     if full:  # distances up to a bound that no shortest way can exceed in these views
@@ -38,7 +39,7 @@ def base(view: str, seed: str, p: MiningParams, full: bool = False) -> list[str]
     t_bound = "" if p.t is None else f" AND level < {p.t}"
     first = "SELECT v, cls, 1 AS level FROM inst" + (" WHERE false" if p.t == 0 else "")
     return [
-        f"raw AS MATERIALIZED (SELECT DISTINCT s, p, o FROM ({kgview.duck_triples(view)}))",
+        f"raw AS MATERIALIZED (SELECT DISTINCT s, {named} AS p, o FROM ({kgview.duck_triples(view)}{more}))",
         f"canon AS MATERIALIZED ({canon})",
         f"t AS MATERIALIZED (SELECT DISTINCT coalesce(a.c, s) AS s, p, coalesce(b.c, o) AS o FROM raw LEFT JOIN canon a ON a.v = s LEFT JOIN canon b ON b.v = o {keep})",
         f"seeds AS MATERIALIZED (SELECT DISTINCT coalesce(c, seed) AS seed FROM ({kgview.duck_seeds(seed)}) x LEFT JOIN canon ON v = seed)",
@@ -65,8 +66,8 @@ def with_(ctes: list[str], body: str) -> str:
     return "WITH RECURSIVE " + ", ".join(ctes) + " " + body
 
 
-def mining(p: MiningParams) -> list[str]:
-    """CTEs f0 .. fk: the selected path features (fid, len, ispat, n, sup) after each iteration; x1 .. xk."""
+def mining(p: MiningParams, general: tuple[tuple[str, str], ...] = ()) -> list[str]:
+    """general: a predicate hierarchy to mine, (predicate, more general one). CTEs f0 .. fk: the selected path features (fid, len, ispat, n, sup) after each iteration; x1 .. xk."""
     patterns = "pattern" in p.kinds
     high = "" if p.l_max is None else f" AND n <= {p.l_max}"
     out = [
@@ -77,11 +78,22 @@ def mining(p: MiningParams) -> list[str]:
         "p1 AS MATERIALIZED (SELECT '-['||pred||']-> '||dst AS pid, ''::VARCHAR AS was, pred, dst AS last, list_sort(list(DISTINCT src)) AS ss FROM arc_ok JOIN seeds ON src = seed WHERE dst IN (SELECT v FROM reach WHERE dist = 1) GROUP BY pred, dst)",
         "g0 AS (SELECT ''::VARCHAR AS pid, ''::VARCHAR AS fid, []::VARCHAR[] AS ps, []::VARCHAR[] AS es, false AS ispat, []::VARCHAR[] AS pre)",
     ]
+    pel, preds = "", lambda h: "a.ps = b.ps"
+    if general:
+        steps = ", ".join(f"('{a}', '{b}')" for a, b in general)
+        out += [
+            f"gen(p, g, l) AS (SELECT a, b, 1 FROM (VALUES {steps}) x(a, b) UNION SELECT gen.p, x.b, l + 1 FROM gen JOIN (VALUES {steps}) x(a, b) ON x.a = gen.g WHERE l < {p.predicate_levels})",
+            "pel AS MATERIALIZED (SELECT DISTINCT pred, pred AS as_pred, false AS isup FROM arc_ok UNION SELECT p, g, true FROM gen UNION SELECT g, g, true FROM gen)",
+            "panc AS MATERIALIZED (SELECT p AS e, g AS a FROM gen UNION SELECT p, p FROM gen UNION SELECT g, g FROM gen UNION SELECT pred, pred FROM arc_ok)",
+        ]
+        pel = " JOIN pel ON pel.pred = q.pred"
+        preds = lambda h: " AND ".join(f"EXISTS (SELECT 1 FROM panc WHERE e = a.ps[{i}] AND panc.a = b.ps[{i}])" for i in range(1, h + 1))
+    as_pred, up = ("as_pred", " OR isup") if general else ("q.pred", "")
     for h in range(1, p.k + 1):
         if h > 1:
             out.append(f"p{h} AS MATERIALIZED (SELECT q.pid||' -['||arc_ok.pred||']-> '||dst AS pid, q.pid AS was, arc_ok.pred, dst AS last, ss FROM next{h - 1} q JOIN arc_ok ON src = q.last WHERE EXISTS (SELECT 1 FROM reach r WHERE r.v = dst AND r.dist = {h} AND list_contains(q.ss, r.seed)))")
         sep = "" if h == 1 else "g.fid||' '||"
-        out.append(f"x{h} AS MATERIALIZED (SELECT q.pid, {sep}'-['||q.pred||']-> '||e AS fid, list_append(g.ps, q.pred) AS ps, list_append(g.es, e) AS es, isc, g.ispat OR isc AS ispat, CASE WHEN g.fid = '' THEN g.pre ELSE list_append(g.pre, g.fid) END AS pre, ss FROM p{h} q JOIN g{h - 1} g ON g.pid = q.was JOIN elem ON elem.v = q.last)")
+        out.append(f"x{h} AS MATERIALIZED (SELECT q.pid, {sep}'-['||{as_pred}||']-> '||e AS fid, list_append(g.ps, {as_pred}) AS ps, list_append(g.es, e) AS es, isc, g.ispat OR isc{up} AS ispat, CASE WHEN g.fid = '' THEN g.pre ELSE list_append(g.pre, g.fid) END AS pre, ss FROM p{h} q JOIN g{h - 1} g ON g.pid = q.was JOIN elem ON elem.v = q.last{pel})")
         out.append(f"c{h} AS MATERIALIZED (SELECT *, len(ul) AS n, md5(array_to_string(ul, ',')) AS sup FROM (SELECT fid, any_value(ps) AS ps, any_value(es) AS es, any_value(isc) AS isc, any_value(ispat) AS ispat, any_value(pre) AS pre, count(DISTINCT pid) AS np, max(len(ss)) AS largest, list_sort(list_distinct(flatten(list(ss)))) AS ul FROM x{h} GROUP BY fid))")
         prune = f"n >= {p.l_min}" if p.prune else "true"
         out.append(f"m{h} AS MATERIALIZED (SELECT * FROM c{h} WHERE ispat AND {prune}" + (" AND np > 1)" if p.drop_single else ")"))
@@ -89,7 +101,7 @@ def mining(p: MiningParams) -> list[str]:
             out.append(f"s{h} AS MATERIALIZED (SELECT * FROM m{h})")
         else:
             joins = " ".join(f"JOIN anc a{i} ON a{i}.e = a.es[{i}] AND a{i}.a = b.es[{i}]" for i in range(1, h + 1))
-            out.append(f"s{h} AS MATERIALIZED (SELECT * FROM m{h} WHERE fid NOT IN (SELECT b.fid FROM m{h} b JOIN m{h} a ON a.sup = b.sup AND a.ps = b.ps AND a.fid <> b.fid {joins}))")
+            out.append(f"s{h} AS MATERIALIZED (SELECT * FROM m{h} WHERE fid NOT IN (SELECT b.fid FROM m{h} b JOIN m{h} a ON a.sup = b.sup AND {preds(h)} AND a.fid <> b.fid {joins}))")
         c3 = "AND (NOT ispat OR largest < n)" if p.c3 else ""
         clash = f"SELECT c.fid, f.fid AS old, f.endc FROM cand{h} c JOIN f{h - 1} f ON f.sup = c.sup AND list_contains(c.pre, f.fid)" if p.c2 else "SELECT ''::VARCHAR AS fid, ''::VARCHAR AS old, false AS endc WHERE false"
         out.append(f"cand{h} AS MATERIALIZED (SELECT * FROM (SELECT * FROM c{h} WHERE NOT ispat UNION ALL SELECT * FROM s{h}) WHERE n >= {p.l_min}{high} {c3})")
@@ -118,7 +130,7 @@ def features(view: str, seed: str, p: MiningParams, near: bool = True) -> str:
     return with_(base(view, seed, p) + mining(p), own + "SELECT feature, kind, len, n AS support FROM found")
 
 
-def ladder(view: str, seed: str, p: MiningParams) -> str:
+def ladder(view: str, seed: str, p: MiningParams, after_m: list[str] | None = None) -> str:
     gen = " + ".join(f"(SELECT count(*) FROM c{h})" for h in range(1, p.k + 1))
     rows = {
         "neighbours_before": "SELECT count(*) FROM rv",
@@ -128,5 +140,7 @@ def ladder(view: str, seed: str, p: MiningParams) -> str:
         "generated": f"SELECT {gen}",
         "selected": "SELECT count(*) FROM found",
     }
+    if after_m:
+        rows |= {"neighbours_after_m": "SELECT count(*) FROM near_m", "selected_after_m": "SELECT count(*) FROM found_m"}
     body = " UNION ALL ".join(f"SELECT '{k}' AS stage, ({v})::BIGINT AS n" for k, v in rows.items())
-    return with_(base(view, seed, p) + mining(p), body)
+    return with_(base(view, seed, p) + mining(p) + (after_m or []), body)

@@ -9,7 +9,8 @@ from __future__ import annotations
 import re
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _TOKEN = re.compile(r"\{(\w+)\}")
 
@@ -56,6 +57,8 @@ PARTS: dict[str, str | tuple[str, str]] = {
     "sub_supplier": "SELECT 'cls:SupDebt' AS s, 'rdfs:subClassOf' AS p, 'cls:Supplier' AS o FROM {supplier} UNION SELECT 'cls:SupCredit', 'rdfs:subClassOf', 'cls:Supplier' FROM {supplier} UNION SELECT 'cls:Supplier', 'rdfs:subClassOf', 'cls:Agent' FROM {supplier}",
     "sub_place": "SELECT 'cls:NationOf/'||r_name AS s, 'rdfs:subClassOf' AS p, 'cls:Nation' AS o FROM {region} UNION SELECT 'cls:Nation', 'rdfs:subClassOf', 'cls:Place' FROM {region} UNION SELECT 'cls:Region', 'rdfs:subClassOf', 'cls:Place' FROM {region}",
     "sub_event": "SELECT 'cls:Event/'||event_type AS s, 'rdfs:subClassOf' AS p, 'cls:Event' AS o FROM {events}",
+    # literals as vertices, one a bucket of 500 (Spark makes them with extensions.literal_vertices)
+    "balance": "SELECT 'customer:'||c_custkey AS s, 'balance' AS p, 'num:balance/'||cast(floor(c_acctbal / 500) AS bigint) AS o FROM {customer} WHERE c_acctbal IS NOT NULL",
     # identity
     "same_part": "SELECT s, p, o FROM (SELECT 'part:'||p_partkey AS s, 'owl:sameAs' AS p, 'part:'||lead(p_partkey) OVER (PARTITION BY p_name, p_brand, p_type ORDER BY p_partkey) AS o FROM {part}) WHERE o IS NOT NULL",
     "same_doc": "SELECT s, p, o FROM (SELECT 'doc:'||doc_id AS s, 'owl:sameAs' AS p, 'doc:'||lead(doc_id) OVER (PARTITION BY md5(text) ORDER BY doc_id) AS o FROM {documents} WHERE text IS NOT NULL) WHERE o IS NOT NULL",
@@ -105,10 +108,36 @@ def select(spark: SparkSession, sf_dir: str, sql: str) -> DataFrame:
     return spark.sql(sql, **{t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in tables_of(sql)})
 
 
-def triples(spark: SparkSession, sf_dir: str, view: str | tuple[str, ...]) -> DataFrame:
-    """(s, p, o), a set, of a named view or of given parts."""
+def triples(spark: SparkSession, sf_dir: str, view: str | tuple[str, ...], as_set: bool = True) -> DataFrame:
+    """(s, p, o) of a named view or of given parts; mining makes a set of integers of them itself."""
     parts = VIEWS[view] if isinstance(view, str) else view
-    return reduce(DataFrame.union, [select(spark, sf_dir, spark_text(x)) for x in parts]).distinct()
+    out = reduce(DataFrame.union, [quotes(spark, sf_dir) if x == "quotes" else select(spark, sf_dir, spark_text(x)) for x in parts])
+    return out.distinct() if as_set else out
+
+
+def quotes(spark: SparkSession, sf_dir: str, width: int = 24) -> DataFrame:
+    """The part ``quotes``: documents that contain a test item's text, without holding every document against
+    every item. Each item is looked up by one piece of ``width`` characters, the piece that begins at a word
+    and is rarest in a hash order, among the pieces of documents that begin at a word; what meets is tested.
+
+    An item begins at a word of the document or within one: pieces begin after its first blank, so the word
+    that its beginning may cut is left out. Items without such a piece are few and short; they are tested
+    against all documents.
+    """
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    items = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select("item_id", F.col("text").alias("item")).filter("item is not null")
+
+    def pieces(text: Column) -> Column:
+        return F.regexp_extract_all(text, F.lit(rf"(?s)(?<=[ ])(?=(?=[^ ])(.{{{width}}}))"), F.lit(1))
+
+    keyed = items.withColumn("piece", F.array_min(F.transform(pieces(F.col("item")), lambda x: F.struct(F.xxhash64(x).alias("h"), x.alias("x"))))["x"])
+    at = docs.select("doc_id", F.explode(F.array_distinct(pieces(F.col("text")))).alias("piece"))
+    cand = at.join(keyed.filter("piece is not null"), "piece").select("doc_id", "item_id", "item").distinct()  # ids, not texts
+    met = docs.join(cand, "doc_id").filter(F.contains("text", "item")).select("doc_id", "item_id")
+    short = keyed.filter("piece is null")
+    if not short.isEmpty():
+        met = met.union(docs.join(short, F.contains("text", "item")).select("doc_id", "item_id"))
+    return met.distinct().select(F.concat(F.lit("doc:"), "doc_id").alias("s"), F.lit("quotes").alias("p"), F.concat(F.lit("bench:"), "item_id").alias("o"))
 
 
 def duck_triples(view: str | tuple[str, ...]) -> str:

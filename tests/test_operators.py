@@ -1,17 +1,21 @@
 from __future__ import annotations
 
 import random
+from pathlib import Path
 
 import pytest
+from fixture_graph import BASE, GOLD, SEEDS, TRIPLES
 from pyspark.sql import functions as F
 
 from kgfeat import extensions as ext
+from kgfeat.api import mine, mine_sql
 from kgfeat.functions import udtf
 from kgfeat.operators import blacklist, canon, degree, dictionary, domain, matrix, reach, specific, supports, types
 from kgfeat.operators.prefix import prefix_sums
 from kgfeat.params import MiningParams
+from kgfeat.plans import baselines, metrics, state
 from kgfeat.plans.state import Workspace
-from kgfeat.sources import io
+from kgfeat.sources import io, kgview
 
 
 @pytest.fixture
@@ -127,10 +131,29 @@ def test_specificity_ways_agree(spark):
 
 
 def test_support_unions(spark):
-    m = spark.createDataFrame([(1, "a"), (1, "b"), (1, "b"), (2, "a")], "fid long, sset string")
-    s = spark.createDataFrame([("a", [1, 2]), ("b", [2, 40_000])], "sset string, seeds array<bigint>")
-    for impl in ("array", "bitmap"):
-        assert {r["fid"]: r["n"] for r in supports.unions(m, s, impl=impl).collect()} == {1: 3, 2: 2}
+    m = spark.createDataFrame([(1, "a"), (1, "b"), (1, "b"), (2, "a"), (3, "c"), (4, "b"), (4, "a")], "fid long, sset string")
+    s = spark.createDataFrame([("a", 1), ("a", 2), ("b", 2), ("b", 40_000), ("c", 40_000), ("c", 1), ("c", 2)], "sset string, seed long")
+    u = supports.unions(m, s)
+    assert {tuple(r) for r in u.filter("fid = 1").collect()} == {(1, 1), (1, 2), (1, 40_000)}
+    got = {r["fid"]: (r["sset"], r["n"]) for r in supports.sized(u).collect()}
+    assert {k: n for k, (_, n) in got.items()} == {1: 3, 2: 2, 3: 3, 4: 3}
+    assert got[1] == got[3] == got[4] != got[2]  # a set's id does not depend on what it was joined from
+    dense = spark.createDataFrame([(1, 1), (2, 2), (40_000, 40_000)], "seed long, id long")
+    bits = supports.bitmaps(u, dense).groupBy("fid").agg(F.sum(F.bitmap_count("bits")).alias("n"), F.count("*").alias("buckets"))
+    assert {r["fid"]: (r["n"], r["buckets"]) for r in bits.collect()} == {1: (3, 2), 2: (2, 1), 3: (3, 2), 4: (3, 2)}
+
+
+def test_neighbour_of_a_million_seeds(spark, ws):
+    """Support sets are rows: no value of a run grows with the number of seeds."""
+    n = 1_000_000
+    seeds = spark.range(n).select(F.concat(F.lit("s"), "id").alias("seed"))
+    t = seeds.select(F.col("seed").alias("s"), F.lit("p").alias("p"), F.lit("hub").alias("o"))
+    t = t.union(spark.createDataFrame([("hub", "q", "x"), ("hub", "rdf:type", "T"), ("x", "rdf:type", "T")], "s string, p string, o string"))
+    r = mine(spark, t, seeds, k=2, t=1, ws=ws)
+    assert {(x["feature"], x["n"]) for x in r.features().collect()} == {("hub", n), ("x", n), ("-[p]-> hub", n)}
+    assert r.matrix().count() == 3 * n
+    for df in (r.mined.sets, r.mined.unions, r.mined.features.drop("preds", "elems", "classes")):
+        assert not any(f.dataType.typeName() in ("array", "binary", "map") for f in df.schema.fields)
 
 
 def test_domain_filter(spark):
@@ -139,13 +162,123 @@ def test_domain_filter(spark):
     f = spark.createDataFrame([(1,), (2,), (3,)], "fid long")
     left = lambda m: {r[0] for r in domain.apply(e, f, domain.DomainFilter.parse(m, atoms)).collect()}
     assert (left("p"), left("m"), left("pm"), left("none")) == ({1}, {2}, {1, 2}, {1, 2, 3})
-    with pytest.raises(ValueError):
-        domain.DomainFilter.parse("z", atoms)
+    for bad in ("z", "pz", "", 3):
+        with pytest.raises(ValueError):
+            domain.DomainFilter.parse(bad, atoms)
+
+
+def test_m_is_the_fourth_step_of_a_run(spark):
+    t = spark.createDataFrame(TRIPLES, "s string, p string, o string")
+    s = spark.createDataFrame([(x,) for x in SEEDS], "seed string")
+    atoms = {"v": domain.Atom(individuals=("v1",)), "t": domain.Atom(classes=("T5",)), "i": domain.Atom(instances_of=("T3",)), "e": domain.Atom(instances_of=("T5", "T6"))}
+    all_ = mine(spark, t, s, **BASE)
+    for m in ("v", "t", "vt", "i", "e", "none", None):
+        r = mine(spark, t, s, **BASE, m=m, atoms=atoms)
+        assert {x["feature"] for x in r.features().collect()} == {x["feature"] for x in all_.filtered(domain.DomainFilter.parse(m, atoms)).collect()}
+        want = {"v": {"v1", "-[p4]-> v1"}, "t": {"-[p6]-> T5"}, "vt": {"v1", "-[p4]-> v1", "-[p6]-> T5"}, "i": set(), "e": set()}.get(m)
+        got = {x["feature"] for x in r.named_matrix().collect()}
+        assert got == (want if want is not None else GOLD | {"v1", "v6"})
+    for bad in ("garbage", "pg", ""):
+        with pytest.raises(ValueError):
+            mine(spark, t, s, **BASE, m=bad, atoms=atoms)
+
+
+def test_individuals_of_a_class(spark):
+    t = spark.createDataFrame([("a", "p", "x"), ("b", "p", "x"), ("a", "p", "y"), ("b", "p", "y"), ("x", "rdf:type", "Low"), ("Low", "rdfs:subClassOf", "High")], "s string, p string, o string")
+    s = spark.createDataFrame([("a",), ("b",)], "seed string")
+    r = mine(spark, t, s, k=1, t=0, l_min=2, m="h", atoms={"h": domain.Atom(instances_of=("High",))})
+    assert {x["feature"] for x in r.features().collect()} == {"x", "-[p]-> x"}
+    assert r.unfiltered is not None and r.unfiltered.features().count() == 4
+
+
+def test_golden_counts_of_generalisations(spark):
+    """The worked example's paths: 11 patterns for two vertices, 23 for three."""
+    t = spark.createDataFrame(TRIPLES, "s string, p string, o string")
+    s = spark.createDataFrame([(x,) for x in SEEDS], "seed string")
+    got = {x["path"]: (x["len"], x["n"]) for x in ext.generalisation_counts(spark, t, s, MiningParams(**BASE)).collect()}
+    assert got["-[p1]-> v2 -[p2]-> v3"] == (2, 11) and got["-[p1]-> v2 -[p2]-> v3 -[p3]-> v6"] == (3, 23)
+    assert got["-[p4]-> v1"] == (1, 1) and len(got) == 9
+
+
+def test_counts_of_longer_features(spark):
+    t = spark.createDataFrame([("s", "p", f"a{i}") for i in range(3)] + [(f"a{i}", "q", "z") for i in range(3)] + [("r", "p", "b"), ("b", "q", "z"), ("b", "rdf:type", "T")] + [(f"a{i}", "rdf:type", "T") for i in range(3)], "s string, p string, o string")
+    s = spark.createDataFrame([("s",), ("r",)], "seed string")
+    got = {(x["seed"], x["feature"]): x["n"] for x in ext.counted_features(mine(spark, t, s, k=2, t=1, l_min=2)).collect()}
+    assert got[("s", "-[p]-> T -[q]-> z")] == 3 and got[("r", "-[p]-> T -[q]-> z")] == 1
+
+
+def test_dense_ids_give_the_same_features(spark):
+    t = spark.createDataFrame(TRIPLES, "s string, p string, o string")
+    s = spark.createDataFrame([(x,) for x in [*SEEDS, "nobody"]], "seed string")
+    r = mine(spark, t, s, **BASE, ids="dense")
+    assert {x["feature"] for x in r.path_features().collect()} == GOLD
+    assert r.context.coding.vertex.agg(F.min("v"), F.max("v") + 1, F.count("*")).first()[:] == (0, *[r.context.coding.vertex.count()] * 2)
+
+
+def test_hot_roots_of_components(spark, ws, monkeypatch):
+    monkeypatch.setattr(canon, "SMALL", 0)
+    monkeypatch.setattr(canon, "SPREAD", 4)
+    edges = [(0, i) for i in range(1, 200)] + [(500, 501), (501, 502)]
+    got = {r["v"]: r["c"] for r in canon.components(spark, spark.createDataFrame(edges, "a long, b long"), ws=ws).collect()}
+    assert got == brute_components(edges)
+
+
+def test_state_needs_a_shared_folder(spark, monkeypatch):
+    class Far:
+        conf = spark.conf
+        sparkContext = type("C", (), {"master": "spark://far:7077", "getConf": lambda self: spark.sparkContext.getConf()})()
+
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        state.shared_root(Far())
+
+
+def test_a_result_can_be_deleted(spark):
+    t = spark.createDataFrame(TRIPLES, "s string, p string, o string")
+    with mine(spark, t, spark.createDataFrame([(x,) for x in SEEDS], "seed string"), **BASE) as r:
+        folder = Path(r.context.ws.base.removeprefix("file://"))
+        assert folder.exists() and r.features().count() == 6
+    assert not folder.exists()
+
+
+def test_sql_and_cost(spark):
+    spark.createDataFrame(TRIPLES, "s string, p string, o string").createOrReplaceTempView("graph_rows")
+    with metrics.Cost(spark) as cost:
+        mine_sql(spark, "SELECT s, p, o FROM graph_rows", "SELECT explode(array('n1', 'n2')) AS x", "worked", **BASE)
+    assert {r["feature"] for r in spark.sql("SELECT feature FROM worked_features WHERE kind <> 'neighbour'").collect()} == GOLD
+    assert cost.values["stages"] > 5 and cost.values["seconds"] > 0 and cost.values["shuffle_write_mb"] >= 0
+
+
+def test_exhaustive_mode_refuses(spark):
+    t = spark.createDataFrame(TRIPLES, "s string, p string, o string")
+    s = spark.createDataFrame([(x,) for x in SEEDS], "seed string")
+    with pytest.raises(ValueError, match="path features"):
+        baselines.run(spark, "exhaustive", t, s, MiningParams(**BASE), max_rows=3)
+    every = {x["feature"] for x in baselines.run(spark, "exhaustive", t, s, MiningParams(**BASE)).path_features().collect()}
+    assert every > GOLD
+
+
+def test_sinks(spark, tmp_path):
+    t = spark.createDataFrame(TRIPLES, "s string, p string, o string")
+    r = mine(spark, t, spark.createDataFrame([(x,) for x in SEEDS], "seed string"), **BASE)
+    io.write(r, f"{tmp_path}/out")
+    assert spark.read.parquet(f"{tmp_path}/out/features").count() == 6 and spark.read.parquet(f"{tmp_path}/out/matrix").count() == 12
+    io.write_sparse_text(r, f"{tmp_path}/text")
+    lines = [x["value"] for x in spark.read.text(f"{tmp_path}/text").collect()]
+    assert sorted(x.split()[0] for x in lines) == SEEDS and all(len(x.split()) == 7 for x in lines)
+
+
+def test_quotes_by_pieces(spark, tmp_path):
+    item = "the quick brown fox jumps over the lazy dog and runs away"
+    docs = [(1, f"xx{item}yy"), (2, f"a {item} b {item}"), (3, item.replace("lazy", "mad")), (4, None), (5, "say short"), (6, item)]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(1, item), (2, "short"), (3, None), (4, "brown\nfox")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = {(r["s"], r["o"]) for r in kgview.quotes(spark, str(tmp_path)).collect()}
+    assert got == {("doc:1", "bench:1"), ("doc:2", "bench:1"), ("doc:6", "bench:1"), ("doc:5", "bench:2")}
 
 
 def test_matrix_forms(spark):
     f = spark.createDataFrame([(7, "a"), (8, "b")], "fid long, sset string")
-    s = spark.createDataFrame([("a", [1, 2]), ("b", [2])], "sset string, seeds array<bigint>")
+    s = spark.createDataFrame([("a", 1), ("a", 2), ("b", 2)], "sset string, seed long")
     cells = matrix.build(f, s)
     assert {tuple(r) for r in cells.collect()} == {(1, 7), (2, 7), (2, 8)}
     assert {(r["seed"], r["7"], r["8"]) for r in matrix.wide(cells, [7, 8]).collect()} == {(1, True, False), (2, True, True)}
@@ -154,7 +287,7 @@ def test_matrix_forms(spark):
         matrix.wide(cells, list(range(5)), max_cols=3)
 
 
-@pytest.mark.parametrize("bad", [{"k": 0}, {"t": -1}, {"d": -1}, {"l_min": 3, "l_max": 2}, {"engine": "x"}, {"specificity": "x"}, {"kinds": frozenset(("x",))}])
+@pytest.mark.parametrize("bad", [{"k": 0}, {"t": -1}, {"d": -1}, {"l_min": 3, "l_max": 2}, {"engine": "x"}, {"specificity": "x"}, {"kinds": frozenset(("x",))}, {"m": "pg"}, {"ids": "x"}, {"predicate_levels": -1}])
 def test_parameters_are_checked(bad):
     with pytest.raises(ValueError):
         MiningParams(**bad)
@@ -179,12 +312,13 @@ def test_extensions(spark, ws):
     assert {r["o"] for r in ext.literal_vertices(lit, 1.0).collect()} == {"num:w/1", "num:w/2"}
 
 
-def test_classifier(spark):
-    cells = spark.createDataFrame([(s, 7) for s in range(10)] + [(s, 8) for s in range(20)], "seed long, fid long")
-    lab = spark.createDataFrame([(s, int(s < 10)) for s in range(20)], "seed long, label int")
-    model, data = ext.classifier(cells, lab, [7, 8])
+def test_classifier(spark, ws):
+    cells = spark.createDataFrame([(s, 7) for s in range(40) if s % 2] + [(s, 8) for s in range(40)] + [(s, 100 + s) for s in range(40)], "seed long, fid long")
+    lab = spark.createDataFrame([(s, s % 2, s > 30) for s in range(41)], "seed long, label int, held_out boolean")
+    model, data = ext.classifier(ws, cells, lab)
+    assert model.numFeatures == 42  # all columns of the matrix
     out = model.transform(data)
-    assert out.filter("prediction = label").count() == 20
+    assert out.count() == 41 and out.filter("held_out and prediction = label").count() >= 9
 
 
 def test_udtf(spark):

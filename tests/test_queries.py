@@ -9,7 +9,7 @@ import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-NAMES = ["canon_parts", "degree_all", "degree_pairs", "cust_neighbours_k2", "cust_types_t2", "hub_stop_d100", "part_features_k3", "page_features", "mode_support_only", "filter_pg", "ladder_doc", "full_neighbourhood_chain", "seed_composition", "generalisation_counts", "feature_counts", "merged_predicates", "predicate_hierarchy", "literal_buckets", "transitive_next"]
+NAMES = ["canon_parts", "degree_all", "degree_pairs", "cust_neighbours_k2", "cust_types_t2", "hub_stop_d100", "part_features_k3", "page_features", "mode_support_only", "filter_pg", "mine_m_matrix", "ladder_part_k4_t1", "ladder_doc", "full_neighbourhood_chain", "seed_composition", "generalisation_counts", "feature_counts", "merged_predicates", "predicate_hierarchy", "literals_mined", "merged_predicates_mined", "predicate_hierarchy_mined", "extent_cut", "full_to_k4", "transitive_next"]
 
 
 @pytest.fixture(scope="module")
