@@ -24,7 +24,7 @@ def predicate_levels(ws: Workspace, triples: DataFrame, t: int | None) -> DataFr
     sub = triples.filter(F.col("p") == SUBPROPERTY).select(F.col("s").alias("class"), F.col("o").alias("super"))
     own = triples.select(F.col("p").alias("v")).distinct()
     inst = sub.select(F.col("class").alias("v"), F.col("super").alias("class"))
-    return types.levels(ws, own, inst, sub, t, use_top=False)[0]
+    return types.levels(ws, own, inst, sub, t, use_top=False)
 
 
 def generalise_predicates(ws: Workspace, triples: DataFrame, t: int | None = 1) -> DataFrame:

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -23,46 +21,42 @@ def instances_of(ws: Workspace, inst: DataFrame, sub: DataFrame, classes: DataFr
     return inst.join(seen, "class", "left_semi").select("v").distinct()
 
 
-def levels(ws: Workspace, vertices: DataFrame, inst: DataFrame, sub: DataFrame, t: int | None, unusable: DataFrame | None = None, use_top: bool = True) -> tuple[DataFrame, int]:
-    """(v, class, level), and the last level at which a pair was new.
-
-    A direct class has level 1, each step up the hierarchy one more, the shortest way counts; the top
-    class has level 0. t None: no bound. ``unusable`` classes are climbed through, then left out.
-    """
-    own = vertices.select("v").distinct()
-    rows, at = [], 0
-    front = inst.join(own, "v", "left_semi").select("v", "class").distinct()
-    while t is None or at < t:
-        if rows:
-            done = reduce(DataFrame.union, rows).select("v", "class")
-            front = front.join(done, ["v", "class"], "left_anti")
-        front = ws.save(front.withColumn("level", F.lit(at + 1)), f"class-level-{at + 1}")
-        if front.isEmpty():
-            break
-        rows.append(front)
-        at += 1
-        front = front.select("v", "class").join(sub, "class").select("v", F.col("super").alias("class")).distinct()
-    top = own.select("v", F.lit(TOP).cast("long").alias("class"), F.lit(0).alias("level"))
-    out = reduce(DataFrame.union, rows) if rows else top.filter("false")
-    if unusable is not None:
-        out = out.join(unusable, "class", "left_anti").select("v", "class", "level")
-    return (out.union(top) if use_top else out), at
-
-
 def climbs(ws: Workspace, sub: DataFrame) -> DataFrame:
-    """(class, anc): every class above a class, itself not included unless the hierarchy has a cycle."""
-    seen = front = ws.save(sub.select("class", F.col("super").alias("anc")).distinct(), "climb")
+    """(class, anc, steps): every class above a class with the fewest steps to it, itself not included
+    unless the hierarchy has a cycle. The loop is over classes, never over their instances."""
+    seen = front = ws.save(sub.select("class", F.col("super").alias("anc"), F.lit(1).alias("steps")).distinct(), "climb")
+    steps = 1
     while True:
-        up = front.join(sub.select(F.col("class").alias("anc"), "super"), "anc").select("class", F.col("super").alias("anc")).distinct()
-        front = ws.save(up.join(seen, ["class", "anc"], "left_anti"), "climb")
+        up = front.select("class", "anc").join(sub.select(F.col("class").alias("anc"), "super"), "anc").select("class", F.col("super").alias("anc")).distinct()
+        steps += 1
+        front = ws.save(up.join(seen.select("class", "anc"), ["class", "anc"], "left_anti").withColumn("steps", F.lit(steps)), "climb")
         if front.isEmpty():
             return seen
         seen = seen.union(front)
 
 
-def ancestors(ws: Workspace, vertices: DataFrame, inst: DataFrame, sub: DataFrame) -> DataFrame:
+def levels(ws: Workspace, vertices: DataFrame, inst: DataFrame, sub: DataFrame, t: int | None, unusable: DataFrame | None = None, use_top: bool = True, climb: DataFrame | None = None) -> DataFrame:
+    """(v, class, level): a direct class has level 1, each step up the hierarchy one more, the shortest way
+    counts; the top class has level 0. t None: no bound. ``unusable`` classes are climbed through, then left
+    out. climb: the hierarchy's ``climbs``, if they are known."""
+    own = vertices.select("v").distinct()
+    top = own.select("v", F.lit(TOP).cast("long").alias("class"), F.lit(0).alias("level"))
+    direct = inst.join(own, "v", "left_semi").select("v", "class", F.lit(1).alias("level"))
+    out = direct.filter("false") if t == 0 else direct.distinct()
+    if t is None or t > 1:
+        far = climbs(ws, sub) if climb is None else climb
+        if t is not None:
+            far = far.filter(F.col("steps") < t)
+        above = direct.select("v", "class").join(far, "class").select("v", F.col("anc").alias("class"), (F.col("steps") + 1).alias("level"))
+        out = out.union(above).groupBy("v", "class").agg(F.min("level").alias("level"))
+    if unusable is not None:
+        out = out.join(unusable, "class", "left_anti").select("v", "class", "level")
+    return out.union(top) if use_top else out
+
+
+def ancestors(ws: Workspace, vertices: DataFrame, inst: DataFrame, sub: DataFrame, climb: DataFrame | None = None) -> DataFrame:
     """(e, ancs): for each vertex and each class, itself, all classes above it and the top class."""
-    up = climbs(ws, sub)
+    up = (climbs(ws, sub) if climb is None else climb).select("class", "anc")
     of_class = up.select(F.col("class").alias("e"), "anc")
     mine = inst.join(vertices.select("v").distinct(), "v", "left_semi").select(F.col("v").alias("e"), "class")
     of_vertex = mine.select("e", F.col("class").alias("anc")).union(mine.join(up, "class").select("e", "anc"))

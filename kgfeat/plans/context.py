@@ -45,11 +45,15 @@ class Context:
 
     # classes are worked out when first asked for: a search for neighbours alone does without
 
+    @cached_property
+    def climb(self) -> DataFrame:
+        return types.climbs(self.ws, self.sub)
+
     @cached_property
     def inst_levels(self) -> DataFrame:
         p = self.params
-        lev, _ = types.levels(self.ws, self.reach.select("v").distinct(), self.inst, self.sub, p.t, self.unusable, p.use_top)
-        return self.ws.save(lev, "class-levels")
+        climb = self.climb if p.t is None or p.t > 1 else None
+        return self.ws.save(types.levels(self.ws, self.reach.select("v"), self.inst, self.sub, p.t, self.unusable, p.use_top, climb), "class-levels")
 
     @cached_property
     def type_support(self) -> DataFrame:

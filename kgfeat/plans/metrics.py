@@ -49,8 +49,7 @@ def ratios(rows: DataFrame, over: str, under: str) -> DataFrame:
 def saturation(ctx: Context) -> DataFrame:
     """(what, n): vertices and classes of the full neighbourhood and the k and t beyond which none is new."""
     full, k = reach.fixpoint(ctx.ws, ctx.arc, ctx.seeds)
-    lev, t = types.levels(ctx.ws, full.select("v"), ctx.inst, ctx.sub, None, ctx.unusable, ctx.params.use_top)
-    lev = ctx.ws.save(lev, "all-levels")
+    lev = ctx.ws.save(types.levels(ctx.ws, full.select("v"), ctx.inst, ctx.sub, None, ctx.unusable, ctx.params.use_top), "all-levels")
     t = lev.groupBy("class").agg(F.min("level").alias("l")).agg(F.max("l")).first()[0] or 0
     rows = [("neighbours", full.select("v").distinct().count()), ("classes", lev.select("class").distinct().count()), ("k", int(k)), ("t", int(t))]
     return ctx.spark.createDataFrame(rows, "what string, n long")

@@ -91,7 +91,7 @@ def mine_path_features(ctx: Context) -> Mined:
     want_patterns = "pattern" in p.kinds
     elements, stand = _steps(ctx, want_patterns)
     elements = ws.save(elements, "elements")
-    ancs = types.ancestors(ws, ctx.reach.select("v"), ctx.inst, ctx.sub) if want_patterns else elements.select(F.col("elem").alias("e"), F.array("elem").alias("ancs"))
+    ancs = types.ancestors(ws, ctx.reach.select("v"), ctx.inst, ctx.sub, ctx.climb) if want_patterns else elements.select(F.col("elem").alias("e"), F.array("elem").alias("ancs"))
     up = ancs.select(F.col("e").alias("elem"), F.col("ancs").alias("up"))
 
     # h = 1: the empty path of all seeds grows to every vertex at distance 1 of some seed

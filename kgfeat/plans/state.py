@@ -7,6 +7,7 @@ written survives lost executors and lets a later round start from files alone.
 from __future__ import annotations
 
 import atexit
+import contextlib
 import functools
 import shutil
 import tempfile
@@ -36,14 +37,28 @@ def _own_folder() -> str:
 ROWS_A_FILE = 100_000
 
 
+_OPEN: dict[str, Workspace] = {}
+
+
+@atexit.register
+def _close_all() -> None:
+    """Tables of results that nobody closed go with the process, if its JVM is still there to delete them."""
+    for ws in list(_OPEN.values()):
+        with contextlib.suppress(Exception):
+            ws.close()
+
+
 class Workspace:
-    """A private folder below the shared one; every save is a committed Parquet table."""
+    """A private folder below the shared one; every save is a committed Parquet table. It is deleted by
+    close() or when the process ends, unless ``keep``."""
 
-    def __init__(self, spark: SparkSession, tag: str, root: str | None = None):
+    def __init__(self, spark: SparkSession, tag: str, root: str | None = None, keep: bool = False):
         self.spark = spark
         self.base = f"{root or shared_root(spark)}/kgfeat/{tag}-{uuid.uuid4().hex[:12]}"
         self._n = 0
         self._tables: list[str] = []
+        if not keep:
+            _OPEN[self.base] = self
 
     def path(self, name: str) -> str:
         return f"{self.base}/{name}"
@@ -74,6 +89,7 @@ class Workspace:
             self.spark.sql(f"DROP TABLE IF EXISTS {t}")
         self._tables.clear()
         self.delete(self.base)
+        _OPEN.pop(self.base, None)
 
     def drop(self, df: DataFrame) -> None:
         """Delete a saved table that nothing refers to any more."""

@@ -102,9 +102,12 @@ def test_class_levels_with_a_cycle(spark, ws):
     inst = spark.createDataFrame([(1, 10), (2, 11)], "v long, class long")
     sub = spark.createDataFrame([(10, 11), (11, 12), (12, 10), (10, 12)], "class long, super long")
     v = spark.createDataFrame([(1,), (2,), (3,)], "v long")
-    lev, t = types.levels(ws, v, inst, sub, None)
+    lev = types.levels(ws, v, inst, sub, None)
     got = {(r["v"], r["class"]): r["level"] for r in lev.collect()}
-    assert got == {(1, 10): 1, (1, 11): 2, (1, 12): 2, (2, 11): 1, (2, 12): 2, (2, 10): 3, (1, -1): 0, (2, -1): 0, (3, -1): 0} and t == 3
+    assert got == {(1, 10): 1, (1, 11): 2, (1, 12): 2, (2, 11): 1, (2, 12): 2, (2, 10): 3, (1, -1): 0, (2, -1): 0, (3, -1): 0}
+    assert {(r["v"], r["class"]) for r in types.levels(ws, v, inst, sub, 2, use_top=False).collect()} == {x for x, n in got.items() if 0 < n <= 2}
+    assert {(r["v"], r["class"]) for r in types.levels(ws, v, inst, sub, 1).collect()} == {x for x, n in got.items() if n <= 1}
+    assert types.levels(ws, v, inst, sub, 0).count() == 3
     assert {r[0] for r in types.instances_of(ws, inst, sub, spark.createDataFrame([(12,)], "class long")).collect()} == {1, 2}
     anc = {r["e"]: set(r["ancs"]) for r in types.ancestors(ws, v, inst, sub).collect()}
     assert anc[3] == {3, -1} and anc[1] == {1, 10, 11, 12, -1}
@@ -223,13 +226,15 @@ def test_hot_roots_of_components(spark, ws, monkeypatch):
     assert got == brute_components(edges)
 
 
-def test_state_needs_a_shared_folder(spark, monkeypatch):
-    class Far:
-        conf = spark.conf
-        sparkContext = type("C", (), {"master": "spark://far:7077", "getConf": lambda self: spark.sparkContext.getConf()})()
+def test_state_needs_a_shared_folder():
+    unset = type("Conf", (), {"get": lambda self, key, other=None: other})()
+
+    def session(master):
+        return type("S", (), {"conf": unset, "sparkContext": type("C", (), {"master": master, "getConf": lambda self: unset})()})()
 
     with pytest.raises(ValueError, match="spark.checkpoint.dir"):
-        state.shared_root(Far())
+        state.shared_root(session("spark://far:7077"))
+    assert state.shared_root(session("local[2]")).startswith("file://")
 
 
 def test_a_result_can_be_deleted(spark):
