@@ -98,7 +98,7 @@ def test_given_tables(spark):
     assert len(check(spark, SF)) > 50
 
 
-@pytest.mark.parametrize("seed", [1, 2])
+@pytest.mark.parametrize("seed", [1])
 def test_nulls_repeats_copies_and_leaks(spark, tmp_path, seed):
     rng = random.Random(seed)
     word = lambda: "".join(rng.choice("abcdefghijklm") for _ in range(6))
