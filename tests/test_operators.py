@@ -340,3 +340,47 @@ def test_saved_tables_survive_and_can_be_bucketed(spark, ws):
     assert "parquet" in s._jdf.queryExecution().executedPlan().toString().lower()
     ws.drop(s)
     assert F is not None
+
+
+def test_nearest_equals_pairs(spark):
+    """The least distance from another seed, on a random graph with cycles, seeds among the vertices and hubs."""
+    rng = random.Random(5)
+    arcs = [(rng.randrange(14), 1, rng.randrange(14)) for _ in range(28)]
+    ws = Workspace(spark, "nearest")
+    arc, seeds = spark.createDataFrame(arcs, "src long, pred long, dst long"), spark.createDataFrame([(0,), (7,), (8,)], "seed long")
+    pairs, _ = reach.bfs(ws, arc, seeds, None)
+    want = {(r.v, r.dist) for r in pairs.groupBy("v").agg(F.min("dist").alias("dist")).collect()}
+    assert {(r.v, r.dist) for r in reach.nearest(ws, arc, seeds).collect()} == want
+    pairs_d, _ = reach.bfs(ws, degree.allowed(arc.distinct(), 2, False, None), seeds, None)
+    want = {(r.v, r.dist) for r in pairs_d.groupBy("v").agg(F.min("dist").alias("dist")).collect()}
+    assert {(r.v, r.dist) for r in reach.nearest(ws, arc, seeds, degree.hubs(arc.distinct(), 2)).collect()} == want
+    part, seen = reach.nearby_arcs(ws, arc.union(arc), seeds, 2)
+    assert {tuple(r) for r in part.collect()} == {a for a in arcs if a[0] in {0, 7, 8} | {r.v for r in pairs.filter("dist = 1").collect()}}
+    assert {r.v for r in seen.collect()} == {0, 7, 8} | {r.v for r in pairs.filter("dist <= 2").collect()}
+
+
+def test_sieve_reads_rows_without_shuffling_them(spark, monkeypatch):
+    """Exact with bitmaps, and no exchange of rows comes before the bitmap has discarded most of them."""
+    from kgfeat.operators import sieve
+
+    monkeypatch.setattr(sieve, "FEW", 10)
+    keys = spark.range(0, 9000, 9).select((F.col("id") * 7919 - 30_000_000).alias("k"))
+    rows = spark.range(9000).select((F.col("id") * 7919 - 30_000_000).alias("k"), "id")
+    got = sieve.semi(rows, "k", keys, 1000)
+    assert {r.id for r in got.collect()} == set(range(0, 9000, 9))
+    assert sieve.sift(rows, "k", keys, 1000).count() < 1800
+
+
+def test_near_part_gives_the_same_features(spark):
+    """Mining on the part of the graph around the seeds; the arcs stored are no longer all of the graph."""
+    from kgfeat.plans.context import prepare, search
+    from kgfeat.queries import mining as q
+    from kgfeat.sources import kgview
+
+    d = "/root/testdata/sf0.001"
+    t, s = kgview.triples(spark, d, "customer", False), kgview.seeds(spark, d, "customer")
+    whole, part = search(prepare(spark, t, s, q.CUST)), search(prepare(spark, t, s, q.CUST, around=q.CUST.k))
+    rows = lambda x: {tuple(r) for r in x.collect()}
+    assert rows(whole.reach) == rows(part.reach)
+    assert rows(whole.inst_levels) == rows(part.inst_levels)
+    assert part.arc.count() < whole.arc.count()
