@@ -384,3 +384,15 @@ def test_near_part_gives_the_same_features(spark):
     assert rows(whole.reach) == rows(part.reach)
     assert rows(whole.inst_levels) == rows(part.inst_levels)
     assert part.arc.count() < whole.arc.count()
+
+
+def test_patterns_of_the_same_sets_share_a_union(spark):
+    """Unions of support sets are stored once for all patterns that join the same sets, not once a pattern."""
+    t = [(f"s{i}", "p", f"a{i % 3}") for i in range(9)] + [(f"a{j}", "q", f"b{j}") for j in range(3)]
+    t += [(x, "rdf:type", "C") for j in range(3) for x in (f"a{j}", f"b{j}")] + [("C", "rdfs:subClassOf", "D")]
+    seeds = spark.createDataFrame([(f"s{i}",) for i in range(9)], "seed string")
+    r = mine(spark, spark.createDataFrame(t, "s string, p string, o string"), seeds, k=2, t=2, l_min=2, specificity="off", c2=False, c3=False)
+    joined = r.mined.features.filter("joined")
+    assert joined.count() == 12 and joined.filter("n = 9").count() == 12  # 3 classes for a, 9 pairs of classes for a and b
+    assert r.mined.unions.count() == 9
+    assert r.matrix().join(joined, "fid", "left_semi").distinct().count() == 12 * 9
