@@ -396,3 +396,18 @@ def test_patterns_of_the_same_sets_share_a_union(spark):
     assert joined.count() == 12 and joined.filter("n = 9").count() == 12  # 3 classes for a, 9 pairs of classes for a and b
     assert r.mined.unions.count() == 9
     assert r.matrix().join(joined, "fid", "left_semi").distinct().count() == 12 * 9
+
+
+@pytest.mark.parametrize(("sent", "many"), [(1 << 20, 1000), (400, 1000), (1 << 20, 8)])
+def test_support_counts_equal_pairs(spark, ws, monkeypatch, sent, many):
+    """Numbers of seeds without the pairs of the last round, in one or several parts, with vertices of many sources."""
+    monkeypatch.setattr(reach, "SENT", sent)
+    monkeypatch.setattr(reach, "MANY", many)
+    monkeypatch.setattr(reach, "PIECE", 3)
+    rng = random.Random(6)
+    arc = [(rng.randrange(60), 1, rng.randrange(60)) for _ in range(90)] + [(i, 1, 61) for i in range(12)]
+    arc = degree.both_ways(spark.createDataFrame(arc, "src long, pred long, dst long")).distinct().persist()
+    seeds = spark.createDataFrame([(x,) for x in range(0, 60, 3)], "seed long")
+    rows = lambda x: sorted(tuple(r) for r in x.select("v", "n").collect())
+    for k in (1, 2):
+        assert rows(reach.support_counts(ws, arc, seeds, k)) == rows(supports.counts(reach.bfs(ws, arc, seeds, k)[0]))
