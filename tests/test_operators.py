@@ -411,3 +411,11 @@ def test_support_counts_equal_pairs(spark, ws, monkeypatch, sent, many):
     rows = lambda x: sorted(tuple(r) for r in x.select("v", "n").collect())
     for k in (1, 2):
         assert rows(reach.support_counts(ws, arc, seeds, k)) == rows(supports.counts(reach.bfs(ws, arc, seeds, k)[0]))
+
+
+def test_no_links_of_the_last_iteration(spark, ws):
+    """Nothing grows after the last iteration, so its pairs of path and pattern, the largest table, are not stored."""
+    seeds = spark.createDataFrame([(s,) for s in SEEDS], "seed string")
+    mine(spark, spark.createDataFrame(TRIPLES, "s string, p string, o string"), seeds, ws=ws, **(BASE | {"k": 2, "engine": "faithful"}))
+    names = {x.name[4:] for x in Path(ws.base.removeprefix("file://")).iterdir()}
+    assert "links-1" in names and "generated-2" in names and "links-2" not in names
