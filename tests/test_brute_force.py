@@ -59,3 +59,32 @@ def test_counts_of_generalisations(spark):
     """The worked example's two paths: 11 and 23."""
     rows = spark.createDataFrame([([2, 3],), ([2, 3, 1],)], "g array<int>").select(generalisations(F.col("g")).alias("n")).collect()
     assert [r["n"] for r in rows] == [11, 23] == [count_generalisations([2, 3]), count_generalisations([2, 3, 1])]
+
+
+@pytest.mark.parametrize(("seed", "changes"), [(3, {"t": 1}), (6, {"k": 2, "u": True}), (7, {"drop_single": False, "c2": False, "l_max": 4})])
+def test_last_iteration_without_rows_of_paths(spark, monkeypatch, seed, changes):
+    """The last iteration of the factorised engine lists neither captured paths nor unions, with large sets in
+    pieces, heavy elements dealt out and one group at a time; features, sets and cells are the faithful engine's."""
+    from pathlib import Path
+
+    from kgfeat.plans import last
+
+    for name, value in (("PIECE", 2), ("HEAVY", 8), ("AT_ONCE", 1)):
+        monkeypatch.setattr(last, name, value)
+    t, s = random_graph(seed)
+    df, sd = spark.createDataFrame(t, "s string, p string, o string"), spark.createDataFrame([(x,) for x in s], "seed string")
+    p = {"k": 3, "t": 2, "d": 6, "l_min": 2} | changes
+    got, cells, counts, sets = {}, {}, {}, {}
+    for engine in ("factorised", "faithful"):
+        r = mine(spark, df, sd, engine=engine, **p)
+        got[engine] = sorted(tuple(x) for x in r.path_features().select("kind", "len", "n", "feature").collect())
+        cells[engine] = sorted(tuple(x) for x in r.named_matrix().collect())
+        counts[engine] = sorted(tuple(x) for x in r.counted().collect())
+        sets[engine] = sorted(tuple(x) for x in r.mined.features.select("fid", "sset").collect())
+        names = {x.name[4:] for x in Path(r.context.ws.base.removeprefix("file://")).iterdir()}
+        assert (f"found-{p['k']}" in names) == (f"generated-{p['k']}" not in names) == (engine == "factorised")
+        last_made = r.mined.generated
+        r.close()
+    assert got["faithful"] and len(last_made) == p["k"]
+    for x in (got, cells, counts, sets):
+        assert x["factorised"] == x["faithful"]
