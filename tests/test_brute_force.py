@@ -2,6 +2,7 @@ from __future__ import annotations
 
 import random
 
+import numpy as np
 import pytest
 from brute import brute_mine, count_generalisations
 from fixture_graph import GOLD, SEEDS, TRIPLES
@@ -88,3 +89,36 @@ def test_last_iteration_without_rows_of_paths(spark, monkeypatch, seed, changes)
     assert got["faithful"] and len(last_made) == p["k"]
     for x in (got, cells, counts, sets):
         assert x["factorised"] == x["faithful"]
+
+
+@pytest.mark.parametrize(("seed", "changes"), [(3, {"t": 1}), (7, {"k": 2, "l_max": 4, "prune": False})])
+def test_last_iteration_of_the_faithful_engine_at_size(spark, monkeypatch, seed, changes):
+    """Of many rows to grow from, the faithful engine does not list the last iteration's pairs of path and feature;
+    it generates as many path features as if it did, and features, cells and counts are the same."""
+    from pathlib import Path
+
+    from kgfeat.plans import last
+
+    t, s = random_graph(seed)
+    df, sd = spark.createDataFrame(t, "s string, p string, o string"), spark.createDataFrame([(x,) for x in s], "seed string")
+    p = {"k": 3, "t": 2, "d": 6, "l_min": 2} | changes
+    got = []
+    for listed in (1 << 60, 0):
+        monkeypatch.setattr(last, "LISTED", listed)
+        r = mine(spark, df, sd, engine="faithful", **p)
+        names = {x.name[4:] for x in Path(r.context.ws.base.removeprefix("file://")).iterdir()}
+        assert (f"generated-{p['k']}" in names) == bool(listed)
+        rows = (r.path_features().select("kind", "len", "n", "feature"), r.named_matrix(), r.counted(), r.mined.features.select("fid", "sset"))
+        got.append((r.mined.generated, *(sorted(tuple(x) for x in y.collect()) for y in rows)))
+        r.close()
+    assert len(got[0][0]) == p["k"] and got[0][1]
+    assert got[0] == got[1]
+
+
+def test_hashes_of_seeds_are_those_of_set_ids(spark):
+    from kgfeat.plans import last
+
+    seeds = [0, 1, -1, 5, 2**62, -(2**63), 2**63 - 1]
+    rows = spark.createDataFrame([(x,) for x in seeds], "seed long").select(F.xxhash64("seed").alias("x"), F.xxhash64("seed", F.lit(1)).alias("y")).collect()
+    x, y = last._hashes(np.array(seeds))
+    assert [tuple(r) for r in rows] == list(zip(x.tolist(), y.tolist(), strict=True))
